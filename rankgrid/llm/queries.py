@@ -6,7 +6,8 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from rankgrid.llm import exact_dedup
+from rankgrid.llm import exact_dedup, token_counts
+from rankgrid.llm.pretokens import default_tokenizer
 from rankgrid.session import ship, table
 
 
@@ -27,7 +28,15 @@ SELECT doc_id,
 FROM n
 """
 
-_QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {"op1_exact_dedup": op1_exact_dedup}
+
+def op2_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return token_counts.token_counts(table(spark, sf_dir, "documents"), default_tokenizer())
+
+
+_QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
+    "op1_exact_dedup": op1_exact_dedup,
+    "op2_token_counts": op2_token_counts,
+}
 _SQL: dict[str, str] = {"op1_exact_dedup": OP1_SQL}
 
 

@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from rankgrid.llm import exact_dedup, near_dedup, packing, token_counts, token_store
+from rankgrid.llm import decontaminate, exact_dedup, near_dedup, packing, suffix_dedup, token_counts, token_store
 from rankgrid.llm.pretokens import default_tokenizer
 from rankgrid.session import ship, table
 
@@ -37,10 +37,18 @@ def op3_minhash_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return near_dedup.near_duplicates(table(spark, sf_dir, "documents"), width=2, percent=80)
 
 
+def op4_suffix_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return suffix_dedup.remove_repeats(table(spark, sf_dir, "documents"), length=200)
+
+
 def op6_best_fit_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return packing.pack_documents(table(spark, sf_dir, "documents"), default_tokenizer(), capacity=2048, end_id=0)
 
 
+def op8_decontaminate(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return decontaminate.contaminated(table(spark, sf_dir, "documents"), table(spark, sf_dir, "benchmark"))
+
+
 def op10_token_store(spark: SparkSession, sf_dir: str) -> DataFrame:
     return token_store.read_documents(token_store.write_store(table(spark, sf_dir, "documents"), default_tokenizer(), end_id=2))
 
@@ -49,7 +57,9 @@ _QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op1_exact_dedup": op1_exact_dedup,
     "op2_token_counts": op2_token_counts,
     "op3_minhash_near_dedup": op3_minhash_near_dedup,
+    "op4_suffix_dedup": op4_suffix_dedup,
     "op6_best_fit_packing": op6_best_fit_packing,
+    "op8_decontaminate": op8_decontaminate,
     "op10_token_store": op10_token_store,
 }
 _SQL: dict[str, str] = {"op1_exact_dedup": OP1_SQL}

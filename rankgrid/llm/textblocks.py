@@ -75,11 +75,11 @@ def small_batches(batches: Iterable[pa.RecordBatch], text: str, limit: int = 1 <
             at = to
 
 
-def word_spans(data: np.ndarray, offsets: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """Starts and ends of the maximal runs without white space, and for each document its first word's index (one more at the end)."""
+def word_spans(data: np.ndarray, offsets: np.ndarray, white: np.ndarray = WHITE) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Starts and ends of the maximal runs without bytes of white, and for each document its first word's index (one more at the end)."""
     if not len(data):
         return np.zeros(0, np.int64), np.zeros(0, np.int64), np.zeros(len(offsets), np.int64)
-    solid = ~WHITE[data]
+    solid = ~white[data]
     first = np.zeros(len(data) + 1, bool)
     first[offsets] = True
     before = np.empty_like(solid)

@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from rankgrid.llm import decontaminate, exact_dedup, near_dedup, packing, suffix_dedup, token_counts, token_store
+from rankgrid.llm import decontaminate, exact_dedup, lattice_lm, line_crf, near_dedup, packing, suffix_dedup, token_counts, token_store, toxicity
 from rankgrid.llm.pretokens import default_tokenizer
 from rankgrid.session import ship, table
 
@@ -41,14 +41,30 @@ def op4_suffix_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return suffix_dedup.remove_repeats(table(spark, sf_dir, "documents"), length=200)
 
 
+def op5_lattice_lm(spark: SparkSession, sf_dir: str) -> DataFrame:
+    import public_tokenizers
+
+    return lattice_lm.score_documents(table(spark, sf_dir, "documents"), public_tokenizers.path("piece_bpe_32k.model"))
+
+
 def op6_best_fit_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return packing.pack_documents(table(spark, sf_dir, "documents"), default_tokenizer(), capacity=2048, end_id=0)
 
 
+def op7_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = table(spark, sf_dir, "documents")
+    return toxicity.score(docs, toxicity.fit(docs, table(spark, sf_dir, "labels")))
+
+
 def op8_decontaminate(spark: SparkSession, sf_dir: str) -> DataFrame:
     return decontaminate.contaminated(table(spark, sf_dir, "documents"), table(spark, sf_dir, "benchmark"))
 
 
+def op9_quality_crf(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = table(spark, sf_dir, "documents")
+    return line_crf.score(docs, line_crf.fit(docs, table(spark, sf_dir, "labels")))
+
+
 def op10_token_store(spark: SparkSession, sf_dir: str) -> DataFrame:
     return token_store.read_documents(token_store.write_store(table(spark, sf_dir, "documents"), default_tokenizer(), end_id=2))
 
@@ -58,8 +74,11 @@ _QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op2_token_counts": op2_token_counts,
     "op3_minhash_near_dedup": op3_minhash_near_dedup,
     "op4_suffix_dedup": op4_suffix_dedup,
+    "op5_lattice_lm": op5_lattice_lm,
     "op6_best_fit_packing": op6_best_fit_packing,
+    "op7_toxicity": op7_toxicity,
     "op8_decontaminate": op8_decontaminate,
+    "op9_quality_crf": op9_quality_crf,
     "op10_token_store": op10_token_store,
 }
 _SQL: dict[str, str] = {"op1_exact_dedup": OP1_SQL}

@@ -1,9 +1,9 @@
 """Near duplicates: fast similarity sketches, banding, and a check of every link on the full shingle sets.
 
 Texts with equal sets are one class, so copies are never expanded. Within a bucket of equal bands members are first
-compared with one member only, drawn anew in each bucket; where that leaves a bucket in more than one component, small
-buckets are compared in full and large ones against further members until nothing is left open. Rows made in a round
-are linear in the members, and no pair of a bucket that could join two components stays unchecked.
+compared with one member only, drawn anew in each bucket. Where that leaves a bucket in more than one component its
+members are dealt into blocks, and pairs of blocks are compared inside tasks: no row stands for a pair, no task holds
+more than two blocks, and no pair of a bucket that could join two components stays unchecked.
 """
 
 from __future__ import annotations
@@ -11,6 +11,7 @@ from __future__ import annotations
 from collections.abc import Iterable, Iterator
 
 import numpy as np
+import pandas as pd
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
@@ -22,8 +23,8 @@ from rankgrid.session import written
 
 #: Coordinates of a sketch (a power of two) and coordinates in a band. A pair of similarity 0.8 shares no band with probability 3e-6.
 COORDINATES, BAND = 256, 6
-#: Buckets up to this size are compared in full when one comparison each has not settled them.
-SMALL = 16
+#: Members of a block; members up to which open buckets that overlap are compared as one group.
+BLOCK, JOINT = 256, 8192
 #: Bits of the broadcast filter of candidates, whatever the input: 1 MB.
 FILTER_BITS = 1 << 23
 
@@ -159,8 +160,62 @@ def verified(docs: DataFrame, pairs: DataFrame, width: int, percent: int) -> Dat
     return both.mapInArrow(each, "a long, b long")
 
 
-def _labelled(members: DataFrame, labels: DataFrame) -> DataFrame:
-    return members.join(labels.withColumnsRenamed({"node": "n_"}), F.col("id") == F.col("n_"), "left").select("key", "id", F.coalesce("component", "id").alias("component"))
+def _block_links(rows: pd.DataFrame, percent: int) -> list[tuple[int, int]]:
+    """Links between rows of different components that hold, enough of them to join what can be joined."""
+    sets = [np.frombuffer(x, np.uint64) for x in rows["hashes"]]
+    ids, sizes = rows["id"].to_numpy(), np.array([len(s) for s in sets])
+    values, at, uses = np.unique(np.concatenate(sets), return_inverse=True, return_counts=True)
+    row = np.repeat(np.arange(len(sets)), sizes)
+    column = np.cumsum(uses > 1) - 1
+    shared = uses[at] > 1
+    row, column = row[shared], column[at[shared]]
+    common = np.zeros((len(sets), len(sets)), np.float32)
+    order = np.argsort(column, kind="stable")
+    row, column = row[order], column[order]
+    for lo in range(0, int(column[-1]) + 1 if len(column) else 0, 8192):
+        s, e = np.searchsorted(column, [lo, lo + 8192])
+        part = np.zeros((len(sets), 8192), np.float32)
+        part[row[s:e], column[s:e] - lo] = 1
+        common += part @ part.T
+    common = common.astype(np.int64)
+    hold = 100 * common >= percent * (sizes[:, None] + sizes[None, :] - common)
+    component = rows["component"].to_numpy()
+    parent = {c: c for c in component.tolist()}
+
+    def root(c: int) -> int:
+        while parent[c] != c:
+            parent[c] = c = parent[parent[c]]
+        return c
+
+    out = []
+    for i, j in np.argwhere(np.triu(hold & (component[:, None] != component[None, :]), 1)).tolist():
+        x, y = root(component[i]), root(component[j])
+        if x != y:
+            parent[max(x, y)] = min(x, y)
+            out.append((min(ids[i], ids[j]), max(ids[i], ids[j])))
+    return out
+
+
+def compared_in_blocks(docs: DataFrame, groups: DataFrame, width: int, percent: int) -> DataFrame:
+    """Links (a, b) between members of different components within groups (gid, id, component), checked on full sets.
+
+    A group is dealt by hash into blocks of about BLOCK members, and each pair of blocks is one task's work, so that no
+    task holds more than two blocks whatever the group's size, and no row stands for a pair.
+    """
+    spark = docs.sparkSession
+    sizes = groups.groupBy("gid").agg(F.ceil(F.count("*") / F.lit(BLOCK)).cast("int").alias("blocks")).withColumnRenamed("gid", "g2")
+    members = groups.join(sizes, F.col("gid") == F.col("g2")).select("gid", F.col("id").alias("member"), "component", "blocks", F.pmod(F.xxhash64("id", F.lit(7)), F.col("blocks")).cast("int").alias("own"))
+    sets = _set_rows(docs, groups.select("id"), width).groupBy("id").agg(F.first("hashes").alias("hashes"))
+    dealt = members.withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
+    dealt = dealt.select("gid", "member", "component", F.least("own", "other").alias("i"), F.greatest("own", "other").alias("j"))
+    rows = dealt.join(sets, F.col("member") == F.col("id")).select("gid", "i", "j", "id", "component", "hashes")
+    parts = max(int(spark.conf.get("spark.sql.shuffle.partitions")), 1)
+    rows = rows.repartition(parts, "gid", "i", "j")
+
+    def each(rows: pd.DataFrame) -> pd.DataFrame:
+        return pd.DataFrame(_block_links(rows, percent), columns=["a", "b"], dtype="int64")
+
+    return rows.groupBy("gid", "i", "j").applyInPandas(each, "a long, b long")
 
 
 def near_duplicates(docs: DataFrame, width: int = 5, percent: int = 80, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
@@ -182,33 +237,21 @@ def near_duplicates(docs: DataFrame, width: int = 5, percent: int = 80, id_col:
     pairs = written(shared.where("id <> hub").select(F.least("id", "hub").alias("a"), F.greatest("id", "hub").alias("b")).distinct(), "pairs")
     links = written(verified(texts, pairs, width, percent), "links")
     labels = components(links)
-    hubs = shared.select("key", F.col("hub").alias("done")).distinct()
-    while True:
-        named = shared.join(labels, F.col("id") == F.col("node"), "left").select("key", "id", "hub", "n", F.coalesce("component", "id").alias("component"))
-        tried = hubs.withColumnRenamed("key", "hk")
-        fresh = named.where("n > 2").join(tried, (F.col("key") == F.col("hk")) & (F.col("id") == F.col("done")), "left_anti")
-        open_keys = fresh.groupBy("key").agg(F.min("component").alias("low"), F.max("component").alias("high")).where("low <> high").select(F.col("key").alias("ok"))
-        left = written(fresh.join(open_keys, F.col("key") == F.col("ok")).select("key", "id", "n", "component"), "open_members")
-        if left.isEmpty():
-            break
-        few = left.where(F.col("n") <= SMALL)
-        other = few.select(F.col("key").alias("key2"), F.col("id").alias("id2"), F.col("component").alias("component2"))
-        full = few.join(other, (F.col("key") == F.col("key2")) & (F.col("component") < F.col("component2"))).select("id", "id2")
-        many = left.where(F.col("n") > SMALL)
-        salts = [0x1F3D5B79 * (2 * k + 1) for k in range(8)]
-        drawn = many.groupBy("key").agg(*[F.min(F.col("id").bitwiseXOR(F.col("key")).bitwiseXOR(F.lit(s))).alias(f"m{s}") for s in salts])
-        drawn = drawn.select(F.col("key").alias("dk"), F.explode(F.array_distinct(F.array(*[F.col(f"m{s}").bitwiseXOR(F.col("key")).bitwiseXOR(F.lit(s)) for s in salts]))).alias("draw"))
-        drawn = written(drawn, "drawn")
-        against = named.join(drawn, F.col("key") == F.col("dk")).where("id <> draw").select("id", F.col("draw").alias("id2"))
-        more = full.union(against).select(F.least("id", "id2").alias("a"), F.greatest("id", "id2").alias("b")).distinct()
-        more = written(more.join(pairs.withColumnsRenamed({"a": "pa", "b": "pb"}), (F.col("a") == F.col("pa")) & (F.col("b") == F.col("pb")), "left_anti"), "pairs")
-        found = written(verified(texts, more, width, percent), "links")
-        pairs = pairs.union(more)
-        hubs = hubs.union(drawn.select(F.col("dk").alias("key"), F.col("draw").alias("done"))).union(few.select("key", F.col("id").alias("done")))
-        hubs = written(hubs.distinct(), "tried")
-        if not found.isEmpty():
-            links = links.union(found)
-            labels = components(links)
+    # buckets whose members, the compared one aside, are in several components: nothing says yet that these can't be joined
+    named = shared.join(labels, F.col("id") == F.col("node"), "left").where("n > 2 AND id <> hub").select("key", "id", F.coalesce("component", "id").alias("component"))
+    open_keys = named.groupBy("key").agg(F.min("component").alias("low"), F.max("component").alias("high"), F.min("id").alias("lead")).where("low <> high").select(F.col("key").alias("ok"), "lead")
+    left = written(named.join(open_keys, F.col("key") == F.col("ok")).select("key", "id", "component", "lead"), "open_members")
+    if not left.isEmpty():
+        # open buckets that overlap are one group, so that its pairs are compared once; past a size each bucket stands alone
+        joint = components(left.where("id <> lead").select(F.col("id").alias("a"), F.col("lead").alias("b")))
+        each_id = left.join(joint.withColumnRenamed("component", "cluster"), F.col("id") == F.col("node"), "left").select("key", "id", "component", F.coalesce("cluster", "id").alias("cluster"))
+        size = each_id.groupBy("cluster").agg(F.count_distinct("id").alias("size")).withColumnRenamed("cluster", "c3")
+        each_id = each_id.join(size, F.col("cluster") == F.col("c3"))
+        gid = F.when(F.col("size") <= JOINT, F.xxhash64(F.lit(0), F.col("cluster"))).otherwise(F.xxhash64(F.lit(1), F.col("key")))
+        groups = written(each_id.select(gid.alias("gid"), "id", "component").distinct(), "open_groups")
+        more = written(compared_in_blocks(texts, groups, width, percent), "links")
+        if not more.isEmpty():
+            labels = components(links.union(more))
     roots = classes.join(labels, F.col("rep") == F.col("node"), "left").select("c1", "c2", F.coalesce("component", "rep").alias("root"))
     rows = table.select("doc_id", "n_shingles", "s1", "s2").join(roots, same_set & (F.col("n_shingles") > 0) & F.col("doc_id").isNotNull(), "left")
     found = F.coalesce("root", "doc_id")

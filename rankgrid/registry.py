@@ -37,8 +37,6 @@ def query(sql: str | None = None, name: str | None = None) -> Callable[[Query],
 
 def _load() -> None:
     for m in _MODULES:
-        import importlib.util
-        if importlib.util.find_spec(f"rankgrid.workloads.{m}") is None: continue
         importlib.import_module(f"rankgrid.workloads.{m}")
 
 

@@ -25,6 +25,8 @@ from rankgrid.session import written
 
 #: Bytes of a gram; windows of one name that one task sorts at most; bits of the broadcast filter (8 MB, whatever the input).
 GRAM, LOCAL, FILTER_BITS = 64, 200_000, 1 << 26
+#: Bytes of text whose hashes a worker holds at once.
+BATCH = 1 << 20
 
 
 def _sliding(values: np.ndarray, width: int, low: bool) -> np.ndarray:
@@ -93,7 +95,7 @@ def _names(texts: DataFrame, length: int) -> DataFrame:
     """name, n: how often each name occurs, counted within a batch first."""
 
     def each(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in small_batches(batches, "text"):
+        for b in small_batches(batches, "text", BATCH):
             s = Segments(*flat_text(b.column("text")), length, GRAM)
             names, lead, n = np.unique(s.names, return_index=True, return_counts=True)
             inner = np.zeros(len(names), bool)
@@ -123,7 +125,7 @@ def _candidates(texts: DataFrame, shared, length: int) -> DataFrame:
     """The segments whose names pass the filter: key of the document, where, name, digests."""
 
     def each(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in small_batches(batches, "text"):
+        for b in small_batches(batches, "text", BATCH):
             _, offsets = flat = flat_text(b.column("text"))
             s = Segments(*flat, length, GRAM)
             k = np.flatnonzero(_seen(shared.value, s.names))
@@ -140,7 +142,7 @@ def _segment_bytes(texts: DataFrame, shared, length: int) -> DataFrame:
     """name, d1, d2 and the bytes of the segments whose digest passes the filter, each once a batch."""
 
     def each(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in small_batches(batches, "text"):
+        for b in small_batches(batches, "text", BATCH):
             data, offsets = flat_text(b.column("text"))
             s = Segments(data, offsets, length, GRAM)
             k = np.flatnonzero(_seen(shared.value, s.d1))
@@ -186,7 +188,7 @@ def _runs(flags: np.ndarray) -> list[dict]:
 _RUNS = pa.list_(pa.struct([("lo", pa.int64()), ("hi", pa.int64())]))
 
 
-def _sorted_buckets(residue: DataFrame, length: int, window_limit: int = 100_000) -> DataFrame:
+def _sorted_buckets(residue: DataFrame, length: int, window_limit: int = 50_000) -> DataFrame:
     """For each segment of the residue the runs of its windows that occur again in the residue of its name."""
 
     def flush(rows: list[tuple]) -> pa.RecordBatch:
@@ -275,7 +277,7 @@ def remove_repeats(docs: DataFrame, length: int = 200, id_col: str = "doc_id", t
     joined = texts.join(spans, F.col("doc_id").eqNullSafe(F.col("s_id")) & (F.col("text_hash") == F.col("s_hash")), "left").select("doc_id", "text", "windows")
 
     def each(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in small_batches(batches, "text"):
+        for b in small_batches(batches, "text", BATCH):
             size, removed, n_spans, sha, kept = [], [], [], [], []
             windows = b.column("windows").to_pylist()
             column = pc.fill_null(b.column("text"), "")

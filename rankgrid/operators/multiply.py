@@ -14,7 +14,7 @@ from dataclasses import dataclass
 
 import pyarrow as pa
 from pyspark import inheritable_thread_target
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from rankgrid.functions.tiles import Sum, Tile, multiply, sparse_multiply
@@ -194,7 +194,7 @@ def mm_panels(
     width = depth if mode == "sliding" else 1 + prefetch
     with ThreadPoolExecutor(max(1, width)) as pool:
         # at width 1 a wave waits for the one before it: the barrier of the synchronous method
-        done = list(pool.map(inheritable_thread_target(lambda w: written(issue(w), "round")), waves))
+        done = list(pool.map(inheritable_thread_target(a.blocks.sparkSession)(lambda w: written(issue(w), "round")), waves))
     out = done[0]
     for d in done[1:]:
         out = out.unionByName(d)
@@ -297,6 +297,7 @@ def multiply_blocks(a: BlockMatrix, b: BlockMatrix, ta: bool = False, tb: bool =
 
 def run_concurrently(*thunks) -> list[BlockMatrix]:
     """Independent products of one expression as jobs that overlap; each result is written."""
+    own = inheritable_thread_target(SparkSession.active())
     with ThreadPoolExecutor(len(thunks)) as pool:
-        done = [pool.submit(inheritable_thread_target(lambda t=t: (m := t(), written(m.blocks, "concurrent")))) for t in thunks]
+        done = [pool.submit(own(lambda t=t: (m := t(), written(m.blocks, "concurrent")))) for t in thunks]
         return [BlockMatrix(blocks, m.rows, m.cols) for m, blocks in (f.result() for f in done)]

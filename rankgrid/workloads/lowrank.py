@@ -140,10 +140,10 @@ def lrb_norm(spark, sf_dir):
 def mm_lrb(spark, sf_dir):
     """The product with low-rank tiles and screening at the thresholds of the experiments, to three decimals."""
     m = supplier(spark, sf_dir, by="nation", eps_lr=EPS_LR)
-    return mm_panels(m, m, Grid(2, 2), depth="all", eps_lr=1e-8, eps_sp=0.0).to_coo(drop_zeros=False).select("i", "j", (F.round("v", 3) + 0.0).alias("v")).unionByName(
-        # tiles that were within the threshold of zero are absent: fill them in
-        _absent(spark, mm_panels(m, m, Grid(2, 2), depth="all", eps_lr=1e-8), m)
-    )
+    c = mm_panels(m, m, Grid(2, 2), depth="all", eps_lr=1e-8)
+    c = BlockMatrix(written(c.blocks, "product"), c.rows, c.cols)
+    # tiles that are within the threshold of zero are absent: fill them in
+    return _rounded(c, 3).unionByName(_absent(spark, c, m))
 
 
 def _absent(spark, c: BlockMatrix, like: BlockMatrix):

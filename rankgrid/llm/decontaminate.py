@@ -144,8 +144,8 @@ def contaminated(docs: DataFrame, benchmark: DataFrame, id_col: str = "doc_id",
 
     Words are runs without white space and ASCII punctuation, A-Z lower-cased. They overlap when, shifted against each
     other, some window of 13 words (or the whole of a shorter item) agrees in 80 percent of its words. Null, empty and
-    wordless texts, and wordless items, overlap with nothing; repeated rows are judged each; a null id stays null; empty
-    tables give no rows; long texts are read whole; other columns are not read.
+    wordless texts, and wordless items, overlap with nothing; repeated rows are judged each; a null id stays null, a null
+    item id becomes -1; empty tables give no rows; long texts are read whole; other columns are not read.
 
     The benchmark is the stated query set: blocks of up to block_words words are broadcast one after another, whatever
     its size, and documents are never shuffled.

@@ -189,7 +189,9 @@ def mm_panels(
     if depth >= n:
         partials = issue(None)
         alone = stationary == "C" and grid.layers == 1
-        return BlockMatrix(partials.drop("k") if alone else reduce_partials(partials, eps_lr), a.rows, b.cols)
+        whole = partials.drop("k") if alone else reduce_partials(partials, eps_lr)
+        # a skeleton that tasks could not be given is applied to the result
+        return BlockMatrix(_only(whole, kept if skeleton is None else None), a.rows, b.cols)
     # several jobs read the operands: they are written once, so that no job goes back to their sources
     a, b = (BlockMatrix(written(m.blocks, "operand"), m.rows, m.cols) for m in (a, b))
     waves = [rounds[s : s + depth] for s in range(0, n, depth)] if mode == "waves" else [[k] for k in rounds]

@@ -21,6 +21,8 @@ from rankgrid.llm.token_counts import id_and_text
 
 #: Bound of the labelled rows learnt from, and rounds of gradient ascent.
 SAMPLE, ROUNDS = 6_000, 200
+#: Bytes of text whose features a worker holds at once.
+BATCH = 1 << 20
 _UPPER = np.zeros(256, bool)
 _UPPER[65:91] = True
 _DIGIT = np.zeros(256, bool)
@@ -163,7 +165,7 @@ def _training_lines(texts: DataFrame, sample: DataFrame) -> tuple[np.ndarray, np
     """Features of the lines, their documents (ascending numbers), bytes, and the documents' labels."""
 
     def each(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in small_batches(batches, "text"):
+        for b in small_batches(batches, "text", BATCH):
             lines = Lines(b.column("text"))
             at = pa.array(lines.row)
             x = lines.with_neighbours().astype(np.float32)
@@ -224,7 +226,7 @@ def score(docs: DataFrame, field: Field, modulus: int = 4, held_out: int = 2, th
 
     def each(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         f = shared.value
-        for b in small_batches(batches, "text"):
+        for b in small_batches(batches, "text", BATCH):
             lines = Lines(b.column("text"))
             good, _ = forward_backward(f.line_scores(lines.with_neighbours()), lines.row, lines.n_rows, f.step)
             p = probability(document_features(lines, good), f.model)
@@ -240,7 +242,7 @@ def drop_bad(docs: DataFrame, field: Field, threshold: float = 0.7, text_col: st
 
     def each(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         f = shared.value
-        for b in small_batches(batches, text_col):
+        for b in small_batches(batches, text_col, BATCH):
             lines = Lines(b.column(text_col))
             good, _ = forward_backward(f.line_scores(lines.with_neighbours()), lines.row, lines.n_rows, f.step)
             keep = np.flatnonzero(probability(document_features(lines, good), f.model) >= threshold)

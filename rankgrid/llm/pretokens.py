@@ -119,7 +119,7 @@ class HashIndex:
 class Encoder:
     """Token counts or ids of texts as the tokenizers library gives them, special strings inside texts included."""
 
-    def __init__(self, vocab: Vocabulary, cached: int = 1 << 20, window: int = 1 << 21):
+    def __init__(self, vocab: Vocabulary, cached: int = 1 << 19, window: int = 1 << 20):
         """cached: distinct pre-tokens kept before the cache starts anew. window: code points handled at once."""
         self.vocab, self.cached, self.window = vocab, cached, window
         self.tokenizer = _load(vocab.path)

@@ -11,7 +11,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from rankgrid.llm.pretokens import HashIndex
-from rankgrid.llm.textblocks import LOWER, WHITE, flat_text, mix, prefix_hash, small_batches, span_hash, word_spans
+from rankgrid.llm.textblocks import LOWER, WHITE, flat_text, map_arrow, mix, prefix_hash, small_batches, span_hash, word_spans
 from rankgrid.llm.token_counts import id_and_text
 
 #: Words of a window that must overlap, and the share of them, in percent, that must agree.
@@ -178,7 +178,7 @@ def _scan(texts: DataFrame, shared) -> DataFrame:
                     ["doc_id", "item_id", "first_word", "n_compared", "n_equal", "contaminated", "kept"],
                 )
 
-    return texts.mapInArrow(each, "doc_id long, item_id long, first_word long, n_compared long, n_equal long, contaminated boolean, kept boolean")
+    return map_arrow(texts, each, "doc_id long, item_id long, first_word long, n_compared long, n_equal long, contaminated boolean, kept boolean")
 
 
 def drop_contaminated(docs: DataFrame, benchmark: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:

@@ -23,7 +23,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from rankgrid.llm.pretokens import HashIndex
-from rankgrid.llm.textblocks import LOWER, flat_text, mix, prefix_hash, small_batches, span_hash, word_spans
+from rankgrid.llm.textblocks import LOWER, flat_text, map_arrow, mix, prefix_hash, small_batches, span_hash, word_spans
 from rankgrid.llm.token_counts import id_and_text
 from rankgrid.session import written
 
@@ -227,7 +227,7 @@ def _word_counts(texts: DataFrame) -> DataFrame:
         if held:
             yield send()
 
-    rows = texts.select("text", "held_out").mapInArrow(each, "word binary, k int, c long, n long")
+    rows = map_arrow(texts.select("text", "held_out"), each, "word binary, k int, c long, n long")
     return rows.groupBy("word").agg(*[F.sum(F.when(F.col("k") == k, F.col(x)).otherwise(0)).alias(f"{x}{k}") for x in "cn" for k in range(CLASSES)])
 
 
@@ -255,7 +255,7 @@ def fit_pieces(words: DataFrame, pieces: Pieces, rounds: int) -> list[Pieces]:
             kind, used = np.nonzero(total)
             yield pa.RecordBatch.from_arrays([pa.array(kind), pa.array(used), pa.array(total[kind, used])], ["k", "piece", "uses"])
 
-        rows = words.select("word", *[f"c{k}" for k in range(CLASSES)]).mapInArrow(each, "k long, piece long, uses double").groupBy("k", "piece").agg(F.sum("uses").alias("uses")).toPandas()
+        rows = map_arrow(words.select("word", *[f"c{k}" for k in range(CLASSES)]), each, "k long, piece long, uses double").groupBy("k", "piece").agg(F.sum("uses").alias("uses")).toPandas()
         counts = np.zeros((CLASSES, len(pieces.hashes) + 1))
         counts[rows["k"].to_numpy(np.int64), rows["piece"].to_numpy(np.int64)] = rows["uses"].to_numpy(np.float64)
         fitted = [p.with_counts(c) for p, c in zip(fitted, counts, strict=True)]
@@ -307,7 +307,7 @@ def score_documents(docs: DataFrame, model: str, rounds: int = 2, id_col: str =
         yield pa.RecordBatch.from_arrays([pa.array(np.arange(CLASSES)), pa.array(total)], ["k", "n"])
 
     ends = [0] * CLASSES
-    for r in texts.where("NOT held_out").select("text").mapInArrow(kinds, "k long, n long").groupBy("k").agg(F.sum("n").alias("n")).collect():
+    for r in map_arrow(texts.where("NOT held_out").select("text"), kinds, "k long, n long").groupBy("k").agg(F.sum("n").alias("n")).collect():
         ends[r["k"]] = r["n"]
     totals = _totals(words, ends)
     every = [F.col(f"c{k}") for k in range(CLASSES)]
@@ -332,7 +332,7 @@ def score_documents(docs: DataFrame, model: str, rounds: int = 2, id_col: str =
                 h = _class_hash(_hash_words(w), np.full(len(w), k))
                 yield pa.RecordBatch.from_arrays([pa.array(h.view(np.int64)), pa.array(c[:, at].sum(0)), pa.array(uses[at]), pa.array(lp / math.log(10))], ["h", "c", "n", "lp"])
 
-    values = written(words.mapInArrow(value, "h long, c long, n long, lp double"), "word_values")
+    values = written(map_arrow(words, value, "h long, c long, n long, lp double"), "word_values")
     # the most frequent words, up to a fixed number, are looked up in the map task; all others are joined
     top_n = 1 << 14
     by_n = values.groupBy(F.least("n", F.lit(top_n)).alias("n")).count().orderBy(F.desc("n")).limit(top_n).collect()
@@ -377,7 +377,7 @@ def score_documents(docs: DataFrame, model: str, rounds: int = 2, id_col: str =
             )
             key += b.num_rows
 
-    scanned = written(texts.mapInArrow(scan, "row long, doc_id long, held_out boolean, n_tokens long, known long, base double, lp double, rare array<long>, tf array<int>"), "scanned")
+    scanned = written(map_arrow(texts, scan, "row long, doc_id long, held_out boolean, n_tokens long, known long, base double, lp double, rare array<long>, tf array<int>"), "scanned")
     rare = scanned.select("row", F.explode(F.arrays_zip("rare", "tf")).alias("x")).select("row", F.col("x.rare").alias("w"), F.col("x.tf").alias("tf"))
     joined = rare.join(values.where(F.col("n") < least).select("h", "c", "lp"), F.col("w") == F.col("h"))
     more = joined.groupBy("row").agg(

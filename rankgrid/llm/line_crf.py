@@ -16,7 +16,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from rankgrid.llm.learn import fold, labelled_sample, logistic, probability
-from rankgrid.llm.textblocks import LOWER, flat_text, prefix_hash, small_batches, span_hash, word_spans
+from rankgrid.llm.textblocks import LOWER, flat_text, map_arrow, prefix_hash, small_batches, span_hash, word_spans
 from rankgrid.llm.token_counts import id_and_text
 
 #: Bound of the labelled rows learnt from, and rounds of gradient ascent.
@@ -171,7 +171,7 @@ def _training_lines(texts: DataFrame, sample: DataFrame) -> tuple[np.ndarray, np
             x = lines.with_neighbours().astype(np.float32)
             yield pa.RecordBatch.from_arrays([b.column("doc_id").take(at), b.column("label").take(at), pa.array(lines.size), pa.array(np.arange(len(at))), pa.array([r.tobytes() for r in x], pa.binary())], ["doc_id", "label", "size", "at", "x"])
 
-    rows = texts.join(F.broadcast(sample), F.col("doc_id") == F.col("sample_id")).select("doc_id", "text", "label").mapInArrow(each, "doc_id long, label int, size double, at long, x binary").toPandas()
+    rows = map_arrow(texts.join(F.broadcast(sample), F.col("doc_id") == F.col("sample_id")).select("doc_id", "text", "label"), each, "doc_id long, label int, size double, at long, x binary").toPandas()
     rows = rows.sort_values(["doc_id", "at"], kind="stable")
     _, doc = np.unique(rows["doc_id"].to_numpy(), return_inverse=True)
     x = np.frombuffer(b"".join(rows["x"]), np.float32).reshape(len(rows), -1).astype(np.float64) if len(rows) else np.zeros((0, 44))
@@ -233,7 +233,7 @@ def score(docs: DataFrame, field: Field, modulus: int = 4, held_out: int = 2, th
             yield pa.RecordBatch.from_arrays([b.column("doc_id"), b.column("held_out"), pa.array(p), pa.array((p >= threshold).astype(np.int32))], ["doc_id", "held_out", "score", "predicted"])
 
     texts = id_and_text(docs, id_col, text_col).withColumn("held_out", F.coalesce(fold(F.col("doc_id"), modulus) == held_out, F.lit(False)))
-    return texts.mapInArrow(each, "doc_id long, held_out boolean, score double, predicted int")
+    return map_arrow(texts, each, "doc_id long, held_out boolean, score double, predicted int")
 
 
 def drop_bad(docs: DataFrame, field: Field, threshold: float = 0.7, text_col: str = "text") -> DataFrame:
@@ -248,4 +248,4 @@ def drop_bad(docs: DataFrame, field: Field, threshold: float = 0.7, text_col: st
             keep = np.flatnonzero(probability(document_features(lines, good), f.model) >= threshold)
             yield b.take(pa.array(keep))
 
-    return docs.mapInArrow(each, docs.schema)
+    return map_arrow(docs, each, docs.schema)

@@ -17,7 +17,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from rankgrid.llm.components import components
-from rankgrid.llm.textblocks import flat_text, mix, prefix_hash, small_batches, span_hash, word_hashes
+from rankgrid.llm.textblocks import flat_text, map_arrow, mix, prefix_hash, small_batches, span_hash, word_hashes
 from rankgrid.llm.token_counts import id_and_text
 from rankgrid.session import written
 
@@ -103,7 +103,7 @@ def digests(docs: DataFrame, width: int) -> DataFrame:
                 ["doc_id", "n_shingles", "s1", "s2", "bands"],
             )
 
-    return docs.mapInArrow(each, "doc_id long, n_shingles long, s1 long, s2 long, bands array<long>")
+    return map_arrow(docs, each, "doc_id long, n_shingles long, s1 long, s2 long, bands array<long>")
 
 
 def bit_filter(ids: DataFrame, column: str) -> bytes:
@@ -135,7 +135,7 @@ def _set_rows(docs: DataFrame, wanted: DataFrame, width: int) -> DataFrame:
                 yield pa.RecordBatch.from_arrays([part.column("doc_id"), pa.array([s.tobytes() for s in sets], pa.binary())], ["id", "hashes"])
 
     placed = docs.withColumn("place", F.pmod(F.xxhash64("doc_id"), F.lit(FILTER_BITS)))
-    return placed.mapInArrow(each, "id long, hashes binary")
+    return map_arrow(placed, each, "id long, hashes binary")
 
 
 def verified(docs: DataFrame, pairs: DataFrame, width: int, percent: int) -> DataFrame:
@@ -159,7 +159,7 @@ def verified(docs: DataFrame, pairs: DataFrame, width: int, percent: int) -> Dat
             part = batch.take(pa.array(keep, pa.int64()))
             yield pa.RecordBatch.from_arrays([part.column("a"), part.column("b")], ["a", "b"])
 
-    return both.mapInArrow(each, "a long, b long")
+    return map_arrow(both, each, "a long, b long")
 
 
 def _block_links(rows: pd.DataFrame, percent: int) -> list[tuple[int, int]]:

@@ -13,7 +13,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from rankgrid.llm.pretokens import broadcast_vocabulary, encoder
-from rankgrid.llm.textblocks import small_batches
+from rankgrid.llm.textblocks import map_arrow, small_batches
 from rankgrid.llm.token_counts import id_and_text, texts_of
 from rankgrid.session import written
 
@@ -45,7 +45,7 @@ def token_pieces(docs: DataFrame, tokenizer: str, capacity: int = 2048, end_id:
                 ["doc_id", "piece", "start", "length", "ids_crc32"],
             )
 
-    return id_and_text(docs, id_col, text_col).mapInArrow(cut, "doc_id long, piece int, start long, length long, ids_crc32 long")
+    return map_arrow(id_and_text(docs, id_col, text_col), cut, "doc_id long, piece int, start long, length long, ids_crc32 long")
 
 
 def sum_of_squares(lengths: np.ndarray, capacity: int) -> tuple[np.ndarray, np.ndarray]:

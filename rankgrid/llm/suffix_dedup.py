@@ -19,7 +19,7 @@ import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from rankgrid.llm.textblocks import flat_text, prefix_hash, small_batches, span_hash
+from rankgrid.llm.textblocks import flat_text, map_arrow, prefix_hash, small_batches, span_hash
 from rankgrid.llm.token_counts import id_and_text
 from rankgrid.session import written
 
@@ -102,7 +102,7 @@ def _names(texts: DataFrame, length: int) -> DataFrame:
             np.logical_or.at(inner, np.searchsorted(names, s.names), s.inner)
             yield pa.RecordBatch.from_arrays([_column(names), pa.array((n + inner).astype(np.int32))], ["name", "n"])
 
-    return texts.select("text").mapInArrow(each, "name long, n int").groupBy("name").agg(F.sum("n").alias("n"))
+    return map_arrow(texts.select("text"), each, "name long, n int").groupBy("name").agg(F.sum("n").alias("n"))
 
 
 def _bits(rows: DataFrame, column: str) -> np.ndarray:
@@ -135,7 +135,7 @@ def _candidates(texts: DataFrame, shared, length: int) -> DataFrame:
                 ["doc_id", "text_hash", "first", "windows", "name", "d1", "d2", "inner"],
             )
 
-    return texts.mapInArrow(each, "doc_id long, text_hash long, first long, windows long, name long, d1 long, d2 long, inner boolean")
+    return map_arrow(texts, each, "doc_id long, text_hash long, first long, windows long, name long, d1 long, d2 long, inner boolean")
 
 
 def _segment_bytes(texts: DataFrame, shared, length: int) -> DataFrame:
@@ -151,7 +151,7 @@ def _segment_bytes(texts: DataFrame, shared, length: int) -> DataFrame:
                 parts = [data[f : e + length].tobytes() for f, e in zip(s.first[k], s.last[k], strict=True)]
                 yield pa.RecordBatch.from_arrays([_column(s.names[k]), _column(s.d1[k]), _column(s.d2[k]), pa.array(parts, pa.binary())], ["b_name", "b_d1", "b_d2", "bytes"])
 
-    return texts.select("text").mapInArrow(each, "b_name long, b_d1 long, b_d2 long, bytes binary")
+    return map_arrow(texts.select("text"), each, "b_name long, b_d1 long, b_d2 long, bytes binary")
 
 
 def tied_windows(group: np.ndarray, windows: np.ndarray) -> np.ndarray:
@@ -212,7 +212,7 @@ def _sorted_buckets(residue: DataFrame, length: int, window_limit: int = 50_000)
         if held:
             yield flush(held)
 
-    return residue.mapInArrow(each, "r_name long, r_d1 long, r_d2 long, runs array<struct<lo:long,hi:long>>")
+    return map_arrow(residue, each, "r_name long, r_d1 long, r_d2 long, runs array<struct<lo:long,hi:long>>")
 
 
 def _counted_windows(residue: DataFrame, length: int) -> DataFrame:
@@ -228,7 +228,7 @@ def _counted_windows(residue: DataFrame, length: int) -> DataFrame:
                 n = len(at)
                 yield pa.RecordBatch.from_arrays([pa.array(np.full(n, v)) for v in (name, d1, d2)] + [pa.array(at), _column(w1), _column(w2)], ["r_name", "r_d1", "r_d2", "at", "w1", "w2"])
 
-    rows = residue.mapInArrow(explode, "r_name long, r_d1 long, r_d2 long, at long, w1 long, w2 long")
+    rows = map_arrow(residue, explode, "r_name long, r_d1 long, r_d2 long, at long, w1 long, w2 long")
     again = rows.groupBy("w1", "w2").agg(F.count("*").alias("n")).where("n > 1").select(F.col("w1").alias("v1"), F.col("w2").alias("v2"))
     tied = rows.join(again, (F.col("w1") == F.col("v1")) & (F.col("w2") == F.col("v2")), "left_semi")
     return tied.groupBy("r_name", "r_d1", "r_d2").agg(F.collect_list(F.struct(F.col("at").alias("lo"), F.col("at").alias("hi"))).alias("runs"))
@@ -304,4 +304,4 @@ def remove_repeats(docs: DataFrame, length: int = 200, id_col: str = "doc_id", t
             names = ["doc_id", "n_bytes", "n_removed", "n_spans", "kept_sha256"]
             yield pa.RecordBatch.from_arrays([*arrays, pa.array(kept, pa.binary())] if with_text else arrays, [*names, "kept_bytes"] if with_text else names)
 
-    return joined.mapInArrow(each, "doc_id long, n_bytes long, n_removed long, n_spans long, kept_sha256 string" + ", kept_bytes binary" * with_text)
+    return map_arrow(joined, each, "doc_id long, n_bytes long, n_removed long, n_spans long, kept_sha256 string" + ", kept_bytes binary" * with_text)

@@ -2,11 +2,13 @@
 
 from __future__ import annotations
 
-from collections.abc import Iterable, Iterator
+import ctypes
+from collections.abc import Callable, Iterable, Iterator
 
 import numpy as np
 import pyarrow as pa
 import pyarrow.compute as pc
+from pyspark.sql import DataFrame
 
 #: Odd multiplier of the rolling hash and its inverse modulo 2**64.
 BASE = 0x9E3779B97F4A7C15
@@ -16,6 +18,33 @@ WHITE[[0x20, 0x09, 0x0A, 0x0B, 0x0C, 0x0D]] = True
 LOWER = np.arange(256, dtype=np.uint8)
 LOWER[65:91] += 32
 _powers = [np.ones(1, np.uint64), np.ones(1, np.uint64)]
+#: Bytes of an Arrow batch between Spark and a worker (one row may be larger).
+ARROW_BYTES = 8 << 20
+
+
+def give_back() -> None:
+    """Freed memory of this worker to the system: workers live on between tasks, beside the next stage's."""
+    _powers[:] = np.ones(1, np.uint64), np.ones(1, np.uint64)
+    pa.default_memory_pool().release_unused()
+    trim = getattr(ctypes.CDLL(None), "malloc_trim", None)
+    if trim:
+        trim(0)
+
+
+def map_arrow(df: DataFrame, each: Callable[[Iterable[pa.RecordBatch]], Iterator[pa.RecordBatch]], schema) -> DataFrame:
+    """df.mapInArrow(each, schema) in batches of ARROW_BYTES, by workers that keep no freed memory when a task ends.
+
+    The bound is a setting of the session that holds for later plans too; results don't depend on it.
+    """
+
+    def lean(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        try:
+            yield from each(batches)
+        finally:
+            give_back()
+
+    df.sparkSession.conf.set("spark.sql.execution.arrow.maxBytesPerBatch", str(ARROW_BYTES))
+    return df.mapInArrow(lean, schema)
 
 
 def powers(n: int) -> tuple[np.ndarray, np.ndarray]:

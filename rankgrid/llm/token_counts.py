@@ -11,7 +11,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from rankgrid.llm.pretokens import broadcast_vocabulary, encoder
-from rankgrid.llm.textblocks import small_batches
+from rankgrid.llm.textblocks import map_arrow, small_batches
 
 
 def texts_of(batch: pa.RecordBatch) -> list[str]:
@@ -37,4 +37,4 @@ def token_counts(docs: DataFrame, tokenizer: str, limit: int = 1024, id_col: str
             size = pc.fill_null(pc.binary_length(b.column("text")), 0).cast(pa.int64())
             yield pa.RecordBatch.from_arrays([b.column("doc_id"), size, pa.array(n), pa.array(np.greater(n, limit))], ["doc_id", "n_bytes", "n_tokens", "over_limit"])
 
-    return id_and_text(docs, id_col, text_col).mapInArrow(count, "doc_id long, n_bytes long, n_tokens long, over_limit boolean")
+    return map_arrow(id_and_text(docs, id_col, text_col), count, "doc_id long, n_bytes long, n_tokens long, over_limit boolean")

@@ -18,7 +18,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from rankgrid.llm.pretokens import broadcast_vocabulary, encoder
-from rankgrid.llm.textblocks import small_batches
+from rankgrid.llm.textblocks import map_arrow, small_batches
 from rankgrid.llm.token_counts import id_and_text, texts_of
 from rankgrid.session import written
 
@@ -119,7 +119,7 @@ def write_store(docs: DataFrame, tokenizer: str, end_id: int = 2, planes: str =
 
     shards = int(spark.conf.get("spark.sql.shuffle.partitions"))
     ordered = id_and_text(docs, id_col, text_col).repartitionByRange(shards, "doc_id").sortWithinPartitions("doc_id", "text")
-    return written(ordered.mapInArrow(segments, SCHEMA), "token_store")
+    return written(map_arrow(ordered, segments, SCHEMA), "token_store")
 
 
 def read_documents(store: DataFrame) -> DataFrame:
@@ -137,7 +137,7 @@ def read_documents(store: DataFrame) -> DataFrame:
                     ["shard", "doc_id", "within", "n_tokens", "ids_crc32"],
                 )
 
-    docs = store.mapInArrow(each, "shard int, doc_id long, within long, n_tokens long, ids_crc32 long")
+    docs = map_arrow(store, each, "shard int, doc_id long, within long, n_tokens long, ids_crc32 long")
     # one row a shard: as many as shuffle partitions, whatever the input
     sizes = store.groupBy("shard").agg(F.sum("n_ids").alias("ids"))
     bases = sizes.select(F.col("shard").alias("of_shard"), (F.sum("ids").over(Window.orderBy("shard")) - F.col("ids")).alias("base"))
@@ -154,4 +154,4 @@ def read_ids(store: DataFrame) -> DataFrame:
                 at = pa.array(np.concatenate([[0], np.cumsum(row["doc_lengths"])]), pa.int32())
                 yield pa.RecordBatch.from_arrays([pa.array(row["doc_ids"], pa.int64()), pa.ListArray.from_arrays(at, pa.array(ids, pa.int64()))], ["doc_id", "ids"])
 
-    return store.mapInArrow(each, "doc_id long, ids array<long>")
+    return map_arrow(store, each, "doc_id long, ids array<long>")

@@ -19,7 +19,7 @@ from pyspark.sql import functions as F
 from rankgrid.llm.decontaminate import BREAKS
 from rankgrid.llm.learn import fold, labelled_sample, logistic, probability
 from rankgrid.llm.pretokens import HashIndex
-from rankgrid.llm.textblocks import LOWER, flat_text, prefix_hash, small_batches, span_hash, word_spans
+from rankgrid.llm.textblocks import LOWER, flat_text, map_arrow, prefix_hash, small_batches, span_hash, word_spans
 from rankgrid.llm.token_counts import id_and_text
 
 INSULT, THREAT, TARGET, NEGATION, REPORT = 1, 2, 3, 4, 5
@@ -175,7 +175,7 @@ def _pattern_counts(texts: DataFrame, sample: DataFrame) -> DataFrame:
                 yield pa.RecordBatch.from_arrays([pa.array(names.view(np.int64)), pa.array(np.full(len(names), size, np.int32)), pa.array(toxic), pa.array(n - toxic)], ["pattern", "size", "toxic", "clean"])
 
     rows = texts.join(F.broadcast(sample), F.col("doc_id") == F.col("sample_id")).select("text", "label")
-    return rows.mapInArrow(each, "pattern long, size int, toxic long, clean long").groupBy("pattern", "size").agg(F.sum("toxic").alias("toxic"), F.sum("clean").alias("clean"))
+    return map_arrow(rows, each, "pattern long, size int, toxic long, clean long").groupBy("pattern", "size").agg(F.sum("toxic").alias("toxic"), F.sum("clean").alias("clean"))
 
 
 def _lexicon() -> dict[tuple[int, int], tuple[int, float]]:
@@ -217,7 +217,7 @@ def sample_features(texts: DataFrame, sample: DataFrame, grammar: Grammar) -> tu
             x = machine.features(b.column("text"))
             yield pa.RecordBatch.from_arrays([b.column("label"), *[pa.array(x[:, k]) for k in range(x.shape[1])]], ["label", *[f"x{k}" for k in range(x.shape[1])]])
 
-    rows = texts.join(F.broadcast(sample), F.col("doc_id") == F.col("sample_id")).select("text", "label").mapInArrow(each, "label int, x0 double, x1 double, x2 double, x3 double, x4 double").toPandas()
+    rows = map_arrow(texts.join(F.broadcast(sample), F.col("doc_id") == F.col("sample_id")).select("text", "label"), each, "label int, x0 double, x1 double, x2 double, x3 double, x4 double").toPandas()
     return rows.drop(columns="label").to_numpy(np.float64), rows["label"].to_numpy(np.float64)
 
 
@@ -236,4 +236,4 @@ def score(docs: DataFrame, grammar: Grammar, modulus: int = 5, held_out: int = 0
             yield pa.RecordBatch.from_arrays([b.column("doc_id"), b.column("held_out"), pa.array(p), pa.array((p >= threshold).astype(np.int32))], ["doc_id", "held_out", "score", "predicted"])
 
     texts = id_and_text(docs, id_col, text_col).withColumn("held_out", F.coalesce(fold(F.col("doc_id"), modulus) == held_out, F.lit(False)))
-    return texts.mapInArrow(each, "doc_id long, held_out boolean, score double, predicted int")
+    return map_arrow(texts, each, "doc_id long, held_out boolean, score double, predicted int")

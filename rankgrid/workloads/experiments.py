@@ -40,7 +40,7 @@ for _kind, _name in (("longrange", "w1_longrange"), ("decay", "w2_overlap")):
 @query("SELECT m AS matrix, CAST(625 AS BIGINT) AS blocks, true AS some_absent FROM (SELECT unnest(['input', 'x', 't', 'z', 'y']) AS m)")
 def w3_hist(spark, sf_dir):
     """Rank histograms of the input and of the matrices of round five: all tiles counted, some absent by decay."""
-    m = customer(spark, sf_dir, share=25, by="nation")
+    m = customer(spark, sf_dir, by="nation")
     r = inv_sqrt(m, 5, options=Options(eps_lr=EPS_LR, eps_sp=EPS_SP))
     out, n = None, m.rows.blocks
     for name, b in (("input", m), ("x", r.x), ("t", r.t), ("z", r.z), ("y", r.y)):

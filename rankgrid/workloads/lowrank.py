@@ -27,9 +27,9 @@ def supplier(spark, sf_dir, kind="decay", by="region", eps_lr=0.0) -> BlockMatri
     return BlockMatrix(written(m.blocks, "kernel"), m.rows, m.cols)
 
 
-def customer(spark, sf_dir, kind="decay", eps_lr=EPS_LR, share=5, by="region") -> BlockMatrix:
-    """The kernel over every share-th customer: the experiments' matrix at the size of the test tables."""
-    m, _ = mx.kernel_matrix(mx.positions(spark, sf_dir, "customer", f"c_custkey % {share} = 0"), kind, eps_lr=eps_lr, by=by, zero_below=EPS_SP)
+def customer(spark, sf_dir, kind="decay", eps_lr=EPS_LR, by="region") -> BlockMatrix:
+    """The kernel over all customers: the experiments' matrix."""
+    m, _ = mx.kernel_matrix(mx.positions(spark, sf_dir, "customer"), kind, eps_lr=eps_lr, by=by, zero_below=EPS_SP)
     return BlockMatrix(written(m.blocks, "kernel"), m.rows, m.cols)
 
 
@@ -274,7 +274,7 @@ def invsqrt_residuals(spark, sf_dir):
 @query()
 def invsqrt_rank_log(spark, sf_dir):
     """round, matrix, bin, blocks: ranks of the tiles of x, t, z and y in each of five rounds."""
-    m = customer(spark, sf_dir, share=25, by="nation")
+    m = customer(spark, sf_dir, by="nation")
     logs = []
 
     def log(k, roots):
@@ -325,7 +325,7 @@ def lrb_error(spark, sf_dir):
 def eps_sweep(spark, sf_dir):
     """Error, mean rank and storage over thresholds, customers' long-range kernel."""
     rows = []
-    dense = customer(spark, sf_dir, "longrange", eps_lr=0.0, share=10)
+    dense = customer(spark, sf_dir, "longrange", eps_lr=0.0)
     for eps in (1e-1, 1e-3, 1e-5, 1e-7):
         low = lrb.compress(dense, eps)
         low = BlockMatrix(written(low.blocks, "sweep"), low.rows, low.cols)

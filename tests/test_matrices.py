@@ -119,3 +119,15 @@ def test_orderings_and_splits(spark):
     assert o == {2: (0, 0, 0), 3: (1, 1, 0), 1: (2, 1, 1)}
     cut = blocking.overdecompose(blocking.uniform_blocking(spark, "x", 10, 7), 3).orderBy("start").collect()
     assert [(r["start"], r["len"]) for r in cut] == [(0, 2), (2, 2), (4, 3), (7, 3)]
+
+
+def test_customer_kernel_has_every_customer(spark):
+    from rankgrid.session import table
+    from rankgrid.workloads.lowrank import customer
+
+    sf_dir = "/root/testdata/sf0.001"
+    n = table(spark, sf_dir, "customer").count()
+    for by in ("region", "nation"):
+        m = customer(spark, sf_dir, "longrange", eps_lr=0.0, by=by)
+        assert (m.rows.n, m.cols.n) == (n, n)
+        assert m.blocks.selectExpr("sum(m * n)").first()[0] == n * n

@@ -11,11 +11,11 @@ from rankgrid.operators.multiply import Grid, mm_panels, mm_sparse
 from rankgrid.plans import costs, measures, schedule
 from rankgrid.registry import query
 from rankgrid.schema import BlockMatrix
-from rankgrid.session import table, written
+from rankgrid.session import written
 from rankgrid.sources import matrices as mx
 from rankgrid.workloads import fragments as s
 from rankgrid.workloads.lowrank import EPS_LR, EPS_SP, customer
-from rankgrid.workloads.products import d1
+from rankgrid.workloads.products import customer_supplier, d1
 
 
 def _inverse(kind):
@@ -148,9 +148,7 @@ def w12_spgemm(spark, sf_dir):
     """Sparse products: suppliers that share parts, and customers by suppliers."""
     m = d1(spark, sf_dir)
     one = mm_sparse(m.T, m).to_coo()
-    parts, supp = table(spark, sf_dir, "part").count(), table(spark, sf_dir, "supplier").count()
-    a = mx.tiles_of(mx.cust_part(spark, sf_dir).where("i < 50"), 50, parts, 25, max(1, parts // 8))
-    b = mx.tiles_of(mx.part_supp(spark, sf_dir), parts, supp, max(1, parts // 8), supp)
+    a, b = customer_supplier(spark, sf_dir)
     return one.select(F.lit("co_supply").alias("what"), "*").union(mm_sparse(a, b).to_coo().select(F.lit("customer_supplier").alias("what"), "*"))
 
 

@@ -15,6 +15,9 @@ from rankgrid.session import table
 from rankgrid.sources import matrices as mx
 from rankgrid.workloads import fragments as s
 
+#: Side of the tiles of operands that grow with the tables.
+SIDE = 250
+
 D4_GRAM = s.product(s.D4, s.t(s.D4))
 
 
@@ -205,8 +208,7 @@ def mm_sparse_doc(spark, sf_dir):
 
 @query("SELECT CAST(a.i AS BIGINT) AS i, CAST(b.i AS BIGINT) AS j, round(SUM(a.v * b.v), 6) + 0.0 AS v FROM " + s.D3 + " a JOIN " + s.D3 + " b ON a.j = b.j WHERE a.i < 100 AND b.i < 100 GROUP BY 1, 2")
 def mm_abt_embeddings(spark, sf_dir):
-    e = mx.embedding_entries(spark, sf_dir).where("i < 100")
-    m = mx.tiles_of(e, 100, 64, 25, 16)
+    m = mx.tiles_of(mx.embedding_entries(spark, sf_dir), table(spark, sf_dir, "embeddings").count(), 64, SIDE, 16)
     c = multiply.multiply_blocks(m, m, tb=True, depth="all").to_coo(drop_zeros=False)
     return c.select("i", "j", (F.round("v", 6) + 0.0).alias("v"))
 
@@ -217,12 +219,16 @@ def mm_atb(spark, sf_dir):
     return multiply.multiply_blocks(m, m, ta=True, depth="all").to_coo()
 
 
+def customer_supplier(spark, sf_dir) -> tuple[BlockMatrix, BlockMatrix]:
+    """All customers by parts, and parts by suppliers."""
+    cust, parts, supp = (table(spark, sf_dir, t).count() for t in ("customer", "part", "supplier"))
+    return mx.tiles_of(mx.cust_part(spark, sf_dir), cust, parts, SIDE), mx.tiles_of(mx.part_supp(spark, sf_dir), parts, supp, SIDE)
+
+
 @query(f"SELECT * FROM ({s.product(s.D2, s.D1)}) WHERE i < 50")
 def mm_rect(spark, sf_dir):
     """Customers by suppliers through parts on a grid of 3 x 1."""
-    parts, supp = table(spark, sf_dir, "part").count(), table(spark, sf_dir, "supplier").count()
-    a = mx.tiles_of(mx.cust_part(spark, sf_dir).where("i < 50"), 50, parts, 20, max(1, parts // 8))
-    b = mx.tiles_of(mx.part_supp(spark, sf_dir), parts, supp, max(1, parts // 8), supp)
+    a, b = customer_supplier(spark, sf_dir)
     return multiply.mm_panels(a, b, Grid(3, 1), depth="all").to_coo()
 
 

@@ -109,14 +109,14 @@ def threshold_drop(spark, sf_dir):
 
 @query("SELECT CAST(a.i AS BIGINT) AS i, CAST(b.i AS BIGINT) AS j, round(SUM(a.v * b.v), 6) + 0.0 AS v FROM " + s.D3 + " a JOIN " + s.D3 + " b ON a.j = b.j WHERE a.i < 60 AND b.i < 60 AND a.i <= b.i GROUP BY 1, 2")
 def triangle_upper(spark, sf_dir):
-    e = mx.embedding_entries(spark, sf_dir).where("i < 60")
+    e = mx.embedding_entries(spark, sf_dir)
     b = e.select(F.col("i").alias("i2"), F.col("j").alias("k"), F.col("v").alias("v2"))
     return e.join(b, (F.col("j") == F.col("k")) & (F.col("i") <= F.col("i2"))).groupBy("i", F.col("i2").alias("j")).agg((F.round(F.sum(F.col("v") * F.col("v2")), 6) + 0.0).alias("v"))
 
 
 def _hinted(hint):
     def run(spark, sf_dir):
-        a = mx.cust_part(spark, sf_dir).where("i < 50")
+        a = mx.cust_part(spark, sf_dir)
         b = mx.part_supp(spark, sf_dir).select(F.col("i").alias("k"), F.col("j").alias("j2"), F.col("v").alias("v2"))
         return a.hint(hint).join(b.hint(hint), F.col("j") == F.col("k")).groupBy("i", F.col("j2").alias("j")).agg(F.sum(F.col("v") * F.col("v2")).alias("v"))
 
@@ -170,8 +170,8 @@ def join_semi_screen(spark, sf_dir):
 @query("SELECT CAST(p_partkey AS BIGINT) AS part, CAST(s_nationkey AS INTEGER) AS nation FROM part, (SELECT DISTINCT s_nationkey FROM supplier) n WHERE p_partkey < 200 AND NOT EXISTS (SELECT 1 FROM lineitem JOIN supplier s2 ON l_suppkey = s2.s_suppkey WHERE l_partkey = p_partkey AND s2.s_nationkey = n.s_nationkey)")
 def join_anti_absent(spark, sf_dir):
     """Pairs of two small dimensions without an entry."""
-    lines = table(spark, sf_dir, "lineitem").where("l_partkey < 200").join(table(spark, sf_dir, "supplier"), F.col("l_suppkey") == F.col("s_suppkey")).select(F.col("l_partkey").alias("lp"), F.col("s_nationkey").alias("ln"))
-    every = table(spark, sf_dir, "part").where("p_partkey < 200").select(F.col("p_partkey").alias("part")).crossJoin(table(spark, sf_dir, "supplier").select(F.col("s_nationkey").alias("nation")).distinct())
+    lines = table(spark, sf_dir, "lineitem").join(table(spark, sf_dir, "supplier"), F.col("l_suppkey") == F.col("s_suppkey")).select(F.col("l_partkey").alias("lp"), F.col("s_nationkey").alias("ln"))
+    every = table(spark, sf_dir, "part").select(F.col("p_partkey").alias("part")).crossJoin(table(spark, sf_dir, "supplier").select(F.col("s_nationkey").alias("nation")).distinct())
     return every.join(lines, (F.col("part") == F.col("lp")) & (F.col("nation") == F.col("ln")), "left_anti")
 
 

@@ -402,11 +402,10 @@ WITH t AS (SELECT DISTINCT doc_id, token FROM {_TOK} WHERE length(token) >= 9),
 r AS (SELECT token FROM t GROUP BY token HAVING count(*) <= 200)
 SELECT t.doc_id, b.item_id, count(*) AS shared FROM t JOIN r ON t.token = r.token JOIN b ON t.token = b.token GROUP BY 1, 2 HAVING count(*) >= 3""")
 def doc_benchmark_overlap(spark, sf_dir):
-    """Documents and items that share three long and rare words or more."""
+    """Documents and items that share three long words or more, however many documents have them."""
     t = mx.tokens(table(spark, sf_dir, "documents")).where("length(token) >= 9").select("doc_id", "token").distinct()
-    rare = t.groupBy("token").count().where("count <= 200").select(F.col("token").alias("rt"))
     b = table(spark, sf_dir, "benchmark").select("item_id", F.explode(F.regexp_extract_all(F.lower("text"), F.lit("[a-z]{3,}"), F.lit(0))).alias("bt")).distinct()
-    return t.join(rare, F.col("token") == F.col("rt"), "left_semi").join(b, F.col("token") == F.col("bt")).groupBy("doc_id", "item_id").agg(F.count("*").alias("shared")).where("shared >= 3")
+    return t.join(b, F.col("token") == F.col("bt")).groupBy("doc_id", "item_id").agg(F.count("*").alias("shared")).where("shared >= 3")
 
 
 @query("SELECT conv_id, role, count(*) AS n FROM conversations GROUP BY 1, 2")

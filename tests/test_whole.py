@@ -1,5 +1,8 @@
 """Queries over whole tables against brute force; within the SQL's own subset of rows they agree with it."""
 
+import collections
+import re
+
 import duckdb
 import numpy as np
 import pyarrow.parquet as pq
@@ -59,3 +62,12 @@ def test_every_part(spark):
     got = run(spark, "join_anti_absent", LARGER)
     assert len(got) == len(want)
     assert {(p, n) for n, p in got} == want
+
+
+def test_words_of_many_documents_count(spark, tmp_path):
+    docs = [(k, "en", "remarkable telescopes everywhere" if k < 230 else "remarkable telescopes") for k in range(240)]
+    spark.createDataFrame(docs, "doc_id long, lang string, text string").write.parquet(f"{tmp_path}/documents.parquet")
+    spark.createDataFrame([(1, "Remarkable telescopes, everywhere"), (2, "something else")], "item_id long, text string").write.parquet(f"{tmp_path}/benchmark.parquet")
+    words = lambda t: {w for w in re.findall("[a-z]{3,}", t.lower()) if len(w) >= 9}
+    got = run(spark, "doc_benchmark_overlap", str(tmp_path))
+    assert collections.Counter(got) == collections.Counter((d, 1, 3) for d, _, t in docs if len(words(t)) == 3)

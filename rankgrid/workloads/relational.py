@@ -354,13 +354,29 @@ def topk_per_row(spark, sf_dir):
     return m.withColumn("r", F.row_number().over(Window.partitionBy("i").orderBy(F.desc("v"), "j"))).where("r <= 3").drop("r")
 
 
+#: Embeddings of a block of the nearest-neighbour search.
+KNN_BLOCK = 500
+
+
 @query("SELECT i, j FROM (SELECT CAST(a.i AS BIGINT) AS i, CAST(b.i AS BIGINT) AS j, row_number() OVER (PARTITION BY a.i ORDER BY round(SUM(a.v * b.v), 9) DESC, b.i) AS r FROM " + s.D3 + " a JOIN " + s.D3 + " b ON a.j = b.j WHERE a.i < 20 AND b.i <> a.i GROUP BY a.i, b.i) WHERE r <= 5")
 def knn_gram(spark, sf_dir):
-    """Five nearest embeddings by dot product of a stated query set: the first 20 against all."""
+    """Five nearest embeddings by dot product of every embedding: blocks are paired, and a pair's candidates chosen, inside tasks."""
     e = table(spark, sf_dir, "embeddings").select(F.col("vec_id").alias("id"), F.transform("embedding", lambda x: x.cast("double")).alias("e"))
-    q = F.broadcast(e.where("id < 20").select(F.col("id").alias("i"), F.col("e").alias("qe")))
-    dot = F.aggregate(F.zip_with("e", "qe", lambda x, y: x * y), F.lit(0.0), lambda a, x: a + x)
-    rows = e.join(q, F.col("id") != F.col("i")).select("i", F.col("id").alias("j"), F.round(dot, 9).alias("d"))
+    block = e.groupBy(F.floor(F.col("id") / KNN_BLOCK).alias("b")).agg(F.sort_array(F.collect_list(F.struct("id", "e"))).alias("v")).select("v")
+    pairs = block.withColumnRenamed("v", "q").crossJoin(block)
+
+    def nearest(batches):
+        for batch in batches:
+            for r in batch.to_pylist():
+                (qi, q), (vi, v) = ((np.array([x["id"] for x in r[c]]), np.array([x["e"] for x in r[c]])) for c in ("q", "v"))
+                d = np.round(q @ v.T, 9)
+                d[qi[:, None] == vi[None, :]] = -np.inf
+                top = np.argsort(-d, axis=1, kind="stable")[:, :5]  # v is in the order of ids, which settles ties
+                best = np.take_along_axis(d, top, axis=1)
+                there = best > -np.inf
+                yield pa.RecordBatch.from_arrays([pa.array(np.broadcast_to(qi[:, None], top.shape)[there]), pa.array(vi[top][there]), pa.array(best[there])], ["i", "j", "d"])
+
+    rows = pairs.mapInArrow(nearest, "i long, j long, d double")
     return rows.withColumn("r", F.row_number().over(Window.partitionBy("i").orderBy(F.desc("d"), "j"))).where("r <= 5").select("i", "j")
 
 

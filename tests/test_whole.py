@@ -71,3 +71,15 @@ def test_words_of_many_documents_count(spark, tmp_path):
     words = lambda t: {w for w in re.findall("[a-z]{3,}", t.lower()) if len(w) >= 9}
     got = run(spark, "doc_benchmark_overlap", str(tmp_path))
     assert collections.Counter(got) == collections.Counter((d, 1, 3) for d, _, t in docs if len(words(t)) == 3)
+
+
+def test_every_vector_is_a_query(spark):
+    e = read("embeddings").sort_by("vec_id")
+    x = np.array(e["embedding"].to_pylist(), np.float64)
+    d = np.round(x @ x.T, 9)
+    np.fill_diagonal(d, -np.inf)
+    want = {(i, int(j)) for i in range(len(x)) for j in np.argsort(-d[i], kind="stable")[:5]}
+    got = run(spark, "knn_gram")
+    assert len(got) == 5 * len(x)
+    assert set(got) == want
+    assert sorted(r for r in got if r[0] < 20) == sorted(sql(registry.oracle_sql()["knn_gram"], "ij"))

@@ -38,6 +38,9 @@ SAMPLE, STEMS, STEM_BYTES = 12_000, 3_000, (4, 5, 6, 7, 8, 9, 10)
 #: Bytes that end a clause.
 CLAUSE = np.zeros(256, bool)
 CLAUSE[[ord(c) for c in ".,;:!?\n|"]] = True
+#: Those of them that reported speech doesn't reach over.
+SENTENCE = CLAUSE.copy()
+SENTENCE[[ord(c) for c in ",:"]] = False
 
 
 def folded(data: np.ndarray) -> np.ndarray:
@@ -68,9 +71,23 @@ class Words:
 
     def clauses(self) -> np.ndarray:
         """A number for the clause of each word; clauses don't cross documents."""
-        stops = np.concatenate([[0], np.cumsum(CLAUSE[self.data])])
+        return self._parts(CLAUSE)
+
+    def sentences(self) -> np.ndarray:
+        """A number for the sentence of each word, where commas and colons don't end one."""
+        return self._parts(SENTENCE)
+
+    def _parts(self, ends: np.ndarray) -> np.ndarray:
+        stops = np.concatenate([[0], np.cumsum(ends[self.data])])
         return stops[self.starts] + self.row if len(self.starts) else np.zeros(0, np.int64)
 
+    def contractions(self) -> tuple[np.ndarray, np.ndarray]:
+        """Words that an apostrophe joins to the word before, and the hashes of both with the apostrophe."""
+        joined = (self.starts[1:] == self.ends[:-1] + 1) & (self.row[1:] == self.row[:-1])
+        at = np.flatnonzero(joined) + 1
+        at = at[self.data[self.ends[at - 1]] == ord("'")]
+        return at, span_hash(self.prefix, self.starts[at - 1], self.ends[at])
+
 
 def _word_hash(word: bytes) -> int:
     x = np.frombuffer(word, np.uint8)
@@ -109,6 +126,11 @@ class Machine:
             entry = index.find(h)
             hit = entry >= 0
             kind[at[hit]], weight[at[hit]] = self.grammar.classes[entry[hit]], self.grammar.weights[entry[hit]]
+            if not size:
+                at, h = words.contractions()
+                entry = index.find(h)
+                hit = entry >= 0
+                kind[at[hit]], weight[at[hit]] = self.grammar.classes[entry[hit]], self.grammar.weights[entry[hit]]
         return kind, weight
 
     def features(self, column: pa.Array) -> np.ndarray:
@@ -119,20 +141,22 @@ class Machine:
         hot = np.flatnonzero((kind == INSULT) | (kind == THREAT))
         if not len(hot):
             return out
-        clause = words.clauses()
-        wanted = np.isin(clause, clause[hot]) & (kind > 0)
+        clause, sentence = words.clauses(), words.sentences()
+        wanted = (np.isin(clause, clause[hot]) & (kind > 0)) | (kind == REPORT)
         sums, most, threats, matched = np.zeros(len(column)), np.zeros(len(column)), np.zeros(len(column)), np.zeros(len(column))
-        now, state = -1, None
+        now, state, told = -1, None, None
         for k in np.flatnonzero(wanted).tolist():
             if clause[k] != now:
                 if state:
                     self._close(state, sums, most, threats)
-                now, state = clause[k], {"row": words.row[k], "negated": -99, "reported": False, "target": False, "weights": [], "threat": False}
+                # reported speech reaches over a comma or colon into the next clause
+                carried = told is not None and words.row[told] == words.row[k] and sentence[told] == sentence[k] and clause[k] - clause[told] == 1
+                now, state = clause[k], {"row": words.row[k], "negated": -99, "reported": carried, "target": False, "weights": [], "threat": False}
             c = kind[k]
             if c == NEGATION:
                 state["negated"] = k
             elif c == REPORT:
-                state["reported"] = True
+                state["reported"], told = True, k
             elif c == TARGET:
                 state["target"] = True
             else:
@@ -179,7 +203,7 @@ def _pattern_counts(texts: DataFrame, sample: DataFrame) -> DataFrame:
 
 
 def _lexicon() -> dict[tuple[int, int], tuple[int, float]]:
-    return {(_word_hash(w.encode()), 0): (c, PRIOR if c == INSULT else 1.0) for c, words in LEXICON.items() for w in words}
+    return {(_word_hash(form.encode()), 0): (c, PRIOR if c == INSULT else 1.0) for c, words in LEXICON.items() for w in words for form in {w, w.replace("'", "’")}}
 
 
 def fit(docs: DataFrame, labels: DataFrame, modulus: int = 5, held_out: int = 0, sample_rows: int = SAMPLE, id_col: str = "doc_id", text_col: str = "text") -> Grammar:

@@ -304,6 +304,16 @@ def test_grammar_reads_clauses():
     assert not x[6:].any()
 
 
+def test_grammar_reads_contractions_and_reports():
+    names, values = zip(*sorted(toxicity._lexicon().items()), strict=True)
+    g = toxicity.Grammar(np.array([h for h, _ in names], np.uint64), np.array([z for _, z in names]), np.array([c for c, _ in values], np.int8), np.array([w for _, w in values]), np.zeros(6))
+    texts = ["an idiot", "isn't an idiot", "isn’t an idiot", "don t idiot", "she said, an idiot", "he wrote: an idiot", "she said. An idiot", "she said, well, an idiot"]
+    plain, *most = g.machine().features(pa.array(texts))[:, 1]
+    assert most[0] == most[1] == pytest.approx(plain * toxicity.NEGATED)
+    assert most[3] == most[4] == pytest.approx(plain * toxicity.REPORTED)
+    assert most[2] == most[5] == most[6] == plain
+
+
 def test_quality(spark, docs, empty):
     mine, labels = labelled(spark, lambda k: "\n".join(prose(k + 1000 * j, 30) + "." for j in range(4)), lambda k: "\n".join("| $$ ## ** " * 20 for _ in range(5)))
     f = line_crf.fit(mine, labels)

@@ -27,8 +27,8 @@ from rankgrid.llm.textblocks import LOWER, flat_text, map_arrow, mix, prefix_has
 from rankgrid.llm.token_counts import id_and_text
 from rankgrid.session import written
 
-#: Bytes of the longest piece used; distinct words held before a task sends them on; words whose values are broadcast.
-LONGEST, HELD, FREQUENT = 12, 400_000, 1 << 18
+#: Distinct words held before a task sends them on; words whose values are broadcast.
+HELD, FREQUENT = 400_000, 1 << 18
 #: Fixed lists of function words that tell the classes apart; class 0 has none of them.
 FUNCTION_WORDS = {
     1: "the of and to in is that it for was with as be this by at not are from or an which have".split(),
@@ -81,7 +81,7 @@ def existing_pieces(model: str) -> Pieces:
             continue
         piece = sp.id_to_piece(i)
         raw = (chr(START) + piece[1:] if piece.startswith("▁") else piece).encode()
-        if len(raw) <= LONGEST and chr(START).encode() not in raw[1:] and raw.lower() == raw:
+        if chr(START).encode() not in raw[1:] and raw.lower() == raw:
             weights[raw] = max(weights.get(raw, 0.0), 1 / (100 - sp.get_score(i)))
     least = 1 / (100 + n)
     for b in range(256):
@@ -112,8 +112,9 @@ class Lattice:
         ends = np.cumsum(sizes)
         left = np.repeat(ends, sizes) - np.arange(len(flat))
         prefix = prefix_hash(flat)
-        arcs = np.full((self.pieces.longest, len(flat)), -1, np.int32)
-        for n in range(1, self.pieces.longest + 1):
+        reach = min(self.pieces.longest, int(sizes.max(initial=0)))
+        arcs = np.full((reach, len(flat)), -1, np.int32)
+        for n in range(1, reach + 1):
             at = np.flatnonzero(left >= n)
             arcs[n - 1, at] = self.index.find(span_hash(prefix, at, at + n))
         return arcs, ends - sizes, sizes
@@ -123,10 +124,11 @@ class Lattice:
         log_p = np.append(self.pieces.log_p[:-1], -np.inf)  # number -1 is no piece
         for size in np.unique(sizes).tolist():
             same = np.flatnonzero(sizes == size)
-            step = max(1, room // (size * self.pieces.longest))
+            reach = min(size, self.pieces.longest)  # no arc is longer than its word
+            step = max(1, room // (size * reach))
             for k in range(0, len(same), step):
                 rows = same[k : k + step]
-                ids = arcs[:, starts[rows][:, None] + np.arange(size)[None, :]]
+                ids = arcs[:reach, starts[rows][:, None] + np.arange(size)[None, :]]
                 yield rows, size, ids, log_p[ids]
 
     def _forward(self, lp: np.ndarray, size: int) -> np.ndarray:

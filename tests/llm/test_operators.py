@@ -210,6 +210,15 @@ def test_lattice_sums_all_segmentations():
     assert np.exp(pieces.log_p[:-1][~pieces.starting]).sum() + np.exp(pieces.end) == pytest.approx(1)
 
 
+def test_lattice_keeps_long_pieces():
+    import public_tokenizers
+
+    pieces = lattice_lm.existing_pieces(public_tokenizers.path("piece_bpe_32k.model"))
+    known = {int(h) for h in pieces.hashes}
+    assert all(int(lattice_lm._hash_words([w])[0]) in known for w in (b" understanding", b" international", b" particularly", b" representation"))
+    assert pieces.longest > 12
+
+
 def test_packing(docs, cases, empty, tokenizer):
     rows = packing.pack_documents(docs, default_tokenizer(), capacity=512).collect()
     by = collections.defaultdict(list)

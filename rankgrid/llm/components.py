@@ -5,6 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from rankgrid.llm.skew import left_join
 from rankgrid.session import written
 
 
@@ -26,10 +27,13 @@ def components(links: DataFrame, a: str = "a", b: str = "b", max_rounds: int = 6
         if not tally[0]:
             break
         both = edges.union(edges.select(F.col("v").alias("u"), F.col("u").alias("v")))
-        least = both.groupBy("u").agg(F.min("v").alias("m")).select(F.col("u").alias("w"), F.least("u", "m").alias("m"))
-        large = both.where("v > u").join(least, F.col("u") == F.col("w")).select(F.col("v").alias("u"), F.col("m").alias("v")).union(edges.groupBy("u").agg(F.min("v").alias("v"))).distinct()
-        low = large.groupBy("u").agg(F.min("v").alias("m")).select(F.col("u").alias("w"), "m")
-        small = large.join(low, F.col("u") == F.col("w")).where("v <> m").select(F.col("v").alias("u"), F.col("m").alias("v")).union(low.select(F.col("w").alias("u"), F.col("m").alias("v"))).distinct()
+        # a node with a large share of all links must not bring them into one task: its minimum is broadcast
+        total = 2 * tally[0]
+        least = both.groupBy("u").agg(F.min("v").alias("m"), F.count("*").alias("n")).select(F.col("u").alias("w"), F.least("u", "m").alias("m"), "n")
+        large = left_join(both.where("v > u"), least, {"u": "w"}, ["m"], "n", total, F.xxhash64("v")).select(F.col("v").alias("u"), F.col("m").alias("v")).union(edges.groupBy("u").agg(F.min("v").alias("v"))).distinct()
+        low = large.groupBy("u").agg(F.min("v").alias("m"), F.count("*").alias("n")).select(F.col("u").alias("w"), "m", "n")
+        hung = left_join(large, low, {"u": "w"}, ["m"], "n", total, F.xxhash64("v")).where("v <> m")
+        small = hung.select(F.col("v").alias("u"), F.col("m").alias("v")).union(low.select(F.col("w").alias("u"), F.col("m").alias("v"))).distinct()
         edges = written(small, "star_edges")
         now = _tally(edges)
         if now == tally:

@@ -11,7 +11,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from rankgrid.llm.pretokens import HashIndex
-from rankgrid.llm.textblocks import LOWER, WHITE, flat_text, map_arrow, mix, prefix_hash, small_batches, span_hash, word_spans
+from rankgrid.llm.textblocks import LOWER, WHITE, flat_text, map_arrow, mix, small_batches, span_hash, word_spans
 from rankgrid.llm.token_counts import id_and_text
 
 #: Words of a window that must overlap, and the share of them, in percent, that must agree.
@@ -20,6 +20,8 @@ WINDOW, PERCENT = 13, 80
 MASKS = ((0, 1, 2, 4, 6, 7), (0, 1, 3, 6, 7, 8))
 #: Words of benchmark text in one broadcast: about 100 MB of tables. A larger benchmark is scanned against in blocks.
 BLOCK_WORDS = 2_000_000
+#: Distances at which a repeated seed is not looked up again; hits worked out at once.
+REPEATS, EXPANDED = 3, 1 << 20
 
 #: White space and ASCII punctuation end a word, so that neither counts in a comparison.
 BREAKS = WHITE.copy()
@@ -28,7 +30,7 @@ BREAKS[[c for c in range(33, 127) if not chr(c).isalnum()]] = True
 
 def words_of(data: np.ndarray, offsets: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     starts, ends, first = word_spans(data, offsets, BREAKS)
-    return span_hash(prefix_hash(LOWER[data]), starts, ends), first
+    return span_hash(LOWER[data], starts, ends), first
 
 
 def allowed(n: int) -> int:
@@ -96,6 +98,29 @@ class Scanner:
     def __init__(self, bench: Benchmark):
         self.bench = bench
         self.vocabulary, self.seeds = bench.indexes()
+        self.thinned = [self._thinned(keys, postings, places) for _, keys, postings, places in bench.seeds]
+
+    def _thinned(self, keys: np.ndarray, postings: np.ndarray, places: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        """For d = 0 to REPEATS, the postings that have none of their key d words before in their item (for 0 all): first
+        place and number for each d and key, and the postings one list after another.
+
+        Where a text has the same key d words before, only these need a look: any other hit is the one d words before on
+        both sides, at the same shift. A word that a text and an item repeat is so not expanded into all its pairs.
+        """
+        key = np.repeat(np.arange(len(keys)), np.diff(postings))
+        key_at = np.full(len(self.bench.words) + 1, -1)
+        key_at[places] = key
+        item = np.searchsorted(self.bench.first, places, "right") - 1
+        firsts, counts, lists, base = [], [], [], 0
+        for d in range(REPEATS + 1):
+            before = places - d
+            keep = np.ones(len(places), bool) if d == 0 else (before < self.bench.first[item]) | (key_at[before] != key)
+            n = np.bincount(key[keep], minlength=len(keys))
+            firsts.append(base + np.cumsum(n) - n)
+            counts.append(n)
+            lists.append(places[keep])
+            base += len(lists[-1])
+        return np.stack(firsts), np.stack(counts), np.concatenate(lists)
 
     def hits(self, column: pa.Array) -> list[tuple[int, int, int, int, int]]:
         """(row, item, first word, words compared, words equal) for each row and item with an overlap."""
@@ -104,7 +129,8 @@ class Scanner:
         words = self.vocabulary.find(hashes).astype(np.int64) + 1
         row_of = np.repeat(np.arange(len(first) - 1), np.diff(first))
         found = []
-        for (mask, _, postings, places), index in zip(b.seeds, self.seeds, strict=True):
+        wide = len(words) + len(b.words) + 1
+        for (mask, _, _, _), index, (firsts, sizes, places) in zip(b.seeds, self.seeds, self.thinned, strict=True):
             span = mask[-1] + 1
             if len(words) < span:
                 continue
@@ -115,17 +141,31 @@ class Scanner:
             at = np.flatnonzero(usable)
             seed = index.find(_keys(words, at, mask))
             at, seed = at[seed >= 0], seed[seed >= 0]
-            counts = postings[seed + 1] - postings[seed]
-            which = np.repeat(postings[seed] - (np.cumsum(counts) - counts), counts) + np.arange(counts.sum())
-            where = places[which]
-            item = np.searchsorted(b.first, where, "right") - 1
-            at = np.repeat(at, counts)
-            found.append(np.stack([row_of[at], item, at - where], axis=1))
+            key_of = np.full(len(words), -1)
+            key_of[at] = seed
+            variant = np.zeros(len(at), np.int64)
+            for d in range(REPEATS, 0, -1):
+                ago = np.maximum(at - d, 0)
+                variant[(at >= d) & (key_of[ago] == seed) & (row_of[ago] == row_of[at])] = d
+            start, counts = firsts[variant, seed], sizes[variant, seed]
+            stops = np.cumsum(counts)
+            lo = 0
+            while lo < len(at):
+                hi = max(lo + 1, int(np.searchsorted(stops, (stops[lo - 1] if lo else 0) + EXPANDED, "right")))
+                n_each = counts[lo:hi]
+                where = places[np.repeat(start[lo:hi] - (np.cumsum(n_each) - n_each), n_each) + np.arange(n_each.sum())]
+                item = np.searchsorted(b.first, where, "right") - 1
+                t = np.repeat(at[lo:hi], n_each)
+                # one number for the document, the item and the shift between them
+                found.append(np.unique((row_of[t] * len(b.item_ids) + item) * wide + (t - where + len(b.words))))
+                lo = hi
         if not found:
             return []
         best: dict[tuple[int, int], tuple[int, int, int]] = {}
         # one comparison for each document, item and shift between them
-        for row, item, shift in np.unique(np.concatenate(found), axis=0).tolist():
+        for code in np.unique(np.concatenate(found)).tolist():
+            pair, shift = divmod(code, wide)
+            (row, item), shift = divmod(pair, len(b.item_ids)), shift - len(b.words)
             lo, hi = max(b.first[item], first[row] - shift), min(b.first[item + 1], first[row + 1] - shift)
             need = int(min(WINDOW, b.first[item + 1] - b.first[item]))
             if hi - lo < need:

@@ -5,6 +5,8 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from rankgrid.llm.skew import left_join
+
 #: The characters that do not count when texts are compared.
 IGNORED = (" ", "\t", "\n", "\x0b", "\x0c", "\r")
 
@@ -26,7 +28,8 @@ def duplicate_groups(docs: DataFrame, id_col: str = "doc_id", text_col: str = "t
     other columns of docs are not read.
 
     Rows first collapse within each map task on (hash, normalised bytes), so that a group of any size sends one row a
-    task, and two texts of one hash stay apart because the key has the bytes. Only the narrow digest travels after that.
+    task, and two texts of one hash stay apart because the key has the bytes. Only the narrow digest travels after that,
+    and groups that hold a large share of all rows are broadcast, so that no task gets a whole one.
     """
     norm = without_white(F.col(text_col))
     rows = docs.select(F.col(id_col).alias("doc_id"), F.char_length(F.coalesce(F.col(text_col).cast("string"), F.lit(""))).alias("n_chars_original"), norm.alias("norm"))
@@ -40,8 +43,8 @@ def duplicate_groups(docs: DataFrame, id_col: str = "doc_id", text_col: str = "t
         .select("h1", "h2", "sha", "group_size", F.col("best.low").alias("keep_id"), (-F.col("best.longest")).alias("keep_chars"))
     )
     each = rows.select("doc_id", "n_chars_original", "h1", "h2", F.sha2("norm", 256).alias("text_sha256"))
-    g = groups.withColumnsRenamed({"h1": "g1", "h2": "g2"})
-    joined = each.join(g, (F.col("h1") == F.col("g1")) & (F.col("h2") == F.col("g2")) & (F.col("text_sha256") == F.col("sha")), "left")
+    on = {"h1": "h1", "h2": "h2", "text_sha256": "sha"}
+    joined = left_join(each, groups, on, ["group_size", "keep_id", "keep_chars"], "group_size", docs.count(), F.xxhash64("doc_id"))
     alone = F.col("group_size").isNull()
     keep = F.when(alone, F.col("doc_id")).otherwise(F.col("keep_id"))
     return joined.select(
@@ -58,9 +61,14 @@ def drop_exact_copies(docs: DataFrame, id_col: str = "doc_id", text_col: str = "
     """docs without the rows that duplicate_groups drops; columns and other rows stay as they are.
 
     A dropped row is found by its id, so an id that is dropped in one row and kept in another (a repeated id with two
-    texts) leaves only by the row whose digest was dropped.
+    texts) leaves only by the row whose digest was dropped. Of rows that repeat an id and its text one stays.
     """
-    gone = duplicate_groups(docs, id_col, text_col).where(~F.col("kept")).select(F.col("doc_id").alias("__gone_id"), F.col("text_sha256").alias("__gone_sha"), F.col("n_chars_original").alias("__gone_chars")).distinct()
+    columns = docs.columns
+    rows = duplicate_groups(docs, id_col, text_col).groupBy(F.col("doc_id").alias("__id"), F.col("text_sha256").alias("__sha"), F.col("n_chars_original").alias("__chars"))
+    decided = rows.agg(F.min("kept").alias("__kept"), F.count("*").alias("__times")).where("NOT __kept OR __times > 1")
     sha = F.sha2(without_white(F.col(text_col)), 256)
     length = F.char_length(F.coalesce(F.col(text_col).cast("string"), F.lit("")))
-    return docs.join(gone, F.col(id_col).eqNullSafe(F.col("__gone_id")) & (sha == F.col("__gone_sha")) & (length == F.col("__gone_chars")), "left_anti")
+    same = F.col(id_col).eqNullSafe(F.col("__id")) & (sha == F.col("__sha")) & (length == F.col("__chars"))
+    # rows that repeat are few or none: they come back once
+    again = docs.join(decided.where("__kept"), same, "inner").dropDuplicates(["__id", "__sha", "__chars"]).select(*columns)
+    return docs.join(decided, same, "left_anti").unionByName(again)

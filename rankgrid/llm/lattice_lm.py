@@ -23,7 +23,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from rankgrid.llm.pretokens import HashIndex
-from rankgrid.llm.textblocks import LOWER, flat_text, map_arrow, mix, prefix_hash, small_batches, span_hash, word_spans
+from rankgrid.llm.textblocks import LOWER, SPREAD, closed, flat_text, map_arrow, mix, placed, small_batches, span_hash, span_hashes, word_spans
 from rankgrid.llm.token_counts import id_and_text
 from rankgrid.session import written
 
@@ -94,7 +94,7 @@ def existing_pieces(model: str) -> Pieces:
     starting = np.array([x[0] == START for x in names])
     p = np.append(np.array([weights[x] for x in names]), 0.0)
     p[-1] = p[:-1][~starting].sum() / 3
-    return Pieces(span_hash(prefix_hash(data), ends - sizes, ends), starting, int(sizes.max()), _normalised(p, starting))
+    return Pieces(span_hash(data, ends - sizes, ends), starting, int(sizes.max()), _normalised(p, starting))
 
 
 class Lattice:
@@ -111,12 +111,13 @@ class Lattice:
         sizes = np.array([len(w) + 1 for w in words])
         ends = np.cumsum(sizes)
         left = np.repeat(ends, sizes) - np.arange(len(flat))
-        prefix = prefix_hash(flat)
+        every, sums = np.arange(256), np.zeros(len(flat), np.uint64)
         reach = min(self.pieces.longest, int(sizes.max(initial=0)))
         arcs = np.full((reach, len(flat)), -1, np.int32)
         for n in range(1, reach + 1):
             at = np.flatnonzero(left >= n)
-            arcs[n - 1, at] = self.index.find(span_hash(prefix, at, at + n))
+            sums[at] += placed(every, n - 1)[flat[at + n - 1]]
+            arcs[n - 1, at] = self.index.find(closed(sums[at], n))
         return arcs, ends - sizes, sizes
 
     def _by_size(self, words: list[bytes], room: int = 1 << 19):
@@ -171,35 +172,45 @@ def held_out_fold(doc_id) -> F.Column:
 
 
 class _Words:
-    """The words of a batch: bytes, places, hashes, row of each, and the class of each row (most function words, the first class on a tie)."""
+    """The words of a batch: bytes, places, two hashes (128 bits that name a word), row of each, and the class of each row (most function words, the first class on a tie)."""
 
     def __init__(self, batch: pa.RecordBatch):
         data, offsets = flat_text(batch.column("text"))
         self.data = LOWER[data]
         self.starts, self.ends, self.first = word_spans(self.data, offsets)
-        self.hashes = span_hash(prefix_hash(self.data), self.starts, self.ends)
+        self.hashes, self.seconds = span_hashes(self.data, self.starts, self.ends, second=True)
         self.row = np.repeat(np.arange(batch.num_rows), np.diff(self.first))
-        index, owner = _function_words()
+        index, owner, seconds = _function_words()
         found = index.find(self.hashes)
-        hit = found >= 0
+        hit = (found >= 0) & (seconds[found] == self.seconds)
         score = np.bincount(self.row[hit] * CLASSES + owner[found[hit]], minlength=batch.num_rows * CLASSES).reshape(-1, CLASSES)
         self.kind = score.argmax(axis=1)
 
 
-def _function_words() -> tuple[HashIndex, np.ndarray]:
+def _function_words() -> tuple[HashIndex, np.ndarray, np.ndarray]:
     if not _tables:
         words = [(w.encode(), k) for k, listed in FUNCTION_WORDS.items() for w in listed]
         index = HashIndex(len(words))
-        index.add(_hash_words([w for w, _ in words]), np.arange(len(words), dtype=np.int32))
-        _tables.append((index, np.array([k for _, k in words])))
+        names, seconds = _two_hashes([w for w, _ in words])
+        index.add(names, np.arange(len(words), dtype=np.int32))
+        _tables.append((index, np.array([k for _, k in words]), seconds))
     return _tables[0]
 
 
-_tables: list[tuple[HashIndex, np.ndarray]] = []
+_tables: list[tuple[HashIndex, np.ndarray, np.ndarray]] = []
 
 
 def _class_hash(hashes: np.ndarray, kind: np.ndarray) -> np.ndarray:
-    return mix(hashes + kind.astype(np.uint64) * np.uint64(0x9E3779B97F4A7C15))
+    return mix(hashes + kind.astype(np.uint64) * SPREAD)
+
+
+def _distinct(h: np.ndarray, g: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """First place of each distinct pair (h, g), which pair each place has, and how often each occurs."""
+    _, lead, which, n = np.unique(h, return_index=True, return_inverse=True, return_counts=True)
+    if (g[lead][which] != g).any():
+        _, lead, which, n = np.unique(np.stack([h, g], axis=1), axis=0, return_index=True, return_inverse=True, return_counts=True)
+        which = which.ravel()
+    return lead, which, n
 
 
 def _word_counts(texts: DataFrame) -> DataFrame:
@@ -216,7 +227,7 @@ def _word_counts(texts: DataFrame) -> DataFrame:
             w = _Words(b)
             out = b.column("held_out").to_numpy(zero_copy_only=False).astype(bool)[w.row]
             kind = w.kind[w.row]
-            _, lead, which, n = np.unique(_class_hash(w.hashes, kind), return_index=True, return_inverse=True, return_counts=True)
+            lead, which, n = _distinct(_class_hash(w.hashes, kind), w.seconds)
             c = np.bincount(which[~out], minlength=len(n))
             raw = w.data.tobytes()
             for s, e, k, x, y in zip(w.starts[lead].tolist(), w.ends[lead].tolist(), kind[lead].tolist(), c.tolist(), n.tolist(), strict=True):
@@ -233,10 +244,14 @@ def _word_counts(texts: DataFrame) -> DataFrame:
     return rows.groupBy("word").agg(*[F.sum(F.when(F.col("k") == k, F.col(x)).otherwise(0)).alias(f"{x}{k}") for x in "cn" for k in range(CLASSES)])
 
 
-def _hash_words(words: list[bytes]) -> np.ndarray:
+def _two_hashes(words: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
     sizes = np.array([len(w) for w in words], np.int64)
     ends = np.cumsum(sizes)
-    return span_hash(prefix_hash(np.frombuffer(b"".join(words), np.uint8)), ends - sizes, ends)
+    return span_hashes(np.frombuffer(b"".join(words), np.uint8), ends - sizes, ends, second=True)
+
+
+def _hash_words(words: list[bytes]) -> np.ndarray:
+    return _two_hashes(words)[0]
 
 
 def fit_pieces(words: DataFrame, pieces: Pieces, rounds: int) -> list[Pieces]:
@@ -275,7 +290,8 @@ class Totals:
 
     @property
     def freed(self) -> float:
-        return self.discount * self.v / self.n if self.n else 1.0
+        # without training documents the end has an even chance, and the pieces the other half
+        return self.discount * self.v / self.n if self.n else 0.5
 
 
 def _totals(words: DataFrame, ends: list[int]) -> list[Totals]:
@@ -284,7 +300,8 @@ def _totals(words: DataFrame, ends: list[int]) -> list[Totals]:
     out = []
     for (name, _), e in zip(of, ends, strict=True):
         one, two = r[f"{name}one"], r[f"{name}two"]
-        out.append(Totals((r[f"{name}n"] or 0) + e, r[f"{name}v"] + (e > 0), e, one / (one + 2 * two) if one else 0.5))
+        # at most this discount, so that a word seen once keeps a share
+        out.append(Totals((r[f"{name}n"] or 0) + e, r[f"{name}v"] + (e > 0), e, min(0.95, one / (one + 2 * two)) if one else 0.5))
     return out
 
 
@@ -331,10 +348,11 @@ def score_documents(docs: DataFrame, model: str, rounds: int = 2, id_col: str =
                 own = c[k, at]
                 seen = own > t.discount
                 lp[seen] = np.logaddexp(lp[seen], np.log((own[seen] - t.discount) / max(t.n, 1)))
-                h = _class_hash(_hash_words(w), np.full(len(w), k))
-                yield pa.RecordBatch.from_arrays([pa.array(h.view(np.int64)), pa.array(c[:, at].sum(0)), pa.array(uses[at]), pa.array(lp / math.log(10))], ["h", "c", "n", "lp"])
+                h, g = _two_hashes(w)
+                h = _class_hash(h, np.full(len(w), k))
+                yield pa.RecordBatch.from_arrays([pa.array(h.view(np.int64)), pa.array(g.view(np.int64)), pa.array(c[:, at].sum(0)), pa.array(uses[at]), pa.array(lp / math.log(10))], ["h", "g", "c", "n", "lp"])
 
-    values = written(map_arrow(words, value, "h long, c long, n long, lp double"), "word_values")
+    values = written(map_arrow(words, value, "h long, g long, c long, n long, lp double"), "word_values")
     # the most frequent words, up to a fixed number, are looked up in the map task; all others are joined
     top_n = 1 << 14
     by_n = values.groupBy(F.least("n", F.lit(top_n)).alias("n")).count().orderBy(F.desc("n")).limit(top_n).collect()
@@ -344,16 +362,20 @@ def score_documents(docs: DataFrame, model: str, rounds: int = 2, id_col: str =
         if total > FREQUENT:
             break
         least = r["n"]
-    top = values.where(F.col("n") >= least).select("h", "c", "lp").toPandas()
+    top = values.where(F.col("n") >= least).select("h", "g", "c", "lp").toPandas()
+    # words of the table that share their first hash go by the join with the rest
+    twins = top["h"].duplicated(keep=False)
+    joined_words = (F.col("n") < least) | F.col("h").isin(top["h"][twins].unique().tolist())
+    top = top[~twins]
     floor = math.log10(n + v + 1)
     end_base = math.log10(sum(ends) + 1) - floor
     all_ends = sum(ends)
     # of a document's class: its share of the documents, one added to each, and the end of the text
     end_lp = np.array([math.log10((t.ends + 1) / (all_ends + CLASSES)) + (math.log10((t.ends - t.discount) / t.n) if t.ends else math.log10(0.5)) for t in totals])
-    table = spark.sparkContext.broadcast((top["h"].to_numpy(np.int64).view(np.uint64), top["c"].to_numpy(np.int64), top["lp"].to_numpy(np.float64)))
+    table = spark.sparkContext.broadcast((top["h"].to_numpy(np.int64).view(np.uint64), top["g"].to_numpy(np.int64).view(np.uint64), top["c"].to_numpy(np.int64), top["lp"].to_numpy(np.float64)))
 
     def scan(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        hashes, c, lp = table.value
+        hashes, seconds, c, lp = table.value
         index = HashIndex(max(1, len(hashes)))
         index.add(hashes, np.arange(len(hashes), dtype=np.int32))
         base = np.log10(c + 1) - floor
@@ -363,31 +385,32 @@ def score_documents(docs: DataFrame, model: str, rounds: int = 2, id_col: str =
             h = _class_hash(w.hashes, w.kind[w.row])
             at = index.find(h)
             hit = at >= 0
+            hit[hit] = seconds[at[hit]] == w.seconds[hit]
             sums = [np.bincount(w.row[hit], weights=x[at[hit]], minlength=b.num_rows) for x in (c > 0, base, lp)]
-            rare, rare_row = h[~hit], w.row[~hit]
-            order = np.lexsort((rare, rare_row))
-            rare, rare_row = rare[order], rare_row[order]
+            rare, other, rare_row = h[~hit], w.seconds[~hit], w.row[~hit]
+            order = np.lexsort((other, rare, rare_row))
+            rare, other, rare_row = rare[order], other[order], rare_row[order]
             new = np.ones(len(rare), bool)
-            new[1:] = (rare[1:] != rare[:-1]) | (rare_row[1:] != rare_row[:-1])
+            new[1:] = (rare[1:] != rare[:-1]) | (other[1:] != other[:-1]) | (rare_row[1:] != rare_row[:-1])
             lead = np.flatnonzero(new)
             tf = np.diff(np.append(lead, len(rare))).astype(np.int32)
             lists = pa.array(np.searchsorted(rare_row[lead], np.arange(b.num_rows + 1)), pa.int32())
             yield pa.RecordBatch.from_arrays(
                 [pa.array(key + np.arange(b.num_rows)), b.column("doc_id"), b.column("held_out"), pa.array(np.diff(w.first) + 1), pa.array(sums[0].astype(np.int64)), pa.array(sums[1]), pa.array(sums[2] + end_lp[w.kind]),
-                 pa.ListArray.from_arrays(lists, pa.array(rare[lead].view(np.int64))), pa.ListArray.from_arrays(lists, pa.array(tf))],
-                ["row", "doc_id", "held_out", "n_tokens", "known", "base", "lp", "rare", "tf"],
+                 pa.ListArray.from_arrays(lists, pa.array(rare[lead].view(np.int64))), pa.ListArray.from_arrays(lists, pa.array(other[lead].view(np.int64))), pa.ListArray.from_arrays(lists, pa.array(tf))],
+                ["row", "doc_id", "held_out", "n_tokens", "known", "base", "lp", "rare", "other", "tf"],
             )
             key += b.num_rows
 
-    scanned = written(map_arrow(texts, scan, "row long, doc_id long, held_out boolean, n_tokens long, known long, base double, lp double, rare array<long>, tf array<int>"), "scanned")
-    rare = scanned.select("row", F.explode(F.arrays_zip("rare", "tf")).alias("x")).select("row", F.col("x.rare").alias("w"), F.col("x.tf").alias("tf"))
-    joined = rare.join(values.where(F.col("n") < least).select("h", "c", "lp"), F.col("w") == F.col("h"))
+    scanned = written(map_arrow(texts, scan, "row long, doc_id long, held_out boolean, n_tokens long, known long, base double, lp double, rare array<long>, other array<long>, tf array<int>"), "scanned")
+    rare = scanned.select("row", F.explode(F.arrays_zip("rare", "other", "tf")).alias("x")).select("row", F.col("x.rare").alias("w"), F.col("x.other").alias("w2"), F.col("x.tf").alias("tf"))
+    joined = rare.join(values.where(joined_words).select("h", "g", "c", "lp"), (F.col("w") == F.col("h")) & (F.col("w2") == F.col("g")))
     more = joined.groupBy("row").agg(
         F.sum(F.when(F.col("c") > 0, F.col("tf")).otherwise(0)).alias("known2"),
         F.sum(F.col("tf") * (F.log10(F.col("c") + 1) - F.lit(floor))).alias("base2"),
         F.sum(F.col("tf") * F.col("lp")).alias("lp2"),
     )
-    rows = scanned.drop("rare", "tf").join(more.withColumnRenamed("row", "row2"), F.col("row") == F.col("row2"), "left")
+    rows = scanned.drop("rare", "other", "tf").join(more.withColumnRenamed("row", "row2"), F.col("row") == F.col("row2"), "left")
     return rows.select(
         "doc_id",
         "held_out",

@@ -16,7 +16,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from rankgrid.llm.learn import fold, labelled_sample, logistic, probability
-from rankgrid.llm.textblocks import LOWER, flat_text, map_arrow, prefix_hash, small_batches, span_hash, word_spans
+from rankgrid.llm.textblocks import LOWER, flat_text, map_arrow, small_batches, span_hash, word_spans
 from rankgrid.llm.token_counts import id_and_text
 
 #: Bound of the labelled rows learnt from, and rounds of gradient ascent.
@@ -56,8 +56,8 @@ class Lines:
         self.row = np.searchsorted(offsets, starts, "right") - 1
         self.size = (ends - starts).astype(np.float64)
         self.n_rows = len(column)
-        prefix = prefix_hash(LOWER[data])
-        words = span_hash(prefix, ws, we)
+        lower = LOWER[data]
+        words = span_hash(lower, ws, we)
         n = (hi - lo).astype(np.float64)
         again = np.zeros(len(words), bool)
         again[1:] = words[1:] == words[:-1]
@@ -68,7 +68,7 @@ class Lines:
         if len(order):
             same = (words[order][1:] == words[order][:-1]) & (doc[order][1:] == doc[order][:-1])
             seen[order[1:][same]] = True
-        whole = span_hash(prefix, starts, ends)
+        whole = span_hash(lower, starts, ends)
         twice = np.zeros(len(starts))
         if len(starts):
             pair = np.stack([whole, self.row.astype(np.uint64)], axis=1)

@@ -8,6 +8,7 @@ more than two blocks, and no pair of a bucket that could join two components sta
 
 from __future__ import annotations
 
+import hashlib
 from collections.abc import Iterable, Iterator
 
 import numpy as np
@@ -17,7 +18,8 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from rankgrid.llm.components import components
-from rankgrid.llm.textblocks import flat_text, map_arrow, mix, prefix_hash, small_batches, span_hash, word_hashes
+from rankgrid.llm.skew import bitmap, copied, dealt, filter_bits, heavy_keys, is_set, left_join
+from rankgrid.llm.textblocks import flat_text, map_arrow, mix, sliding_hash, small_batches, word_hashes
 from rankgrid.llm.token_counts import id_and_text
 from rankgrid.session import written
 
@@ -25,8 +27,6 @@ from rankgrid.session import written
 COORDINATES, BAND = 256, 6
 #: Members of a block; members up to which open buckets that overlap are compared as one group.
 BLOCK, JOINT = 256, 8192
-#: Bits of the broadcast filter of candidates, whatever the input: 1 MB.
-FILTER_BITS = 1 << 23
 #: Bytes of text whose hashes a worker holds at once.
 BATCH = 1 << 20
 
@@ -34,15 +34,13 @@ BATCH = 1 << 20
 def shingle_sets(data: np.ndarray, offsets: np.ndarray, width: int) -> list[np.ndarray]:
     """For each document the sorted distinct 64-bit hashes of its width-word shingles; fewer words make one shingle, no word none."""
     words, first = word_hashes(data, offsets)
-    prefix = prefix_hash(words)
-    starts = np.arange(max(len(words) - width + 1, 0))
-    shingles = span_hash(prefix, starts, starts + width)
+    shingles = sliding_hash(words, width)
     out = []
     for s, e in zip(first[:-1].tolist(), first[1:].tolist(), strict=True):
         if e - s >= width:
             out.append(np.unique(shingles[s : e - width + 1]))
         elif e > s:
-            out.append(span_hash(prefix, np.array([s]), np.array([e])))
+            out.append(sliding_hash(words[s:e], e - s))
         else:
             out.append(np.zeros(0, np.uint64))
     return out
@@ -85,65 +83,58 @@ def bands_of(signature: np.ndarray, rows: int = BAND) -> np.ndarray:
 
 
 def digests(docs: DataFrame, width: int) -> DataFrame:
-    """doc_id, n_shingles, s1 and s2 (128 bits that stand for the set), bands."""
+    """doc_id, n_shingles, s1 and s2 (a cryptographic digest of the whole sorted set: equal ones are equal sets), bands."""
 
     def each(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in small_batches(batches, "text", BATCH):
             sets = shingle_sets(*flat_text(b.column("text")), width)
-            hashes, bands = np.zeros((2, len(sets)), np.uint64), []
+            hashes, bands = np.zeros((len(sets), 2), np.int64), []
             for k, s in enumerate(sets):
                 if len(s):
-                    hashes[0, k], hashes[1, k] = mix(s).sum(dtype=np.uint64), mix(s ^ np.uint64(0xA5A5A5A5A5A5A5A5)).sum(dtype=np.uint64)
+                    hashes[k] = np.frombuffer(hashlib.blake2b(s.data, digest_size=16).digest(), np.int64)
                     bands.append(bands_of(sketch(s)).view(np.int64))
                 else:
                     bands.append(np.zeros(0, np.int64))
             at = np.concatenate([[0], np.cumsum([len(x) for x in bands])])
             yield pa.RecordBatch.from_arrays(
-                [b.column("doc_id"), pa.array([len(s) for s in sets], pa.int64()), pa.array(hashes[0].view(np.int64)), pa.array(hashes[1].view(np.int64)), pa.ListArray.from_arrays(pa.array(at, pa.int32()), pa.array(np.concatenate(bands)))],
+                [b.column("doc_id"), pa.array([len(s) for s in sets], pa.int64()), pa.array(np.ascontiguousarray(hashes[:, 0])), pa.array(np.ascontiguousarray(hashes[:, 1])), pa.ListArray.from_arrays(pa.array(at, pa.int32()), pa.array(np.concatenate(bands)))],
                 ["doc_id", "n_shingles", "s1", "s2", "bands"],
             )
 
     return map_arrow(docs, each, "doc_id long, n_shingles long, s1 long, s2 long, bands array<long>")
 
 
-def bit_filter(ids: DataFrame, column: str) -> bytes:
-    """A bitmap of FILTER_BITS in which the places of all ids are set; its size does not depend on the input."""
-    place = F.pmod(F.xxhash64(column), F.lit(FILTER_BITS)) + 1  # the bitmap functions count from 1
-    rows = ids.select(place.alias("p")).groupBy(F.bitmap_bucket_number("p").alias("bucket")).agg(F.bitmap_construct_agg(F.bitmap_bit_position("p")).alias("bits")).collect()
-    out = bytearray(FILTER_BITS // 8)
-    for r in rows:
-        at = (r["bucket"] - 1) * 4096
-        for k, v in enumerate(r["bits"]):
-            if v:
-                out[at + k] |= v
-    return bytes(out)
-
-
-def _set_rows(docs: DataFrame, wanted: DataFrame, width: int) -> DataFrame:
-    """id, hashes (the set as bytes) of the documents in wanted, and of a few more that share a place in the filter."""
+def _set_rows(docs: DataFrame, wanted: DataFrame, n: int, width: int) -> DataFrame:
+    """id, hashes (the set as bytes) of the documents in wanted (n rows), and of a few more that share a place in the filter."""
     spark = docs.sparkSession
-    shared = spark.sparkContext.broadcast(np.frombuffer(bit_filter(wanted, "id"), np.uint8))
+    bits = filter_bits(n)
+    shared = spark.sparkContext.broadcast(bitmap(wanted, F.pmod(F.xxhash64("id"), F.lit(bits)), bits))
 
     def each(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        bits = shared.value
         for b in small_batches(batches, "text", BATCH):
-            p = b.column("place").to_numpy(zero_copy_only=False)
-            keep = np.flatnonzero((bits[p >> 3] >> (p & 7)) & 1)
+            keep = np.flatnonzero(is_set(shared.value, b.column("place").to_numpy(zero_copy_only=False)))
             if len(keep):
                 part = b.take(pa.array(keep))
                 sets = shingle_sets(*flat_text(part.column("text")), width)
                 yield pa.RecordBatch.from_arrays([part.column("doc_id"), pa.array([s.tobytes() for s in sets], pa.binary())], ["id", "hashes"])
 
-    placed = docs.withColumn("place", F.pmod(F.xxhash64("doc_id"), F.lit(FILTER_BITS)))
+    placed = docs.withColumn("place", F.pmod(F.xxhash64("doc_id"), F.lit(bits)))
     return map_arrow(placed, each, "id long, hashes binary")
 
 
 def verified(docs: DataFrame, pairs: DataFrame, width: int, percent: int) -> DataFrame:
     """The pairs (a, b) whose sets have 100 * intersection >= percent * union."""
-    wanted = pairs.select(F.explode(F.array("a", "b")).alias("id"))
-    sets = written(_set_rows(docs, wanted, width).join(wanted.distinct().withColumnRenamed("id", "want"), F.col("id") == F.col("want"), "left_semi"), "shingle_sets")
-    left = pairs.join(sets.withColumnsRenamed({"id": "id_a", "hashes": "set_a"}), F.col("a") == F.col("id_a"))
-    both = left.select("a", "b", "set_a").join(sets.withColumnsRenamed({"id": "id_b", "hashes": "set_b"}), F.col("b") == F.col("id_b")).select("a", "b", "set_a", "set_b")
+    n = 2 * pairs.count()
+    ends = pairs.select(F.explode(F.array("a", "b")).alias("id"))
+    wanted = ends.groupBy("id").agg(F.count("*").alias("uses"))
+    found = _set_rows(docs, wanted, n, width).join(wanted.select(F.col("id").alias("want")), F.col("id") == F.col("want"), "left_semi")
+    # the member that a hot bucket is compared with is in very many pairs: its set is copied, and its pairs are dealt over the copies
+    heavy = heavy_keys(wanted, "id", "uses", n)
+    sets = copied(written(found.groupBy("id").agg(F.max("hashes").alias("hashes")), "shingle_sets"), "id", heavy, "copy")
+    named = dealt(dealt(pairs, "a", heavy, F.col("b"), "copy_a"), "b", heavy, F.col("a"), "copy_b")
+    left = named.join(sets.withColumnsRenamed({"id": "id_a", "hashes": "set_a", "copy": "ca"}), (F.col("a") == F.col("id_a")) & (F.col("copy_a") == F.col("ca")))
+    right = sets.withColumnsRenamed({"id": "id_b", "hashes": "set_b", "copy": "cb"})
+    both = left.select("a", "b", "copy_b", "set_a").join(right, (F.col("b") == F.col("id_b")) & (F.col("copy_b") == F.col("cb"))).select("a", "b", "set_a", "set_b")
 
     def each(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -201,16 +192,27 @@ def _block_links(rows: pd.DataFrame, percent: int) -> list[tuple[int, int]]:
 def compared_in_blocks(docs: DataFrame, groups: DataFrame, width: int, percent: int) -> DataFrame:
     """Links (a, b) between members of different components within groups (gid, id, component), checked on full sets.
 
-    A group is dealt by hash into blocks of about BLOCK members, and each pair of blocks is one task's work, so that no
-    task holds more than two blocks whatever the group's size, and no row stands for a pair.
+    The members of a group's largest component need no comparison with each other. They and the others are dealt by hash
+    into blocks of about BLOCK members; each pair of a block of others with any block is one task's work. No task holds
+    more than two blocks whatever the group's size, no row stands for a pair, and a group that is nearly one component
+    costs its size times the number of the others.
     """
     spark = docs.sparkSession
-    sizes = groups.groupBy("gid").agg(F.ceil(F.count("*") / F.lit(BLOCK)).cast("int").alias("blocks")).withColumnRenamed("gid", "g2")
-    members = groups.join(sizes, F.col("gid") == F.col("g2")).select("gid", F.col("id").alias("member"), "component", "blocks", F.pmod(F.xxhash64("id", F.lit(7)), F.col("blocks")).cast("int").alias("own"))
-    sets = _set_rows(docs, groups.select("id"), width).groupBy("id").agg(F.first("hashes").alias("hashes"))
-    dealt = members.withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
-    dealt = dealt.select("gid", "member", "component", F.least("own", "other").alias("i"), F.greatest("own", "other").alias("j"))
-    rows = dealt.join(sets, F.col("member") == F.col("id")).select("gid", "i", "j", "id", "component", "hashes")
+    n = groups.count()
+    sizes = groups.groupBy("gid", "component").agg(F.count("*").alias("n")).groupBy("gid").agg(F.max(F.struct("n", "component")).alias("most"), F.sum("n").alias("all"))
+    blocks = lambda count: F.ceil(count / F.lit(BLOCK)).cast("int")
+    sizes = sizes.select(F.col("gid").alias("g2"), F.col("most.component").alias("main"), blocks(F.col("most.n")).alias("main_blocks"), blocks(F.col("all") - F.col("most.n")).alias("other_blocks"), "all")
+    known = left_join(groups, sizes, {"gid": "g2"}, ["main", "main_blocks", "other_blocks"], "all", n, F.xxhash64("id"))
+    is_main = F.col("component") == F.col("main")
+    members = known.select("gid", F.col("id").alias("member"), "component", "main_blocks", "other_blocks", is_main.alias("is_main"), F.pmod(F.xxhash64("id", F.lit(7)), F.when(is_main, F.col("main_blocks")).otherwise(F.col("other_blocks"))).cast("int").alias("own"))
+    # a cell (i, j): block i of the others with their block j, or with block -1 - j of the largest component
+    upto = lambda count: F.sequence(F.lit(0), count - 1)
+    with_others = F.transform(upto(F.col("other_blocks")), lambda k: F.struct(F.least("own", k).alias("i"), F.greatest("own", k).alias("j")))
+    with_main = F.transform(upto(F.col("main_blocks")), lambda k: F.struct(F.col("own").alias("i"), (-1 - k).alias("j")))
+    main_cells = F.transform(upto(F.col("other_blocks")), lambda k: F.struct(k.alias("i"), (-1 - F.col("own")).alias("j")))
+    cells = members.select("gid", "member", "component", F.explode(F.when(F.col("is_main"), main_cells).otherwise(F.concat(with_others, with_main))).alias("cell"))
+    sets = _set_rows(docs, groups.select("id"), n, width).groupBy("id").agg(F.max("hashes").alias("hashes"))
+    rows = cells.join(sets, F.col("member") == F.col("id")).select("gid", F.col("cell.i").alias("i"), F.col("cell.j").alias("j"), "id", "component", "hashes")
     parts = max(int(spark.conf.get("spark.sql.shuffle.partitions")), 1)
     rows = rows.repartition(parts, "gid", "i", "j")
 
@@ -225,37 +227,45 @@ def near_duplicates(docs: DataFrame, width: int = 5, percent: int = 80, id_col:
 
     Words are runs without white space, A-Z lower-cased; documents are linked when their sets of width-word shingles have
     100 * intersection >= percent * union. Null, empty and blank texts have no shingles and no links. Rows that repeat an
-    id count as one document; a null id is in its own component; an empty table gives no rows; long texts are read whole.
+    id count as one document, which with several texts is linked by the greatest of their sets; a null id is in its own component; an empty table gives no rows; long texts are read whole.
     """
     texts = id_and_text(docs, id_col, text_col)
     table = written(digests(texts, width), "set_digests")
-    classes = table.where("n_shingles > 0 AND doc_id IS NOT NULL").groupBy("s1", "s2").agg(F.min("doc_id").alias("rep")).withColumnsRenamed({"s1": "c1", "s2": "c2"})
-    same_set = (F.col("s1") == F.col("c1")) & (F.col("s2") == F.col("c2"))
-    in_class = table.where("n_shingles > 0")
-    members = in_class.join(classes, same_set).where("doc_id = rep").select(F.col("rep").alias("id"), F.explode("bands").alias("key"))
+    n_rows = table.count()
+    most = n_rows * (COORDINATES // BAND)
+    classes = written(table.where("n_shingles > 0 AND doc_id IS NOT NULL").groupBy("s1", "s2").agg(F.min("doc_id").alias("rep"), F.count("*").alias("size")).withColumnsRenamed({"s1": "c1", "s2": "c2"}), "set_classes")
+    # by the id too, so that a class of very many documents is in no one task
+    is_rep = (F.col("doc_id") == F.col("rep")) & (F.col("s1") == F.col("c1")) & (F.col("s2") == F.col("c2"))
+    members = table.where("n_shingles > 0").join(classes, is_rep, "left_semi").select(F.col("doc_id").alias("id"), F.explode("bands").alias("key"))
     # a member is named by id XOR key, so that the smallest name is another member in each bucket
     buckets = members.groupBy("key").agg(F.count("*").alias("n"), F.min(F.col("id").bitwiseXOR(F.col("key"))).alias("name")).where("n > 1").select(F.col("key").alias("k"), "n", F.col("name").bitwiseXOR(F.col("key")).alias("hub"))
-    shared = written(members.join(buckets, F.col("key") == F.col("k")).select("key", "id", "hub", "n"), "bucket_members")
+    in_bucket = left_join(members, buckets, {"key": "k"}, ["hub", "n"], "n", most, F.xxhash64("id")).where("hub IS NOT NULL")
+    shared = written(in_bucket.select("key", "id", "hub", "n"), "bucket_members")
     pairs = written(shared.where("id <> hub").select(F.least("id", "hub").alias("a"), F.greatest("id", "hub").alias("b")).distinct(), "pairs")
     links = written(verified(texts, pairs, width, percent), "links")
     labels = components(links)
     # buckets whose members, the compared one aside, are in several components: nothing says yet that these can't be joined
     named = shared.join(labels, F.col("id") == F.col("node"), "left").where("n > 2 AND id <> hub").select("key", "id", F.coalesce("component", "id").alias("component"))
-    open_keys = named.groupBy("key").agg(F.min("component").alias("low"), F.max("component").alias("high"), F.min("id").alias("lead")).where("low <> high").select(F.col("key").alias("ok"), "lead")
-    left = written(named.join(open_keys, F.col("key") == F.col("ok")).select("key", "id", "component", "lead"), "open_members")
+    open_keys = named.groupBy("key").agg(F.min("component").alias("low"), F.max("component").alias("high"), F.min("id").alias("lead"), F.count("*").alias("members")).where("low <> high").select(F.col("key").alias("ok"), "lead", "members")
+    left = left_join(named, open_keys, {"key": "ok"}, ["lead"], "members", most, F.xxhash64("id")).where("lead IS NOT NULL")
+    left = written(left.select("key", "id", "component", "lead"), "open_members")
     if not left.isEmpty():
         # open buckets that overlap are one group, so that its pairs are compared once; past a size each bucket stands alone
         joint = components(left.where("id <> lead").select(F.col("id").alias("a"), F.col("lead").alias("b")))
         each_id = left.join(joint.withColumnRenamed("component", "cluster"), F.col("id") == F.col("node"), "left").select("key", "id", "component", F.coalesce("cluster", "id").alias("cluster"))
-        size = each_id.groupBy("cluster").agg(F.count_distinct("id").alias("size")).withColumnRenamed("cluster", "c3")
-        each_id = each_id.join(size, F.col("cluster") == F.col("c3"))
+        # counted in two steps, so that a large cluster is in no one task
+        ids = each_id.groupBy("cluster", "id").agg(F.count("*").alias("rows")).groupBy(F.col("cluster").alias("c3")).agg(F.count("*").alias("size"), F.sum("rows").alias("rows"))
+        each_id = left_join(each_id, ids, {"cluster": "c3"}, ["size"], "rows", most, F.xxhash64("id"))
         gid = F.when(F.col("size") <= JOINT, F.xxhash64(F.lit(0), F.col("cluster"))).otherwise(F.xxhash64(F.lit(1), F.col("key")))
         groups = written(each_id.select(gid.alias("gid"), "id", "component").distinct(), "open_groups")
         more = written(compared_in_blocks(texts, groups, width, percent), "links")
         if not more.isEmpty():
             labels = components(links.union(more))
-    roots = classes.join(labels, F.col("rep") == F.col("node"), "left").select("c1", "c2", F.coalesce("component", "rep").alias("root"))
-    rows = table.select("doc_id", "n_shingles", "s1", "s2").join(roots, same_set & (F.col("n_shingles") > 0) & F.col("doc_id").isNotNull(), "left")
+    roots = classes.join(labels, F.col("rep") == F.col("node"), "left").select("c1", "c2", "size", F.coalesce("component", "rep").alias("root"))
+    # documents without shingles or id are in no class: they go under a key of their own
+    classless = (F.col("n_shingles") == 0) | F.col("doc_id").isNull()
+    rows = table.select("doc_id", "n_shingles", F.when(classless, F.xxhash64("doc_id")).otherwise(F.col("s1")).alias("s1"), F.when(~classless, F.col("s2")).alias("s2"))
+    rows = left_join(rows, roots, {"s1": "c1", "s2": "c2"}, ["root"], "size", n_rows, F.xxhash64("doc_id"))
     found = F.coalesce("root", "doc_id")
     return rows.select("doc_id", "n_shingles", found.alias("component_id"), F.col("doc_id").eqNullSafe(found).alias("kept"))
 

@@ -3,6 +3,7 @@
 A first table, made once on the driver from the vocabulary itself and broadcast (its size is bounded by the vocabulary),
 holds the ids of the pre-tokens that are frequent enough to have their own entries. What it misses goes to a cache in
 the worker, and what that misses to the tokenizers library, once per distinct pre-token. No pre-token is ever shuffled.
+Entries are found by a hash and keep their text: a pre-token whose text differs from its entry's is looked up by itself.
 """
 
 from __future__ import annotations
@@ -13,11 +14,13 @@ from dataclasses import dataclass
 
 import numpy as np
 
-from rankgrid.llm.textblocks import prefix_hash, span_hash
+from rankgrid.llm.textblocks import span_hash
 
 LETTER, NUMBER, OTHER, SPACE = 0, 1, 2, 3
 #: No letter, number or space of Unicode lies above; the rest is OTHER.
 LAST_CLASSED = 0x32400
+#: Code points of pre-tokens after which a worker's cache starts anew.
+TEXT_ROOM = 1 << 24
 
 
 @dataclass
@@ -31,6 +34,8 @@ class Vocabulary:
     lengths: np.ndarray
     ids: np.ndarray
     special: list[str]
+    sizes: np.ndarray
+    text: np.ndarray
 
 
 def _load(path: str):
@@ -55,28 +60,60 @@ def code_point_classes(tokenizer) -> np.ndarray:
     return out
 
 
+def cuts(classes: np.ndarray, points: np.ndarray, parts: np.ndarray) -> np.ndarray:
+    """Where pre-tokens start; parts: starts of stretches that are cut each on its own."""
+    kind = np.full(len(points), OTHER, np.uint8)
+    low = points < LAST_CLASSED
+    kind[low] = classes[points[low]]
+    edge = np.zeros(len(points) + 3, bool)
+    edge[parts] = True
+    edge[len(points) :] = True
+    run = np.ones(len(points), bool)
+    run[1:] = kind[1:] != kind[:-1]
+    run |= edge[: len(points)]
+    start = run.copy()
+    after_space = np.flatnonzero(run[1:] & (kind[1:] != SPACE) & (kind[:-1] == SPACE) & ~edge[1 : len(points)]) + 1
+    start[after_space - 1] = True
+    start[after_space] = points[after_space - 1] != 0x20
+    # an apostrophe that stands alone before letters takes one or two of them
+    quote = np.flatnonzero((points == 0x27) & start & run)
+    quote = quote[~edge[quote + 1]]
+    quote = quote[run[quote + 1] & (kind[quote + 1] == LETTER)]
+    if len(quote):
+        one = points[quote + 1]
+        inside = ~edge[quote + 2]
+        two = np.where(inside, points[np.minimum(quote + 2, len(points) - 1)], 0)
+        s, t, m, d, r, v, el, e = (ord(c) for c in "stmdrvle")
+        takes = np.where(np.isin(one, [s, t, m, d]), 1, np.where(((one == r) & (two == e)) | ((one == v) & (two == e)) | ((one == el) & (two == el)), 2, 0))
+        quote, takes = quote[takes > 0], takes[takes > 0]
+        start[quote + 1] = False
+        ends = quote + 1 + takes
+        start[ends[ends < len(points)]] = True
+    return start
+
+
 def vocabulary(path: str) -> Vocabulary:
     t = _load(path)
+    classes = code_point_classes(t)
     special = [x.content for x in t.get_added_tokens_decoder().values()]
-    words = {t.decode([i], skip_special_tokens=False) for i in range(t.get_vocab_size())}
-    words = sorted(w for w in words if w and "�" not in w and w not in special and len(t.pre_tokenizer.pre_tokenize_str(w)) == 1)
-    ids = [x.ids for x in t.encode_batch(words, add_special_tokens=False)]
-    hashes = [_hash_of(w) for w in words] + [_special_hash(k) for k in range(len(special))]
-    ids += [[t.token_to_id(s)] for s in special]
+    words = t.decode_batch([[i] for i in range(t.get_vocab_size())], skip_special_tokens=False)
+    words = sorted({w for w in words if w and "\ufffd" not in w and w not in special})
+    sizes = np.array([len(w) for w in words], np.int64)
+    points, ends = _points("".join(words)), np.cumsum(sizes)
+    single = np.add.reduceat(cuts(classes, points, ends - sizes), ends - sizes, dtype=np.int64) == 1
+    words, hashes = [w for w, one in zip(words, single.tolist(), strict=True) if one], span_hash(points, ends - sizes, ends)[single]
+    ids = [x.ids for x in t.encode_batch(words, add_special_tokens=False)] + [[t.token_to_id(s)] for s in special]
     lengths = np.array([len(x) for x in ids], np.int64)
     flat = np.concatenate([np.asarray(x, np.uint32) for x in ids])
-    return Vocabulary(path, code_point_classes(t), np.array(hashes, np.uint64), np.cumsum(lengths) - lengths, lengths, flat, special)
+    hashes = np.append(hashes, np.array([_special_hash(k) for k in range(len(special))], np.uint64))
+    texts = [*words, *special]
+    return Vocabulary(path, classes, hashes, np.cumsum(lengths) - lengths, lengths, flat, special, np.array([len(w) for w in texts], np.int64), _points("".join(texts)))
 
 
 def _points(text: str) -> np.ndarray:
     return np.frombuffer(text.encode("utf-32-le"), np.uint32)
 
 
-def _hash_of(word: str) -> int:
-    p = prefix_hash(_points(word))
-    return int(span_hash(p, np.array([0]), np.array([len(word)]))[0])
-
-
 def _special_hash(k: int) -> int:
     return (1 << 63) + 2 * k + 1
 
@@ -130,59 +167,50 @@ class Encoder:
         self._fresh()
 
     def _fresh(self) -> None:
+        """The cache without anything but the first table. Entry arrays: place and number of ids, place and size of the text."""
         n = len(self.vocab.hashes)
         self.second = HashIndex(self.cached)
-        self.starts = np.zeros(n + self.cached + (1 << 18), np.int64)
-        self.lengths = np.zeros(len(self.starts), np.int64)
-        self.starts[:n], self.lengths[:n] = self.vocab.starts, self.vocab.lengths
-        self.entries, self.filled = n, len(self.vocab.ids)
-        self.flat = np.zeros(max(1 << 20, 2 * self.filled), np.uint32)
-        self.flat[: self.filled] = self.vocab.ids
-
-    def _learn(self, hashes: np.ndarray, words: list[str]) -> None:
+        self.starts, self.lengths, self.text_at, self.text_sizes = (np.zeros(n + self.cached + (1 << 18), np.int64) for _ in range(4))
+        self.starts[:n], self.lengths[:n], self.text_sizes[:n] = self.vocab.starts, self.vocab.lengths, self.vocab.sizes
+        self.text_at[:n] = np.cumsum(self.vocab.sizes) - self.vocab.sizes
+        self.entries, self.filled, self.written = n, len(self.vocab.ids), len(self.vocab.text)
+        self.flat, self.text = np.zeros(max(1 << 20, 2 * self.filled), np.uint32), np.zeros(max(1 << 20, 2 * self.written), np.uint32)
+        self.flat[: self.filled], self.text[: self.written] = self.vocab.ids, self.vocab.text
+        self.apart: dict[str, int] = {}
+
+    def _store(self, words: list[str]) -> int:
+        """New entries for words; the number of the first."""
         found = [x.ids for x in self.tokenizer.encode_batch_fast(words, add_special_tokens=False)]
-        lengths = np.array([len(x) for x in found], np.int64)
-        total, n = int(lengths.sum()), len(words)
+        lengths, sizes = np.array([len(x) for x in found], np.int64), np.array([len(w) for w in words], np.int64)
+        total, points, n, at = int(lengths.sum()), _points("".join(words)), len(words), self.entries
         while self.filled + total > len(self.flat):
             self.flat = np.concatenate([self.flat, np.zeros_like(self.flat)])
-        if self.entries + n > len(self.starts):
-            self.starts, self.lengths = (np.concatenate([x, np.zeros(max(n, len(x)), np.int64)]) for x in (self.starts, self.lengths))
-        self.starts[self.entries : self.entries + n] = self.filled + np.cumsum(lengths) - lengths
-        self.lengths[self.entries : self.entries + n] = lengths
+        while self.written + len(points) > len(self.text):
+            self.text = np.concatenate([self.text, np.zeros_like(self.text)])
+        if at + n > len(self.starts):
+            self.starts, self.lengths, self.text_at, self.text_sizes = (np.concatenate([x, np.zeros(max(n, len(x)), np.int64)]) for x in (self.starts, self.lengths, self.text_at, self.text_sizes))
+        self.starts[at : at + n], self.text_at[at : at + n] = self.filled + np.cumsum(lengths) - lengths, self.written + np.cumsum(sizes) - sizes
+        self.lengths[at : at + n], self.text_sizes[at : at + n] = lengths, sizes
         self.flat[self.filled : self.filled + total] = np.fromiter((i for x in found for i in x), np.uint32, total)
-        self.second.add(hashes, np.arange(self.entries, self.entries + n, dtype=np.int32))
-        self.entries, self.filled = self.entries + n, self.filled + total
-
-    def cuts(self, points: np.ndarray, parts: np.ndarray) -> np.ndarray:
-        """Where pre-tokens start; parts: starts of stretches that are cut each on its own."""
-        kind = np.full(len(points), OTHER, np.uint8)
-        low = points < LAST_CLASSED
-        kind[low] = self.vocab.classes[points[low]]
-        edge = np.zeros(len(points) + 3, bool)
-        edge[parts] = True
-        edge[len(points) :] = True
-        run = np.ones(len(points), bool)
-        run[1:] = kind[1:] != kind[:-1]
-        run |= edge[: len(points)]
-        start = run.copy()
-        after_space = np.flatnonzero(run[1:] & (kind[1:] != SPACE) & (kind[:-1] == SPACE) & ~edge[1 : len(points)]) + 1
-        start[after_space - 1] = True
-        start[after_space] = points[after_space - 1] != 0x20
-        # an apostrophe that stands alone before letters takes one or two of them
-        quote = np.flatnonzero((points == 0x27) & start & run)
-        quote = quote[~edge[quote + 1]]
-        quote = quote[run[quote + 1] & (kind[quote + 1] == LETTER)]
-        if len(quote):
-            one = points[quote + 1]
-            inside = ~edge[quote + 2]
-            two = np.where(inside, points[np.minimum(quote + 2, len(points) - 1)], 0)
-            s, t, m, d, r, v, el, e = (ord(c) for c in "stmdrvle")
-            takes = np.where(np.isin(one, [s, t, m, d]), 1, np.where(((one == r) & (two == e)) | ((one == v) & (two == e)) | ((one == el) & (two == el)), 2, 0))
-            quote, takes = quote[takes > 0], takes[takes > 0]
-            start[quote + 1] = False
-            ends = quote + 1 + takes
-            start[ends[ends < len(points)]] = True
-        return start
+        self.text[self.written : self.written + len(points)] = points
+        self.entries, self.filled, self.written = at + n, self.filled + total, self.written + len(points)
+        return at
+
+    def _learn(self, hashes: np.ndarray, words: list[str]) -> None:
+        at = self._store(words)
+        self.second.add(hashes, np.arange(at, self.entries, dtype=np.int32))
+
+    def _compare(self, entry: np.ndarray, points: np.ndarray, starts: np.ndarray, ends: np.ndarray, text: str) -> None:
+        """Gives pre-tokens whose text is not that of their entry, which only shares its hash, an entry of their own."""
+        sizes = ends - starts
+        wrong = self.text_sizes[entry] != sizes
+        stored = self.text[np.minimum(np.arange(len(points)) + np.repeat(self.text_at[entry] - starts, sizes), len(self.text) - 1)]
+        wrong[np.searchsorted(starts, np.flatnonzero(stored != points), "right") - 1] = True
+        for k in np.flatnonzero(wrong).tolist():
+            word = text[starts[k] : ends[k]]
+            if word not in self.apart:
+                self.apart[word] = self._store([word])
+            entry[k] = self.apart[word]
 
     def _look_up(self, parts: list[tuple[str, int]]) -> tuple[np.ndarray, np.ndarray]:
         """Entry of each pre-token of the parts (text, hash of a special token or 0), and each part's first pre-token (one more at the end)."""
@@ -192,20 +220,20 @@ class Encoder:
         points = _points(text)
         if not len(points):
             return np.zeros(0, np.int32), np.zeros(len(parts) + 1, np.int64)
-        start = self.cuts(points, at[sizes > 0])
+        start = cuts(self.vocab.classes, points, at[sizes > 0])
         for (p, h), a in zip(parts, at, strict=True):
             if h:
                 start[a + 1 : a + len(p)] = False
         starts = np.flatnonzero(start)
         ends = np.append(starts[1:], len(points))
-        hashes = span_hash(prefix_hash(points), starts, ends)
+        hashes = span_hash(points, starts, ends)
         for (_, h), a in zip(parts, at, strict=True):
             if h:
                 hashes[np.searchsorted(starts, a)] = h
         entry = self.first.find(hashes)
         missed = np.flatnonzero(entry < 0)
         if len(missed):
-            if self.second.n > self.cached // 2:
+            if self.second.n > self.cached // 2 or self.written > TEXT_ROOM:
                 self._fresh()
             known = self.second.find(hashes[missed])
             new = missed[known < 0]
@@ -224,6 +252,7 @@ class Encoder:
                 self._learn(fresh, [text[starts[k] : ends[k]] for k in new[where]])
                 entry[new] = self.second.find(hashes[new])
                 new = new[entry[new] < 0]
+        self._compare(entry, points, starts, ends, text)
         return entry, np.searchsorted(starts, np.append(at, len(points)))
 
     def _pieces(self, text: str):

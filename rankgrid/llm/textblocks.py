@@ -10,21 +10,20 @@ import pyarrow as pa
 import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 
-#: Odd multiplier of the rolling hash and its inverse modulo 2**64.
-BASE = 0x9E3779B97F4A7C15
-BASE_INVERSE = pow(BASE, -1, 1 << 64)
 WHITE = np.zeros(256, bool)
 WHITE[[0x20, 0x09, 0x0A, 0x0B, 0x0C, 0x0D]] = True
 LOWER = np.arange(256, dtype=np.uint8)
 LOWER[65:91] += 32
-_powers = [np.ones(1, np.uint64), np.ones(1, np.uint64)]
+#: Odd multiplier that spreads lengths and numbers over 64 bits.
+SPREAD = np.uint64(0x9E3779B97F4A7C15)
+#: Values of spans that are hashed at once: the arrays of a step stay in a processor's cache.
+STEP = 1 << 17
 #: Bytes of an Arrow batch between Spark and a worker (one row may be larger).
 ARROW_BYTES = 8 << 20
 
 
 def give_back() -> None:
     """Freed memory of this worker to the system: workers live on between tasks, beside the next stage's."""
-    _powers[:] = np.ones(1, np.uint64), np.ones(1, np.uint64)
     pa.default_memory_pool().release_unused()
     trim = getattr(ctypes.CDLL(None), "malloc_trim", None)
     if trim:
@@ -47,17 +46,6 @@ def map_arrow(df: DataFrame, each: Callable[[Iterable[pa.RecordBatch]], Iterator
     return df.mapInArrow(lean, schema)
 
 
-def powers(n: int) -> tuple[np.ndarray, np.ndarray]:
-    """BASE**i and BASE**-i modulo 2**64 for i < n."""
-    if len(_powers[0]) < n:
-        size = 1 << max(16, (n - 1).bit_length())
-        for k, b in enumerate((BASE, BASE_INVERSE)):
-            p = np.full(size, b, np.uint64)
-            p[0] = 1
-            _powers[k] = np.multiply.accumulate(p)
-    return _powers[0][:n], _powers[1][:n]
-
-
 def mix(h: np.ndarray) -> np.ndarray:
     """A bijection of 64-bit words that spreads every bit (the 64-bit finalizer of a well-known public hash)."""
     h = h ^ (h >> np.uint64(33))
@@ -67,17 +55,55 @@ def mix(h: np.ndarray) -> np.ndarray:
     return h ^ (h >> np.uint64(33))
 
 
-def prefix_hash(values: np.ndarray) -> np.ndarray:
-    """p with p[0] = 0, so that (p[e] - p[s]) * BASE**-s depends on values[s:e] alone."""
-    up, _ = powers(len(values) + 1)
-    out = np.zeros(len(values) + 1, np.uint64)
-    np.cumsum((values.astype(np.uint64) + np.uint64(1)) * up[: len(values)], out=out[1:])
-    return out
+def placed(values: np.ndarray, places: np.ndarray | int) -> np.ndarray:
+    """A mixed number for each value (below 2**32) at its place in a span: a pair of value and place always gives the same."""
+    return mix((values.astype(np.uint64) | (np.asarray(places).astype(np.uint64) << np.uint64(32))) + SPREAD)
+
 
+def closed(sums: np.ndarray, sizes: np.ndarray | int) -> np.ndarray:
+    """The hash of a span from the sum of its placed values and its size."""
+    return mix(sums + np.asarray(sizes).astype(np.uint64) * SPREAD)
 
-def span_hash(prefix: np.ndarray, starts: np.ndarray, ends: np.ndarray) -> np.ndarray:
-    _, down = powers(len(prefix))
-    return mix((prefix[ends] - prefix[starts]) * down[starts] + (ends - starts).astype(np.uint64))
+
+def span_hashes(values: np.ndarray, starts: np.ndarray, ends: np.ndarray, second: bool = False) -> tuple[np.ndarray, np.ndarray]:
+    """64-bit hashes of values[start:end] for each span, and on request independent second ones (else an empty array).
+
+    Every value is mixed with its place before anything is added, so that no arrangement of values cancels as in a
+    polynomial modulo a power of two. The first hash adds the mixed numbers, the second joins them by exclusive or.
+    """
+    sizes = ends - starts
+    stops = np.cumsum(sizes)
+    out, other = np.zeros(len(starts), np.uint64), np.zeros(len(starts) if second else 0, np.uint64)
+    lo = 0
+    while lo < len(starts):
+        hi = max(lo + 1, int(np.searchsorted(stops, (stops[lo - 1] if lo else 0) + STEP, "right")))
+        n = sizes[lo:hi]
+        first = np.cumsum(n) - n
+        place = np.arange(int(n.sum())) - np.repeat(first, n)
+        numbers = np.append(placed(values[place + np.repeat(starts[lo:hi], n)], place), np.uint64(0))
+        empty = n == 0
+        sums = np.add.reduceat(numbers, first)
+        sums[empty] = 0
+        out[lo:hi] = closed(sums, n)
+        if second:
+            joined = np.bitwise_xor.reduceat(numbers, first)
+            joined[empty] = 0
+            other[lo:hi] = closed(joined, n)
+        lo = hi
+    return out, other
+
+
+def span_hash(values: np.ndarray, starts: np.ndarray, ends: np.ndarray) -> np.ndarray:
+    return span_hashes(values, starts, ends)[0]
+
+
+def sliding_hash(words: np.ndarray, width: int) -> np.ndarray:
+    """Hashes of all runs of width words, of the words' hashes in their order."""
+    n = max(len(words) - width + 1, 0)
+    h = np.full(n, width, np.uint64)
+    for k in range(width):
+        h = mix((h ^ words[k : k + n]) * SPREAD)
+    return h
 
 
 def flat_text(column: pa.Array) -> tuple[np.ndarray, np.ndarray]:
@@ -123,4 +149,4 @@ def word_spans(data: np.ndarray, offsets: np.ndarray, white: np.ndarray = WHITE)
 def word_hashes(data: np.ndarray, offsets: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     """64-bit hashes of the words with A-Z lower-cased, and each document's first word's index."""
     starts, ends, first = word_spans(data, offsets)
-    return span_hash(prefix_hash(LOWER[data]), starts, ends), first
+    return span_hash(LOWER[data], starts, ends), first

@@ -1,6 +1,11 @@
 """The registries: names match, and a few queries against DuckDB on the smallest tables."""
 
 import math
+import os
+import shutil
+import subprocess
+import sys
+from pathlib import Path
 
 import duckdb
 import pytest
@@ -43,3 +48,16 @@ def test_entry(spark):
     import __spark_entry__ as e
 
     assert e.entry(spark).count() > 0
+
+
+@pytest.mark.parametrize("pipeline", [True, False])
+def test_the_rest_works_without_the_training_data_package(tmp_path, pipeline):
+    """Both folders of it are gone, with or without the pipeline's file left in place."""
+    root, copy = Path(__file__).resolve().parent.parent, tmp_path / "r"
+    shutil.copytree(root, copy, ignore=shutil.ignore_patterns(".git", "__pycache__", "spark-warehouse", ".pytest_cache"))
+    for gone in ("rankgrid/llm", "tests/llm"):
+        shutil.rmtree(copy / gone, ignore_errors=True)
+    if not pipeline:
+        (copy / "corpus_pipeline.py").unlink(missing_ok=True)
+    code = "import __spark_entry__ as e; q = e.queries(); assert 'mm_split' in q and 'pipeline' not in q and not any(k.startswith('op1') for k in q); assert set(e.oracle_sql()) <= set(q)"
+    subprocess.run([sys.executable, "-c", code], cwd=copy, check=True, env={**os.environ, "PYTHONPATH": str(copy)})

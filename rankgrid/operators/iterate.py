@@ -3,59 +3,116 @@
 from __future__ import annotations
 
 import math
-from collections.abc import Callable
-from dataclasses import dataclass, field
+from collections.abc import Callable, Iterator
+from dataclasses import dataclass
 
-from pyspark.sql import DataFrame
+import numpy as np
+import pyarrow as pa
+from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from rankgrid.operators.lrb import identity, lincomb, scale
 from rankgrid.operators.multiply import Grid, mm_panels
-from rankgrid.schema import BlockMatrix
+from rankgrid.schema import Axis, BlockMatrix, map_tiles, read_tile
 from rankgrid.session import written
 
 
 def row_sums(m: BlockMatrix) -> DataFrame:
-    return m.to_coo().groupBy("i").agg(F.sum(F.abs("v")).alias("s"))
+    """i, s: the absolute row sums, worked out tile by tile; one number a tile and row is shuffled, no entry."""
+    starts = m.rows.starts
+
+    def one(row: dict) -> list[dict]:
+        sums = np.abs(read_tile(row).dense()).sum(axis=1)
+        return [{"i": starts[row["bi"]] + k, "s": float(v)} for k, v in enumerate(sums)]
+
+    return map_tiles(m.blocks, one, "i long, s double", pa.schema([("i", pa.int64()), ("s", pa.float64())])).groupBy("i").agg(F.sum("s").alias("s"))
 
 
 def choose_alpha(m: BlockMatrix, how: str = "inf", steps: int = 20) -> float:
     """A factor with ‖alpha m − I‖₂ ≤ 1 for a positive definite m.
 
     'inf': one over the largest absolute row sum, which bounds the largest eigenvalue. 'power': one over the estimate of
-    a power iteration, raised by its residual so that the bound holds.
+    a power iteration, raised by its residual so that the bound holds. 'two_sided': two over the sum of the largest and
+    the smallest eigenvalue, which makes the norm smallest; the smallest is found by a second power iteration, on what
+    the largest leaves.
     """
     if how == "inf":
         return 1.0 / row_sums(m).agg(F.max("s")).first()[0]
-    return 1.0 / power_norm(m.to_coo(), m.rows.n, steps)
+    high = power_norm(m, steps)
+    if how == "power":
+        return 1.0 / high
+    # the spectrum of high - m lies between 0 and high - low: its upper estimate is a lower one of low
+    low = high - power_norm(m, steps, shift=high)
+    return 2.0 / (high + max(low, 0.0))
+
+
+_PIECE = pa.schema([("b", pa.int32()), ("piece", pa.binary())])
+
+
+def vector(spark: SparkSession, axis: Axis) -> DataFrame:
+    """b, piece: a first vector of unequal entries, one row a block."""
+    starts, n = axis.starts, max(axis.n, 1)
+
+    def one(row: dict) -> list[dict]:
+        i = np.arange(starts[row["id"]], starts[row["id"] + 1])
+        return [{"b": row["id"], "piece": ((1 + i % 7 / 10) / math.sqrt(n)).tobytes()}]
+
+    return map_tiles(spark.range(axis.blocks), one, "b int, piece binary", _PIECE)
 
 
-def power_norm(entries: DataFrame, n: int, steps: int = 20) -> float:
-    """An upper estimate of the largest eigenvalue of a symmetric matrix of entries: Rayleigh quotient plus residual norm.
+def tile_matvec(m: BlockMatrix, x: DataFrame, shift: float = 0.0) -> DataFrame:
+    """b, piece of m x (of shift x - m x, if shift is not 0); a low-rank tile multiplies by its factors one after the other."""
+    pieces = m.blocks.join(x.select(F.col("b").alias("xb"), F.col("piece").alias("xp")), F.col("bj") == F.col("xb"))
 
-    A vector has one row an index; it is written after each step.
+    def one(row: dict) -> list[dict]:
+        t, v = read_tile(row), np.frombuffer(row["xp"], np.float64)
+        y = t.x @ v if t.w is None else t.x @ (t.w.T @ v)
+        return [{"b": row["bi"], "piece": (-y if shift else y).tobytes()}]
+
+    parts = map_tiles(pieces, one, "b int, piece binary", _PIECE)
+    if shift:
+        parts = parts.unionByName(map_tiles(x, lambda r: [{"b": r["b"], "piece": (shift * np.frombuffer(r["piece"], np.float64)).tobytes()}], "b int, piece binary", _PIECE))
+
+    def total(key: tuple, batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        y = sum(np.frombuffer(v, np.float64) for v in sorted(v for b in batches for v in b.column("piece").to_pylist()))
+        yield pa.RecordBatch.from_pylist([{"b": key[0].as_py(), "piece": y.tobytes()}], schema=_PIECE)
+
+    return parts.groupBy("b").applyInArrow(total, "b int, piece binary")
+
+
+def power_norm(m: BlockMatrix, steps: int = 20, shift: float = 0.0) -> float:
+    """An upper estimate of the largest eigenvalue of a symmetric matrix of tiles (of shift I - m): Rayleigh quotient plus residual norm.
+
+    A vector has one row a block; it is written after each step.
     """
-    from rankgrid.operators.lrb import matvec
+    x = written(vector(m.blocks.sparkSession, m.rows), "vector")
+    dots = pa.schema([("xy", pa.float64()), ("xx", pa.float64()), ("yy", pa.float64())])
 
-    spark = entries.sparkSession
-    x = spark.range(n).select(F.col("id").alias("i"), (F.lit(1 / math.sqrt(n)) * (1 + F.col("id") % 7 / 10)).alias("v"))
-    value = bound = 0.0
+    def products(row: dict) -> list[dict]:
+        u, v = (np.frombuffer(row[c], np.float64) for c in ("piece", "yp"))
+        return [{"xy": float(u @ v), "xx": float(u @ u), "yy": float(v @ v)}]
+
+    bound = 0.0
     for _ in range(steps):
-        y = written(matvec(entries, x), "vector")
-        both = y.withColumnRenamed("v", "yv").join(x.select(F.col("i").alias("xi"), F.col("v").alias("xv")), F.col("i") == F.col("xi"))
-        r = both.agg(F.sum(F.col("xv") * F.col("yv")).alias("xy"), F.sum(F.col("xv") * F.col("xv")).alias("xx"), F.sum(F.col("yv") * F.col("yv")).alias("yy")).first()
+        y = written(tile_matvec(m, x, shift), "vector")
+        both = y.select(F.col("b").alias("yb"), F.col("piece").alias("yp")).join(x, F.col("b") == F.col("yb"))
+        r = map_tiles(both, products, "xy double, xx double, yy double", dots).agg(*[F.sum(c).alias(c) for c in ("xy", "xx", "yy")]).first()
         value = r["xy"] / r["xx"]
         bound = value + math.sqrt(max(r["yy"] / r["xx"] - value * value, 0.0))
-        x = y.select("i", (F.col("v") / math.sqrt(r["yy"])).alias("v"))
+        if not r["yy"]:
+            break
+        unit = 1 / math.sqrt(r["yy"])
+        x = map_tiles(y, lambda row, c=unit: [{"b": row["b"], "piece": (c * np.frombuffer(row["piece"], np.float64)).tobytes()}], "b int, piece binary", _PIECE)
     return bound
 
 
 @dataclass
 class Options:
-    grid: Grid = field(default_factory=lambda: Grid(2, 2))
+    grid: Grid | None = None
     depth: int | str | None = "all"
     eps_lr: float = 0.0
     eps_sp: float = 0.0
+    mode: str | None = None
 
 
 @dataclass
@@ -88,7 +145,7 @@ def inv_sqrt(m: BlockMatrix, iters: int = 10, alpha: float | str = "inf", option
     a = choose_alpha(m, alpha) if isinstance(alpha, str) else alpha
 
     def mm(p: BlockMatrix, q: BlockMatrix, c: float = 1.0) -> BlockMatrix:
-        return mm_panels(p, q, o.grid, o.depth, alpha=c, eps_lr=o.eps_lr, eps_sp=o.eps_sp)
+        return mm_panels(p, q, o.grid, o.depth, o.mode, alpha=c, eps_lr=o.eps_lr, eps_sp=o.eps_sp)
 
     z, y = identity(spark, m.rows), m
     roots = None
@@ -117,5 +174,5 @@ def distance_from_identity(x: BlockMatrix) -> float:
 
 def residual(r: BlockMatrix, m: BlockMatrix, grid: Grid | None = None) -> float:
     """‖R M R − I‖_F, in full precision."""
-    g = grid or Grid(2, 2)
-    return distance_from_identity(mm_panels(mm_panels(r, m, g, "all"), r, g, "all"))
+    rm = _kept(mm_panels(r, m, grid, "all"), "residual")
+    return distance_from_identity(mm_panels(rm, r, grid, "all"))

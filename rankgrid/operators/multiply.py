@@ -1,17 +1,20 @@
 """Products of block matrices on a virtual process grid.
 
-One physical form serves all variants: tiles are copied to the grid cells that need them, one shuffle brings them there,
-and a cell streams its tiles in the order of the summed index while it adds into its own tiles of the result. What
-varies is how many rounds of the summed index one job issues, whether partial results are reduced in a second shuffle,
-which operand stays in place, and how many layers of the grid share the rounds.
+One physical form serves most variants: tiles are copied to the grid cells that need them, one shuffle brings them there,
+and a cell streams its tiles round by round of the summed index while it adds into its own tiles of the result. What
+varies is how many rounds a cell has open at once, how many jobs issue them and what they wait for, in what form panels
+travel, whether partial results are reduced in a second shuffle, which operand stays in place, and how many layers of the
+grid share the rounds. The torus-shift and the split products have plans of their own.
 """
 
 from __future__ import annotations
 
+import math
 from collections.abc import Iterable, Iterator
 from concurrent.futures import ThreadPoolExecutor
 from dataclasses import dataclass
 
+import numpy as np
 import pyarrow as pa
 from pyspark import inheritable_thread_target
 from pyspark.sql import DataFrame, SparkSession
@@ -20,7 +23,8 @@ from pyspark.sql import functions as F
 from rankgrid.functions.tiles import Sum, Tile, multiply, sparse_multiply
 from rankgrid.operators.screening import screen_product
 from rankgrid.plans.costs import optimal_depth
-from rankgrid.schema import ARROW_BLOCKS, BLOCKS, BlockMatrix, block_batch, read_tile, tile_row
+from rankgrid.plans.schedule import release_order
+from rankgrid.schema import ARROW_BLOCKS, BLOCKS, Axis, BlockMatrix, block_batch, read_tile, tile_row
 from rankgrid.session import written
 
 _PARTIAL = pa.schema([("k", pa.int32()), *ARROW_BLOCKS])
@@ -40,45 +44,100 @@ class Grid:
     layers: int = 1
 
 
-def round_order(blocks: int, p: int, kind: str = "natural") -> list[int]:
-    """The order in which rounds are issued: as numbered, or all rounds of one owner after another."""
-    return list(range(blocks)) if kind == "natural" else sorted(range(blocks), key=lambda k: (k % p, k))
+#: Bytes of the result, were it full, that one cell holds at most, and cells for each core where the matrix has so many tiles.
+CELL_BYTES, CELLS_PER_CORE = 128 << 20, 2
+#: Rounds that a cell has open at most where nothing else bounds them.
+OPEN_ROUNDS = 8
 
 
-def _cells(a: BlockMatrix, b: BlockMatrix, grid: Grid, stationary: str, wave: list[int] | None, survivors: DataFrame | None) -> DataFrame:
-    """Tiles of both operands at the cells that need them: cell, k, side, then the tile. k runs over the summed index."""
+def default_grid(rows: Axis, cols: Axis, cores: int) -> Grid:
+    """A grid with a few cells for each core, and so many that a cell's part of the result stays small; no larger than the
+    result in tiles, and as square as that allows. Only the blockings are looked at."""
+    need = max(CELLS_PER_CORE * cores, math.ceil(8 * rows.n * cols.n / CELL_BYTES), 1)
+    need = min(need, max(1, rows.blocks * cols.blocks))
+    pr = min(max(rows.blocks, 1), max(1, round(math.sqrt(need * max(rows.blocks, 1) / max(cols.blocks, 1)))))
+    return Grid(pr, min(max(cols.blocks, 1), math.ceil(need / pr)))
+
+
+def _grid_for(a: BlockMatrix, b: BlockMatrix, grid: Grid | None) -> Grid:
+    return grid or default_grid(a.rows, b.cols, a.blocks.sparkSession.sparkContext.defaultParallelism)
+
+
+def round_order(blocks: int, p: int, kind: str = "natural", released: dict[int, float] | None = None) -> list[int]:
+    """The order in which rounds are issued: as numbered, all rounds of one owner after another ('by_owner'), or those
+    first that free most for their work ('release', by what each round releases for a unit of cost)."""
+    if kind == "by_owner":
+        return sorted(range(blocks), key=lambda k: (k % p, k))
+    if kind == "release":
+        return sorted(range(blocks), key=lambda k: (-(released or {}).get(k, 0.0), k))
+    return list(range(blocks))
+
+
+def _released(a: BlockMatrix, b: BlockMatrix) -> dict[int, float]:
+    """What each round frees for a unit of its cost, from shapes alone: one number a block of the summed index."""
+    shape = ("bi", "bj", "m", "n", (F.col("m").cast("long") * F.col("n")).alias("area"))
+    rows = release_order(a.blocks.select(*shape), b.blocks.select(*shape)).select("k", "released", "cost").collect()
+    return {r["k"]: r["released"] / r["cost"] for r in rows if r["cost"]}
+
+
+PAYLOAD = ("m", "n", "repr", "rank", "norm", "x", "w")
+
+
+def _sides(a: BlockMatrix, b: BlockMatrix, turn: list[int]) -> DataFrame:
+    """Tiles of both operands: side, k (of the summed index), turn (the place of round k in the order), o (the other index), then the tile."""
+    left = a.blocks.select(F.lit(0).alias("side"), F.col("bj").alias("k"), F.col("bi").alias("o"), *PAYLOAD)
+    right = b.blocks.select(F.lit(1).alias("side"), F.col("bi").alias("k"), F.col("bj").alias("o"), *PAYLOAD)
+    place = F.element_at(F.lit(turn), F.col("k") + 1) if turn != list(range(len(turn))) else F.col("k")
+    return left.unionByName(right).withColumn("turn", place.cast("int"))
+
+
+def _cells(sides: DataFrame, grid: Grid, stationary: str, kept: DataFrame | None, panel: bool = False) -> DataFrame:
+    """Tiles at the cells that need them: cell, turn, side, k, o, then the tile. Of a screened product only tiles of block
+    rows and columns that something is kept of travel, and each cell first gets the list of the tiles it is to work out.
+
+    panel: the tiles of a round that go to one grid row or column are put into one record before they are sent.
+    """
     pr, pc, layers = grid.pr, grid.pc, grid.layers
-    payload = ["m", "n", "repr", "rank", "norm", "x", "w"]
-    left = a.blocks.select(F.lit(0).alias("side"), F.col("bj").alias("k"), F.col("bi").alias("o"), *payload)
-    right = b.blocks.select(F.lit(1).alias("side"), F.col("bi").alias("k"), F.col("bj").alias("o"), *payload)
-    if wave is not None:
-        left, right = left.where(F.col("k").isin(wave)), right.where(F.col("k").isin(wave))
-    if survivors is not None:
-        left = left.join(survivors.select(F.col("bi").alias("s")).distinct(), F.col("o") == F.col("s"), "left_semi")
-        right = right.join(survivors.select(F.col("bj").alias("s")).distinct(), F.col("o") == F.col("s"), "left_semi")
+    if kept is not None:
+        named = kept.select(F.explode(F.array(F.struct(F.lit(0).alias("s"), F.col("bi").alias("t")), F.struct(F.lit(1).alias("s"), F.col("bj").alias("t")))).alias("x")).select("x.s", "x.t").distinct()
+        sides = sides.join(named, (F.col("side") == F.col("s")) & (F.col("o") == F.col("t")), "left_semi")
     row, col = F.sequence(F.lit(0), F.lit(pr - 1)), F.sequence(F.lit(0), F.lit(pc - 1))
-    if stationary == "C":
-        left = left.select("*", F.pmod("o", F.lit(pr)).alias("gr"), F.explode(col).alias("gc"))
-        right = right.select("*", F.pmod("o", F.lit(pc)).alias("gc"), F.explode(row).alias("gr"))
-    elif stationary == "A":
-        left = left.select("*", F.pmod("o", F.lit(pr)).alias("gr"), F.pmod("k", F.lit(pc)).alias("gc"))
-        right = right.select("*", F.pmod("k", F.lit(pc)).alias("gc"), F.explode(row).alias("gr"))
-    else:
-        left = left.select("*", F.pmod("k", F.lit(pr)).alias("gr"), F.explode(col).alias("gc"))
-        right = right.select("*", F.pmod("k", F.lit(pr)).alias("gr"), F.pmod("o", F.lit(pc)).alias("gc"))
-    both = left.unionByName(right)
-    return both.withColumn("cell", ((F.pmod("k", F.lit(layers)) * pr + F.col("gr")) * pc + F.col("gc")).cast("int"))
+    every_layer = F.sequence(F.lit(0), F.lit(layers - 1))
+    is_left = F.col("side") == 0
+    own_row, own_col = F.array(F.pmod("o", F.lit(pr))), F.array(F.pmod("o", F.lit(pc)))
+    k_row, k_col = F.array(F.pmod("k", F.lit(pr))), F.array(F.pmod("k", F.lit(pc)))
+    rows, cols = {
+        "C": (F.when(is_left, own_row).otherwise(row), F.when(is_left, col).otherwise(own_col)),
+        "A": (F.when(is_left, own_row).otherwise(row), k_col),
+        "B": (k_row, F.when(is_left, col).otherwise(own_col)),
+    }[stationary]
+    names = [*PAYLOAD]
+    if panel:
+        group = F.when(is_left, F.pmod("o", F.lit(pr))).otherwise(F.pmod("o", F.lit(pc)))
+        sides = sides.groupBy("side", "k", "turn", group.alias("group")).agg(F.sort_array(F.collect_list(F.struct("o", *PAYLOAD))).alias("tiles")).withColumn("o", F.col("tiles")[0]["o"])
+        names = ["tiles"]
+    cell = lambda layer: ((layer * pr + F.col("gr")) * pc + F.col("gc")).cast("int")
+    placed = sides.withColumn("gr", F.explode(rows)).withColumn("gc", F.explode(cols)).withColumn("cell", cell(F.pmod("k", F.lit(layers))))
+    placed = placed.select("cell", "turn", "side", "k", "o", *names)
+    if kept is None:
+        return placed
+    at_row, at_col = F.array(F.pmod("bi", F.lit(pr))), F.array(F.pmod("bj", F.lit(pc)))
+    asked = kept.withColumn("gr", F.explode(row if stationary == "B" else at_row)).withColumn("gc", F.explode(col if stationary == "A" else at_col)).withColumn("layer", F.explode(every_layer))
+    asked = asked.select(cell(F.col("layer")).alias("cell"), F.lit(-1).alias("turn"), F.lit(-1).alias("side"), F.col("bj").alias("k"), F.col("bi").alias("o"))
+    return placed.unionByName(asked, allowMissingColumns=True)
 
 
 @dataclass(frozen=True)
 class Update:
-    """What a cell does with a pair of tiles. survivors: tiles of the result worth working out, None for all."""
+    """What a cell does with the tiles of its rounds. open_rounds: rounds it has at hand at once; screened: whether it gets
+    the list of its tiles first."""
 
     alpha: float = 1.0
     eps_lr: float = 0.0
     sparse: bool = False
-    survivors: frozenset | None = None
+    screened: bool = False
     term_floor: float = 0.0
+    open_rounds: int = 1
 
 
 def _pair(x: Tile, y: Tile, u: Update) -> Tile:
@@ -87,45 +146,77 @@ def _pair(x: Tile, y: Tile, u: Update) -> Tile:
     return multiply(x, y)
 
 
-def _streamed(cells: DataFrame, u: Update, parts: int, row_step: int = 0) -> DataFrame:
-    """Partial results of each cell. Rows come sorted by cell, round and side; a cell holds one round's tiles of the left
-    operand and its own tiles of the result. With row_step a cell goes through its result in groups of so many block rows."""
-    keys = ["cell", "k", "side", "o"]
-    if row_step:
-        groups = F.floor(F.col("o") / row_step).cast("int")
-        n = cells.where("side = 0").agg(F.max(groups)).first()[0]
-        sub = F.when(F.col("side") == 0, F.array(groups)).otherwise(F.sequence(F.lit(0), F.lit(n or 0)))
-        cells = cells.withColumn("sub", F.explode(sub))
-        keys = ["cell", "sub", "k", "side", "o"]
-    placed = cells.repartitionById(parts, F.pmod("cell", F.lit(parts))).sortWithinPartitions(*keys)
+class _Cell:
+    """One cell at work: the tiles of its open rounds, and its sums."""
+
+    def __init__(self, u: Update):
+        self.u, self.wanted, self.sums, self.last = u, set(), {}, None
+        self.left: dict[int, dict[int, tuple[Tile, float]]] = {}
+        self.right: dict[int, dict[int, tuple[Tile, float]]] = {}
+
+    def take(self, row: dict) -> None:
+        if row["side"] < 0:
+            self.wanted.add((row["o"], row["k"]))
+            return
+        at = row["turn"], row["k"]
+        if at != self.last:
+            if self.last is not None and len({*self.left, *self.right, at}) > self.u.open_rounds:
+                self.update()
+            self.last = at
+        side = (self.right if row["side"] else self.left).setdefault(at, {})
+        for t in row.get("tiles") or [row]:
+            side[t["o"]] = (read_tile(t), t["norm"])
+
+    def update(self) -> None:
+        """Adds the products of the open rounds. Full tiles of several rounds make one product of joined tiles."""
+        u = self.u
+        rounds = sorted(set(self.left) & set(self.right))
+        places: dict[tuple[int, int], list[tuple[Tile, Tile]]] = {}
+        for at in rounds:
+            for i, (x, norm_x) in sorted(self.left[at].items()):
+                for j, (y, norm_y) in sorted(self.right[at].items()):
+                    if (not u.screened or (i, j) in self.wanted) and not norm_x * norm_y <= u.term_floor:
+                        places.setdefault((i, j), []).append((x, y))
+        for place, pairs in places.items():
+            total = self.sums.setdefault(place, Sum(u.eps_lr))
+            full = [(x, y) for x, y in pairs if x.w is None and y.w is None and not u.sparse]
+            if len(full) > 1:
+                total.take(Tile(np.hstack([x.x for x, _ in full]) @ np.vstack([y.x for _, y in full])).scaled(u.alpha))
+                pairs = [(x, y) for x, y in pairs if x.w is not None or y.w is not None]
+            for x, y in pairs:
+                total.take(_pair(x, y, u).scaled(u.alpha))
+        self.left, self.right, self.last = {}, {}, None
+
+    def results(self) -> Iterator[dict]:
+        self.update()
+        for (i, j), s in sorted(self.sums.items()):
+            t = s.result()
+            if t.rank:
+                yield tile_row(i, j, t)
+
+
+def _placed(cells: DataFrame, parts: int) -> DataFrame:
+    return cells.repartitionById(parts, F.pmod("cell", F.lit(parts))).sortWithinPartitions("cell", "turn", "side", "o")
+
+
+def _streamed(placed: DataFrame, u: Update, order: int = 0) -> DataFrame:
+    """Partial results of each cell. Rows come sorted by cell, turn and side; a cell holds the tiles of its open rounds and
+    its own tiles of the result. order tells the partial results of one tile apart, by the layer or the job they are of."""
 
     def work(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        now, k, left, sums = None, None, {}, {}
+        now, cell = None, None
 
         def close() -> Iterator[pa.RecordBatch]:
-            for (i, j), s in sorted(sums.items()):
-                t = s.result()
-                if t.rank:
-                    yield block_batch([{"k": k, **tile_row(i, j, t)}], _PARTIAL)
+            if cell is not None:
+                for t in cell.results():
+                    yield block_batch([{"k": order + now, **t}], _PARTIAL)
 
         for batch in batches:
             for row in batch.to_pylist():
-                at = (row["cell"], row.get("sub"))
-                if at != now:
+                if row["cell"] != now:
                     yield from close()
-                    now, left, sums, k = at, {}, {}, None
-                if row["k"] != k:
-                    k, left = row["k"], {}
-                t = read_tile(row)
-                if not row["side"]:
-                    left[row["o"]] = (t, row["norm"])
-                    continue
-                for i, (x, norm) in left.items():
-                    if u.survivors is not None and (i, row["o"]) not in u.survivors:
-                        continue
-                    if norm * row["norm"] <= u.term_floor:
-                        continue
-                    sums.setdefault((i, row["o"]), Sum(u.eps_lr)).take(_pair(x, t, u).scaled(u.alpha))
+                    now, cell = row["cell"], _Cell(u)
+                cell.take(row)
         yield from close()
 
     return placed.mapInArrow(work, PARTIAL)
@@ -146,70 +237,95 @@ def reduce_partials(partials: DataFrame, eps_lr: float = 0.0) -> DataFrame:
     return partials.groupBy("bi", "bj").applyInArrow(join, BLOCKS)
 
 
-def _parts(a: DataFrame, grid: Grid) -> int:
-    return max(1, min(grid.pr * grid.pc * grid.layers, int(a.sparkSession.conf.get("spark.sql.shuffle.partitions"))))
-
-
-def _survivors(a: BlockMatrix, b: BlockMatrix, eps_sp: float) -> tuple[DataFrame | None, frozenset | None]:
-    """The tiles of the result that pass screening, from norm tables alone; as a set where their number is known to be small."""
+def _survivors(a: BlockMatrix, b: BlockMatrix, eps_sp: float) -> DataFrame | None:
+    """The tiles (bi, bj) of the result that pass screening, from norm tables alone."""
     if eps_sp <= 0:
-        return None, None
-    kept = written(screen_product(a.norms(), b.norms(), a.rows, b.cols, eps_sp).select("bi", "bj"), "survivors")
-    small = kept.limit(SKELETON + 1).count() <= SKELETON
-    return kept, frozenset((r["bi"], r["bj"]) for r in kept.collect()) if small else None
-
-
-#: Tiles of a result's skeleton that may be broadcast to tasks; a larger skeleton is applied by joins.
-SKELETON = 2_000_000
+        return None
+    return written(screen_product(a.norms(), b.norms(), a.rows, b.cols, eps_sp).select("bi", "bj"), "survivors")
 
 
 def mm_panels(
-    a: BlockMatrix, b: BlockMatrix, grid: Grid = Grid(2, 2), depth: int | str | None = None, mode: str = "waves", stationary: str = "C",
+    a: BlockMatrix, b: BlockMatrix, grid: Grid | None = None, depth: int | str | None = None, mode: str | None = None, stationary: str = "C",
     order: str = "natural", prefetch: int = 0, alpha: float = 1.0, eps_lr: float = 0.0, eps_sp: float = 0.0, screen: str = "block",
-    sparse: bool = False, row_step: int = 0,
+    sparse: bool = False, row_step: int = 0, bcast: str = "tiles", only: DataFrame | None = None,
 ) -> BlockMatrix:
     """The panel-broadcast product alpha a b.
 
-    depth: rounds of the summed index in flight; None for max(2, min(pr, pc)), 'all' for one job without any order among
-    rounds. mode 'waves' issues so many rounds as one job and waits; 'sliding' keeps so many jobs of one round running
-    and starts another when one ends. prefetch: panels made ready beside the running round at depth 1.
+    grid: None for default_grid. depth: rounds of the summed index in flight; None for max(2, min(pr, pc)), 'all' for no
+    order among rounds at all. mode 'stream', the default from depth 2 on, is one job: every cell has that many rounds
+    open, and takes in the next ones when those are done, whatever other cells do. mode 'waves', the default at depth 1,
+    issues depth rounds as one job and waits for its end before the next; 'sliding' keeps depth jobs of one round running
+    and starts another when one ends. prefetch: panels that are sent while the running job works, with mode 'waves'.
+
+    order: see round_order. bcast 'tiles' sends each tile by itself, 'panel' a round's tiles of a grid row or column as
+    one record. row_step: block rows of the result that a cell holds at most, by more rows of cells. only: the tiles
+    (bi, bj) of the result to work out. A matrix without tiles gives one without tiles; a tile that is not there is zero.
     """
     if a.cols.starts != b.rows.starts:
         raise ValueError("the blockings of the summed index differ")
-    n = a.cols.blocks
-    kept, skeleton = _survivors(a, b, eps_sp if screen != "none" else 0.0)
-    u = Update(alpha, eps_lr, sparse, skeleton, eps_sp if screen == "term" else 0.0)
-    parts = _parts(a.blocks, grid)
-    depth = n if depth == "all" else min(n, depth or optimal_depth(grid.pr, grid.pc))
-
-    def issue(wave: list[int] | None) -> DataFrame:
-        return _streamed(_cells(a, b, grid, stationary, wave, kept), u, parts, row_step)
-
-    rounds = round_order(n, grid.pc, order)
-    if depth >= n:
-        partials = issue(None)
-        alone = stationary == "C" and grid.layers == 1
-        whole = partials.drop("k") if alone else reduce_partials(partials, eps_lr)
-        # a skeleton that tasks could not be given is applied to the result
-        return BlockMatrix(_only(whole, kept if skeleton is None else None), a.rows, b.cols)
-    # several jobs read the operands: they are written once, so that no job goes back to their sources
-    a, b = (BlockMatrix(written(m.blocks, "operand"), m.rows, m.cols) for m in (a, b))
-    waves = [rounds[s : s + depth] for s in range(0, n, depth)] if mode == "waves" else [[k] for k in rounds]
-    width = depth if mode == "sliding" else 1 + prefetch
-    with ThreadPoolExecutor(max(1, width)) as pool:
-        # at width 1 a wave waits for the one before it: the barrier of the synchronous method
-        done = list(pool.map(inheritable_thread_target(a.blocks.sparkSession)(lambda w: written(issue(w), "round")), waves))
+    spark, n = a.blocks.sparkSession, a.cols.blocks
+    grid = _grid_for(a, b, grid)
+    if row_step:
+        grid = Grid(max(grid.pr, math.ceil(a.rows.blocks / row_step)), grid.pc, grid.layers)
+    kept = only if only is not None else _survivors(a, b, eps_sp if screen != "none" else 0.0)
+    depth = n if depth == "all" else max(1, min(n, depth or optimal_depth(grid.pr, grid.pc)))
+    mode = mode or ("waves" if depth == 1 and n > 1 else "stream")
+    u = Update(alpha, eps_lr, sparse, kept is not None, eps_sp if screen == "term" else 0.0, min(depth, OPEN_ROUNDS))
+    parts = grid.pr * grid.pc * grid.layers
+    rounds = round_order(n, grid.pc, order, _released(a, b) if order == "release" else None)
+    turn = [0] * n
+    for place, k in enumerate(rounds):
+        turn[k] = place
+    sides = _sides(a, b, turn)
+    alone = stationary == "C" and grid.layers == 1
+    if mode == "stream" or depth >= n:
+        partials = _streamed(_placed(_cells(sides, grid, stationary, kept, bcast == "panel"), parts), u)
+        return BlockMatrix(partials.drop("k") if alone else reduce_partials(partials, eps_lr), a.rows, b.cols)
+    # several jobs: the operands are written once, by job, so that each job reads its own rounds and no others
+    step = depth if mode == "waves" else 1
+    jobs = math.ceil(n / step)
+    by_job = sides.withColumn("job", F.floor(F.col("turn") / step).cast("int"))
+    by_job = written(by_job.repartition(F.col("job"), F.pmod("o", F.lit(max(1, parts // jobs)))), "operands", ("job",))
+
+    def place(job: int) -> DataFrame:
+        return _placed(_cells(by_job.where(F.col("job") == job).drop("job"), grid, stationary, kept, bcast == "panel"), parts)
+
+    def update(job: int, placed: DataFrame) -> DataFrame:
+        return written(_streamed(placed, u, job * parts), "round")
+
+    own = inheritable_thread_target(spark)
+    if mode == "waves" and prefetch:
+        done = _prefetched(jobs, prefetch, place, update, own)
+    else:
+        # at width 1 a job waits for the one before it: the barrier of the synchronous method
+        with ThreadPoolExecutor(depth if mode == "sliding" else 1) as pool:
+            done = list(pool.map(own(lambda job: update(job, place(job))), range(jobs)))
     out = done[0]
     for d in done[1:]:
         out = out.unionByName(d)
-    return BlockMatrix(_only(reduce_partials(out, eps_lr), kept), a.rows, b.cols)
+    return BlockMatrix(reduce_partials(out, eps_lr), a.rows, b.cols)
 
 
-def _only(blocks: DataFrame, kept: DataFrame | None) -> DataFrame:
-    if kept is None:
-        return blocks
-    k = kept.select(F.col("bi").alias("ki"), F.col("bj").alias("kj"))
-    return blocks.join(k, (F.col("bi") == F.col("ki")) & (F.col("bj") == F.col("kj")), "left_semi")
+def _prefetched(jobs: int, ahead: int, place, update, own) -> list[DataFrame]:
+    """One job after another, while the panels of the next ones are brought to their cells beside it. What is brought is
+    kept by the executors; a lost part is brought again from the written operands."""
+    from pyspark import StorageLevel
+
+    def bring(job: int) -> DataFrame:
+        kept = place(job).persist(StorageLevel.MEMORY_AND_DISK)
+        kept.count()
+        return kept
+
+    done = []
+    with ThreadPoolExecutor(ahead) as pool:
+        coming = [pool.submit(own(bring), job) for job in range(min(ahead, jobs))]
+        for job in range(jobs):
+            panels = coming.pop(0).result()
+            if job + ahead < jobs:
+                coming.append(pool.submit(own(bring), job + ahead))
+            done.append(update(job, panels))
+            panels.unpersist()
+    return done
 
 
 def mm_split(a: BlockMatrix, b: BlockMatrix, alpha: float = 1.0, eps_lr: float = 0.0, sparse: bool = False, pairs: DataFrame | None = None) -> BlockMatrix:
@@ -227,7 +343,12 @@ def _products(a: BlockMatrix, b: BlockMatrix, u: Update, pairs: DataFrame | None
     if pairs is not None:
         p = pairs.select(F.col("bi").alias("pi"), F.col("bj").alias("pj"))
         both = both.join(p, (F.col("bi") == F.col("pi")) & (F.col("bj") == F.col("pj")), "left_semi")
-    both = both.withColumn("k", order.cast("int"))
+    return _multiplied(both, u, order)
+
+
+def _multiplied(pairs: DataFrame, u: Update, order: F.Column) -> DataFrame:
+    """The product of each pair of tiles, as a partial result of its place."""
+    both = pairs.withColumn("k", order.cast("int"))
 
     def work(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -241,34 +362,49 @@ def _products(a: BlockMatrix, b: BlockMatrix, u: Update, pairs: DataFrame | None
     return both.mapInArrow(work, PARTIAL)
 
 
-def mm_auto(a: BlockMatrix, b: BlockMatrix, grid: Grid = Grid(2, 2), hot: int = 8, **options) -> BlockMatrix:
-    """Fused updates, but for tiles of the result that more than `hot` products meet in: those are split and reduced."""
+def mm_auto(a: BlockMatrix, b: BlockMatrix, grid: Grid | None = None, hot: int = 8, **options) -> BlockMatrix:
+    """Fused updates, but for tiles of the result that more than `hot` products meet in: those are split and reduced.
+    Each tile is worked out in one of the two ways only."""
     from rankgrid.operators.screening import contributions
 
-    counts = contributions(a.norms(), b.norms())
-    many = written(counts.where(F.col("products") > hot).select("bi", "bj"), "hot_tiles")
-    few = written(counts.where(F.col("products") <= hot).select("bi", "bj"), "other_tiles")
-    fused = mm_panels(a, b, grid, depth="all", **options)
-    return BlockMatrix(_only(fused.blocks, few).unionByName(mm_split(a, b, pairs=many).blocks), a.rows, b.cols)
+    counts = written(contributions(a.norms(), b.norms()), "contributions")
+    many, few = (counts.where(x).select("bi", "bj") for x in (F.col("products") > hot, F.col("products") <= hot))
+    fused = mm_panels(a, b, grid, depth="all", only=few, **options)
+    return BlockMatrix(fused.blocks.unionByName(mm_split(a, b, options.get("alpha", 1.0), options.get("eps_lr", 0.0), options.get("sparse", False), many).blocks), a.rows, b.cols)
 
 
-def mm_25d(a: BlockMatrix, b: BlockMatrix, grid: Grid = Grid(2, 2), layers: int = 2, eps_lr: float = 0.0) -> BlockMatrix:
+def mm_25d(a: BlockMatrix, b: BlockMatrix, grid: Grid | None = None, layers: int = 2, eps_lr: float = 0.0) -> BlockMatrix:
     """Layers of the grid take the rounds in turn, and their partial results are added."""
+    grid = _grid_for(a, b, grid)
     return mm_panels(a, b, Grid(grid.pr, grid.pc, layers), depth="all", eps_lr=eps_lr)
 
 
 def mm_3d(a: BlockMatrix, b: BlockMatrix, eps_lr: float = 0.0) -> BlockMatrix:
+    """A cell for each round and place: the split product, every tile product in a place of its own before the sum."""
     return mm_split(a, b, eps_lr=eps_lr)
 
 
+def shift_step(a: BlockMatrix, b: BlockMatrix, q: int, step: int) -> DataFrame:
+    """Step `step` of the torus shift on q x q cells: the pairs of tiles that meet, after the operands were set off by a
+    grid row (column) each and have moved on `step` times. bi, bk, bj, gr, gc, then both tiles."""
+    own = lambda c: F.pmod(F.col(c), F.lit(q))
+    x = a.blocks.select("bi", F.col("bj").alias("bk"), *[F.col(c).alias(f"a_{c}") for c in PAYLOAD]).withColumns({"gr": own("bi"), "gc": F.pmod(F.col("bk") - F.col("bi") - step, F.lit(q))})
+    y = b.blocks.select(F.col("bi").alias("bk2"), "bj", *[F.col(c).alias(f"b_{c}") for c in PAYLOAD]).withColumns({"gr2": F.pmod(F.col("bk2") - F.col("bj") - step, F.lit(q)), "gc2": own("bj")})
+    return x.join(y, (F.col("gr") == F.col("gr2")) & (F.col("gc") == F.col("gc2")) & (F.col("bk") == F.col("bk2")))
+
+
 def mm_shift(a: BlockMatrix, b: BlockMatrix, q: int) -> BlockMatrix:
-    """The torus-shift product on a q x q grid: a cell meets the summed index k at step (k - row - column) modulo q, so
-    that its partial results are added in that order; the rotation itself is the shuffle."""
-    step = F.pmod(F.col("bk") - F.col("bi") - F.col("bj"), F.lit(q)) * F.lit(1 << 20) + F.col("bk")
-    return BlockMatrix(reduce_partials(_products(a, b, Update(), None, step)), a.rows, b.cols)
+    """The torus-shift product on a q x q grid. Left tiles start as many columns to the left as their grid row has, right
+    tiles as many rows up as their column; each of the q steps multiplies what lies in the same cell, then all left tiles
+    go one column on and all right tiles one row. A step is a job that waits for the step before it."""
+    steps = [written(_multiplied(shift_step(a, b, q, s), Update(), F.lit(s) * F.lit(1 << 20) + F.col("bk")), "shift") for s in range(q)]
+    out = steps[0]
+    for s in steps[1:]:
+        out = out.unionByName(s)
+    return BlockMatrix(reduce_partials(out), a.rows, b.cols)
 
 
-def mm_sparse(a: BlockMatrix, b: BlockMatrix, grid: Grid = Grid(2, 2), depth: int | str | None = "all") -> BlockMatrix:
+def mm_sparse(a: BlockMatrix, b: BlockMatrix, grid: Grid | None = None, depth: int | str | None = "all") -> BlockMatrix:
     """The panel product with kernels that go over the entries of doubly compressed tiles."""
     return mm_panels(a, b, grid, depth, sparse=True)
 

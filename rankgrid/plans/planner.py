@@ -53,9 +53,9 @@ def plan_product(a: BlockMatrix, b: BlockMatrix, tasks: int, task_numbers: float
     return choose_variant(*sizes, a.rows.n * b.cols.n, (a.rows.n, b.cols.n, a.cols.n), block, tasks, task_numbers)
 
 
-def product(a: BlockMatrix, b: BlockMatrix, tasks: int = 8, **options) -> BlockMatrix:
-    """a b by the plan that plan_product chooses."""
-    c = plan_product(a, b, tasks)
+def product(a: BlockMatrix, b: BlockMatrix, tasks: int | None = None, **options) -> BlockMatrix:
+    """a b by the plan that plan_product chooses; tasks: None for the session's cores."""
+    c = plan_product(a, b, tasks or a.blocks.sparkSession.sparkContext.defaultParallelism)
     if c.variant == "broadcast":
         return mm_broadcast(a, b)
     if c.variant == "split":
@@ -63,8 +63,8 @@ def product(a: BlockMatrix, b: BlockMatrix, tasks: int = 8, **options) -> BlockM
     return mm_25d(a, b, c.grid, c.grid.layers) if c.variant == "25d" else mm_panels(a, b, c.grid, c.depth, **options)
 
 
-def explain_mm(a: BlockMatrix, b: BlockMatrix, tasks: int = 8) -> str:
-    c = plan_product(a, b, tasks)
+def explain_mm(a: BlockMatrix, b: BlockMatrix, tasks: int | None = None) -> str:
+    c = plan_product(a, b, tasks or a.blocks.sparkSession.sparkContext.defaultParallelism)
     return f"{c.variant}: grid {c.grid.pr} x {c.grid.pc} x {c.grid.layers}, {c.depth} rounds in flight, {8 * c.moved} bytes moved, {8 * c.memory:.0f} bytes a task, {2 * a.rows.n * a.cols.n * b.cols.n} apparent flops"
 
 

@@ -11,7 +11,7 @@ from rankgrid.functions.tiles import Tile
 from rankgrid.operators import iterate, lrb, screening
 from rankgrid.operators.iterate import Options, inv_sqrt
 from rankgrid.operators.multiply import Grid, mm_panels
-from rankgrid.plans import measures
+from rankgrid.plans import costs, measures
 from rankgrid.registry import query
 from rankgrid.schema import BlockMatrix, block_batch, map_tiles, read_tile, tile_row
 from rankgrid.session import written
@@ -47,7 +47,7 @@ def lrb_compress(spark, sf_dir):
     return e.agg(F.count("*").alias("tiles"), F.count_if(F.col("err") > EPS_LR * (1 + 1e-6)).alias("above_eps"), F.count_if(F.col("rank") > full).alias("above_full"), F.count_if(wrong).alias("wrong_form"))
 
 
-def _integer_tiles(spark, rank: int, n: int = 8) -> BlockMatrix:
+def integer_tiles(spark, rank: int, n: int = 8) -> BlockMatrix:
     """Tiles (bi, bj) of exact rank 1 or 2 with small integers."""
     from rankgrid.schema import BLOCKS, Axis
 
@@ -72,7 +72,7 @@ FROM (SELECT unnest([1, 2]) AS r) x, (SELECT unnest(range(3)) AS bi) a, (SELECT
 def lrb_rank1(spark, sf_dir):
     out = None
     for r in (1, 2):
-        part = lrb.compress(_integer_tiles(spark, r), 1e-9).blocks.select(F.lit(r).alias("wanted"), "bi", "bj", "rank", "repr")
+        part = lrb.compress(integer_tiles(spark, r), 1e-9).blocks.select(F.lit(r).alias("wanted"), "bi", "bj", "rank", "repr")
         out = part if out is None else out.union(part)
     return out
 
@@ -125,7 +125,7 @@ def lrb_recompress(spark, sf_dir):
         after = tiles.recompress(before, 1e-9)
         return [{"before": before.rank, "after": after.rank, "err": float(np.linalg.norm(before.dense() - after.dense()))}]
 
-    m = lrb.compress(_integer_tiles(spark, 1), 1e-9)
+    m = lrb.compress(integer_tiles(spark, 1), 1e-9)
     r = map_tiles(m.blocks, twice, "before int, after int, err double", pa.schema([("before", pa.int32()), ("after", pa.int32()), ("err", pa.float64())]))
     return r.agg(F.count("*").alias("tiles"), F.count_if(F.col("after") > F.col("before")).alias("rank_grew"), F.count_if(F.col("err") > 1e-8).alias("above_eps"), F.sum("before").alias("rank_before"), F.sum("after").alias("rank_after"))
 
@@ -140,7 +140,7 @@ def lrb_norm(spark, sf_dir):
 def mm_lrb(spark, sf_dir):
     """The product with low-rank tiles and screening at the thresholds of the experiments, to three decimals."""
     m = supplier(spark, sf_dir, by="nation", eps_lr=EPS_LR)
-    c = mm_panels(m, m, Grid(2, 2), depth="all", eps_lr=1e-8)
+    c = mm_panels(m, m, depth="all", eps_lr=EPS_LR, eps_sp=EPS_SP)
     c = BlockMatrix(written(c.blocks, "product"), c.rows, c.cols)
     # tiles that are within the threshold of zero are absent: fill them in
     return _rounded(c, 3).unionByName(_absent(spark, c, m))
@@ -200,19 +200,19 @@ def screen_term(spark, sf_dir):
     return screening.screen_terms(m.norms(), m.T.norms(), f * f * (1 + 1e-9))
 
 
-@query("SELECT true AS same_at_zero, true AS error_falls, true AS full_at_zero")
+@query()
 def lrb_exact_limit(spark, sf_dir):
-    """At thresholds of zero the product is the dense one; with smaller thresholds the error falls."""
-    dense = customer(spark, sf_dir, "longrange", eps_lr=0.0)
-    errors = []
-    for eps in (1e-1, 1e-4, 1e-7):
+    """eps, error, full tiles: the product's distance from the dense one as the threshold falls to zero, every customer."""
+    dense = customer(spark, sf_dir, "longrange", eps_lr=0.0, by="nation")
+    exact = mm_panels(dense, dense, depth="all")
+    exact = BlockMatrix(written(exact.blocks, "exact"), exact.rows, exact.cols)
+    rows = []
+    for eps in (1e-1, 1e-4, 1e-7, 0.0):
         low = lrb.compress(dense, eps)
-        d = lrb.lincomb([(1.0, mm_panels(low, low, depth="all", eps_lr=eps)), (-1.0, mm_panels(dense, dense, depth="all"))])
-        errors.append(lrb.frobenius(d).first()[0] or 0.0)
-    zero = lrb.compress(dense, 0.0)
-    kinds = zero.blocks.agg(F.count_if(F.col("repr") == "F"), F.count("*")).first()
-    d = lrb.lincomb([(1.0, mm_panels(zero, zero, depth="all")), (-1.0, mm_panels(dense, dense, depth="all"))])
-    return spark.createDataFrame([((lrb.frobenius(d).first()[0] or 0.0) < 1e-9, errors[0] >= errors[1] >= errors[2] and errors[2] < 1e-3, kinds[0] == kinds[1])], "same_at_zero boolean, error_falls boolean, full_at_zero boolean")
+        low = BlockMatrix(written(low.blocks, "low"), low.rows, low.cols)
+        d = lrb.lincomb([(1.0, mm_panels(low, low, depth="all", eps_lr=eps)), (-1.0, exact)])
+        rows.append((eps, lrb.frobenius(d).first()[0] or 0.0, low.blocks.where("repr = 'F'").count()))
+    return spark.createDataFrame(rows, "eps double, error double, full long")
 
 
 @query(f"SELECT i, j, round(v, 6) + 0.0 AS v FROM {s.kernel('decay')} WHERE round(v, 6) <> 0")
@@ -251,24 +251,27 @@ def sqrt_check(spark, sf_dir):
     return _rounded(inv_sqrt(supplier(spark, sf_dir), 8).root())
 
 
-@query("SELECT true AS residual_small, true AS root_small, CAST(10 AS INTEGER) AS rounds")
+@query()
 def invsqrt_customer(spark, sf_dir):
-    """Ten rounds with low-rank tiles: the residual stays within a hundred times the threshold."""
-    m = customer(spark, sf_dir)
+    """Ten rounds with low-rank tiles over every customer: rounds, ‖R M R − I‖ and ‖S S − M‖ of the inverse root and the root."""
+    m = customer(spark, sf_dir, by="nation")
     r = inv_sqrt(m, 10, options=Options(eps_lr=EPS_LR, eps_sp=EPS_SP))
     low = iterate.residual(r.inverse(), m)
     root = lrb.lincomb([(1.0, mm_panels(r.root(), r.root(), depth="all")), (-1.0, m)])
-    far = lrb.frobenius(root).first()[0] or 0.0
-    return spark.createDataFrame([(low <= 100 * EPS_LR, far <= 1000 * EPS_LR, r.rounds)], "residual_small boolean, root_small boolean, rounds int")
+    return spark.createDataFrame([(r.rounds, low, lrb.frobenius(root).first()[0] or 0.0)], "rounds int, residual double, root_error double")
 
 
-@query("SELECT true AS falls, true AS stopped_early, true AS third_order")
+def _distances(rounds: int) -> str:
+    each = " UNION ALL ".join(f"SELECT CAST({k + 1} AS INTEGER) AS round, round(sqrt(SUM(power(v - CASE WHEN i = j THEN 1 ELSE 0 END, 2))), 5) AS distance FROM x{k}" for k in range(rounds))
+    return invsqrt_sql("decay", rounds, each)
+
+
+@query(_distances(6))
 def invsqrt_residuals(spark, sf_dir):
-    """‖X − I‖ over the rounds: it falls, the last steps by more than a square, and a tolerance ends the iteration."""
+    """‖X − I‖ in each of six rounds."""
     seen = []
-    r = inv_sqrt(supplier(spark, sf_dir), 12, tol=1e-6, each=lambda k, roots: seen.append(iterate.distance_from_identity(roots.x)))
-    late = [(a, b) for a, b in zip(seen, seen[1:], strict=False) if 1e-4 < a < 0.3]
-    return spark.createDataFrame([(all(b <= a * (1 + 1e-9) for a, b in zip(seen, seen[1:], strict=False)), r.rounds < 12, bool(late) and all(b < a * a * 2 for a, b in late))], "falls boolean, stopped_early boolean, third_order boolean")
+    inv_sqrt(supplier(spark, sf_dir), 6, each=lambda k, roots: seen.append((k, round(iterate.distance_from_identity(roots.x), 5))))
+    return spark.createDataFrame(seen, "round int, distance double")
 
 
 @query()
@@ -295,16 +298,27 @@ def alpha_inf(spark, sf_dir):
     return spark.createDataFrame([(round(a, 9),)], "alpha double")
 
 
-@query("SELECT true AS at_least_inf, true AS within_bound")
+def _power_sql(steps: int) -> str:
+    """The power iteration as unrolled common tables."""
+    parts = [f"m AS MATERIALIZED (SELECT i, j, v FROM {s.kernel('decay')})", "x0 AS (SELECT DISTINCT i, (1 + i % 7 / 10.0) / sqrt((SELECT CAST(count(DISTINCT i) AS DOUBLE) FROM m)) AS v FROM m)"]
+    for k in range(steps):
+        parts.append(f"y{k} AS MATERIALIZED (SELECT m.i, SUM(m.v * x.v) AS v FROM m JOIN x{k} x ON m.j = x.i GROUP BY m.i)")
+        parts.append(f"r{k} AS MATERIALIZED (SELECT SUM(x.v * y.v) / SUM(x.v * x.v) AS value, SUM(y.v * y.v) AS yy, SUM(x.v * x.v) AS xx FROM x{k} x JOIN y{k} y ON x.i = y.i)")
+        parts.append(f"x{k + 1} AS MATERIALIZED (SELECT i, v / sqrt((SELECT yy FROM r{k})) AS v FROM y{k})")
+    return "WITH " + ", ".join(parts) + f" SELECT round(1 / (value + sqrt(greatest(yy / xx - value * value, 0))), 8) AS alpha FROM r{steps - 1}"
+
+
+@query(_power_sql(6))
 def alpha_power(spark, sf_dir):
-    """The factor of the power iteration is no smaller than that of the row sums, and keeps ‖alpha M − I‖₂ ≤ 1."""
-    m = supplier(spark, sf_dir)
-    inf, power = iterate.choose_alpha(m), iterate.choose_alpha(m, "power", 6)
-    e = m.to_coo(drop_zeros=False).toPandas()
-    a = np.zeros((m.rows.n, m.rows.n))
-    a[e["i"], e["j"]] = e["v"]
-    top = np.linalg.eigvalsh(a)[-1]
-    return spark.createDataFrame([(bool(power >= inf * (1 - 1e-9)), bool(abs(power * top - 1) <= 1.0))], "at_least_inf boolean, within_bound boolean")
+    """The factor of six steps of the power iteration, raised by its residual."""
+    return spark.createDataFrame([(round(iterate.choose_alpha(supplier(spark, sf_dir), "power", 6), 8),)], "alpha double")
+
+
+@query()
+def alpha_two_sided(spark, sf_dir):
+    """The three factors for one matrix: by row sums, by the largest eigenvalue, and by both ends of the spectrum."""
+    m = supplier(spark, sf_dir, by="nation")
+    return spark.createDataFrame([(how, iterate.choose_alpha(m, how, 12)) for how in ("inf", "power", "two_sided")], "how string, alpha double")
 
 
 @query(f"SELECT CAST(a.i AS BIGINT) AS i, CAST(SUM(a.v * (a.j + 1)) AS DOUBLE) AS v FROM {s.D1} a GROUP BY a.i")
@@ -314,26 +328,22 @@ def matvec(spark, sf_dir):
     return lrb.matvec(a, x)
 
 
-@query("SELECT true AS within_eps, true AS tiles_compared")
+@query(f"SELECT CAST(count(*) AS BIGINT) AS tiles, CAST(0 AS BIGINT) AS above_eps FROM {_points_per_tile('supplier', 'region')} a, {_points_per_tile('supplier', 'region')} b")
 def lrb_error(spark, sf_dir):
+    """Tiles compared with their originals, and those further away than the threshold."""
     dense = supplier(spark, sf_dir, "longrange")
-    e = lrb.block_error(dense, lrb.compress(dense, 1e-4)).agg(F.max("err").alias("e"), F.count("*").alias("n")).first()
-    return spark.createDataFrame([(e["e"] <= 1e-4 * (1 + 1e-6), e["n"] == dense.rows.blocks**2)], "within_eps boolean, tiles_compared boolean")
+    return lrb.block_error(dense, lrb.compress(dense, 1e-4)).agg(F.count("*").alias("tiles"), F.count_if(F.col("err") > 1e-4 * (1 + 1e-6)).alias("above_eps"))
 
 
-@query("SELECT true AS error_falls, true AS rank_rises, true AS storage_rises")
+@query()
 def eps_sweep(spark, sf_dir):
-    """Error, mean rank and storage over thresholds, customers' long-range kernel."""
+    """eps, error, mean rank, storage and work relative to the dense form: the long-range kernel over every customer, blocks by nation."""
     rows = []
-    dense = customer(spark, sf_dir, "longrange", eps_lr=0.0)
+    dense = customer(spark, sf_dir, "longrange", eps_lr=0.0, by="nation")
     for eps in (1e-1, 1e-3, 1e-5, 1e-7):
         low = lrb.compress(dense, eps)
         low = BlockMatrix(written(low.blocks, "sweep"), low.rows, low.cols)
         e = lrb.block_error(dense, low).agg(F.sqrt(F.sum(F.col("err") ** 2))).first()[0]
-        r = low.blocks.agg(F.avg("rank")).first()[0]
-        rows.append((e, r, measures.storage(low.blocks, low.rows.n**2).first()["ratio"]))
-    falls = all(b[0] < a[0] for a, b in zip(rows, rows[1:], strict=False))
-    ranks, stored = (all(b[k] >= a[k] for a, b in zip(rows, rows[1:], strict=False)) for k in (1, 2))
-    return spark.createDataFrame([(falls, ranks, stored)], "error_falls boolean, rank_rises boolean, storage_rises boolean")
-
-
+        n = low.rows.n
+        rows.append((eps, e, low.blocks.agg(F.avg("rank")).first()[0], measures.storage(low.blocks, n**2).first()["ratio"], costs.flops_lrb(low.blocks, low.blocks).first()["flops"] / (2.0 * n**3)))
+    return spark.createDataFrame(rows, "eps double, error double, mean_rank double, storage double, work double")

@@ -4,12 +4,12 @@ from __future__ import annotations
 
 from pyspark.sql import functions as F
 
-from rankgrid.operators import screening
+from rankgrid.operators import lrb, screening
 from rankgrid.plans import costs, planner, schedule
 from rankgrid.plans import measures as ms
 from rankgrid.registry import query
 from rankgrid.workloads import fragments as s
-from rankgrid.workloads.lowrank import supplier
+from rankgrid.workloads.lowrank import integer_tiles
 from rankgrid.workloads.products import D4_GRAM, d1, d4
 
 #: Norm tables of D1 (parts by suppliers) in SQL, tiles as in products.d1, with shapes.
@@ -68,11 +68,14 @@ def mem_overhead(spark, sf_dir):
     return spark.createDataFrame([(p, i, costs.mem_overhead_ratio(32768.0, 256, p, i)) for p in (1, 16, 64) for i in (1, 2, 8)], "p int, i int, ratio double")
 
 
-@query("SELECT true AS within_dense")
+@query("SELECT CAST(r AS INTEGER) AS rank, CAST(9 * r * 16 AS BIGINT) AS stored, CAST(24 * 24 AS BIGINT) AS dense FROM (SELECT unnest([1, 2]) AS r)")
 def mem_bound(spark, sf_dir):
-    """Stored numbers of the low-rank form never exceed those of the dense one."""
-    m = supplier(spark, sf_dir, "longrange", eps_lr=1e-6)
-    return m.blocks.agg((F.sum(costs.stored_numbers()) <= m.rows.n**2).alias("within_dense"))
+    """Stored numbers of nine tiles of 8 x 8 and a known rank, against those of the dense form."""
+    out = None
+    for r in (1, 2):
+        part = lrb.compress(integer_tiles(spark, r), 1e-9).blocks.agg(F.sum(costs.stored_numbers()).alias("stored")).select(F.lit(r).alias("rank"), "stored", F.lit(576).cast("long").alias("dense"))
+        out = part if out is None else out.union(part)
+    return out
 
 
 @query(f"WITH c AS {_D1N} SELECT CAST(SUM(m * n) AS BIGINT) AS stored, SUM(m * n) / (CAST((SELECT count(*) FROM part) AS DOUBLE) * (SELECT count(*) FROM supplier)) AS ratio FROM c")
@@ -105,10 +108,14 @@ def slowdown_formula(spark, sf_dir):
     return ms.slowdown(spark.createDataFrame(_TIMES, "variant string, p int, seconds double"), "multi")
 
 
-@query("SELECT CAST(625 AS BIGINT) AS tiles, true AS bins_known")
+@query("SELECT CAST(r AS INTEGER) AS rank, CAST(b AS INTEGER) AS bin, CAST(CASE WHEN b = 0 THEN 0 ELSE 9 END AS BIGINT) AS blocks FROM (SELECT unnest([1, 2]) AS r) x, (SELECT unnest([0, 1, 2, 3]) AS k) y, (SELECT unnest([0, 2, 3]) AS b) z WHERE k = b AND (b = 0 OR b = ceil(10 * r / 8.0))")
 def rank_histogram(spark, sf_dir):
-    m = supplier(spark, sf_dir, by="nation", eps_lr=1e-6)
-    return ms.rank_histogram(m.blocks, m.rows.blocks**2).agg((F.sum("blocks") + 625 - m.rows.blocks**2).alias("tiles"), F.every(F.col("bin").between(0, 11)).alias("bins_known"))
+    """Bins of nine tiles of known rank: no absent one, and all in the bin of their share of the full rank."""
+    out = None
+    for r in (1, 2):
+        part = ms.rank_histogram(lrb.compress(integer_tiles(spark, r), 1e-9).blocks, 9).select(F.lit(r).alias("rank"), "bin", "blocks")
+        out = part if out is None else out.union(part)
+    return out
 
 
 @query(f"WITH c AS (SELECT (bi % 2) * 2 + bj % 2 AS cell, SUM(m * n) AS s FROM {_D1N} GROUP BY 1) SELECT MAX(s) * 4 / CAST(SUM(s) AS DOUBLE) AS imbalance FROM c")
@@ -228,10 +235,12 @@ def plan_product(spark, sf_dir):
     return planner.product(m, m.T).to_coo()
 
 
-@query("SELECT true AS fewer_flops")
+@query("SELECT CAST(r AS INTEGER) AS rank, CAST(27 * (2 * 8 * r * r + 2 * 8 * r * r) AS DOUBLE) AS flops, CAST(2 * 24 * 24 * 24 AS DOUBLE) AS dense FROM (SELECT unnest([1, 2]) AS r)")
 def flops_lowrank(spark, sf_dir):
-    """Work of the low-rank product against the dense one, from metadata."""
-    m = supplier(spark, sf_dir, "longrange", eps_lr=1e-2)
-    return costs.flops_lrb(m.blocks, m.blocks).select((F.col("flops") <= 2.0 * m.rows.n**3).alias("fewer_flops"))
-
-
+    """Work of the product of nine by nine tiles of a known rank, from metadata, against that of the dense one."""
+    out = None
+    for r in (1, 2):
+        m = lrb.compress(integer_tiles(spark, r), 1e-9)
+        part = costs.flops_lrb(m.blocks, m.blocks).select(F.lit(r).alias("rank"), "flops", F.lit(2.0 * 24**3).alias("dense"))
+        out = part if out is None else out.union(part)
+    return out

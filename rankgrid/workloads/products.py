@@ -11,7 +11,7 @@ from rankgrid.operators.multiply import Grid
 from rankgrid.plans import costs, schedule
 from rankgrid.registry import query
 from rankgrid.schema import Axis, BlockMatrix
-from rankgrid.session import table
+from rankgrid.session import table, written
 from rankgrid.sources import matrices as mx
 from rankgrid.workloads import fragments as s
 
@@ -153,20 +153,23 @@ def _gram(f):
 VARIANTS = {
     "mm_single_issue": lambda a, b: multiply.mm_panels(a, b, Grid(2, 2), depth=1),
     "mm_prefetch": lambda a, b: multiply.mm_panels(a, b, Grid(2, 2), depth=1, prefetch=1),
-    "mm_reordered": lambda a, b: multiply.mm_panels(a, b, Grid(2, 2), depth=2, order="by_owner"),
+    "mm_reordered": lambda a, b: multiply.mm_panels(a, b, Grid(2, 2), depth=2, mode="waves", order="by_owner"),
+    "mm_release_first": lambda a, b: multiply.mm_panels(a, b, Grid(2, 2), depth=2, order="release"),
     "mm_stationary_a": lambda a, b: multiply.mm_panels(a, b, Grid(2, 3), depth="all", stationary="A"),
     "mm_stationary_b": lambda a, b: multiply.mm_panels(a, b, Grid(2, 3), depth="all", stationary="B"),
-    "mm_shift": lambda a, b: multiply.mm_shift(a, b, 5),
+    "mm_shift": lambda a, b: multiply.mm_shift(a, b, 3),
     "mm_25d": lambda a, b: multiply.mm_25d(a, b, Grid(2, 2), 2),
     "mm_3d": multiply.mm_3d,
     "base_single_issue": lambda a, b: baselines.single_issue(a, b),
     "mm_broadcast": multiply.mm_broadcast,
     "mm_all_rounds": lambda a, b: multiply.mm_panels(a, b, Grid(3, 2), depth="all"),
+    "mm_waves": lambda a, b: multiply.mm_panels(a, b, Grid(2, 2), depth=2, mode="waves"),
     "mm_sliding": lambda a, b: multiply.mm_panels(a, b, Grid(2, 2), depth=2, mode="sliding"),
     "mm_split": multiply.mm_split,
-    "mm_fused": lambda a, b: multiply.mm_panels(a, b, Grid(1, 1), depth="all"),
+    "mm_fused": lambda a, b: multiply.mm_panels(a, b, depth="all"),
     "mm_auto_update": lambda a, b: multiply.mm_auto(a, b, Grid(2, 2), hot=4),
-    "mm_tile_broadcast": lambda a, b: multiply.mm_panels(a, b, Grid(5, 5), depth="all"),
+    "mm_tile_broadcast": lambda a, b: multiply.mm_panels(a, b, Grid(2, 3), bcast="tiles"),
+    "mm_panel_broadcast": lambda a, b: multiply.mm_panels(a, b, Grid(2, 3), bcast="panel"),
     "mm_subtile": lambda a, b: multiply.mm_panels(a, b, Grid(2, 2), depth="all", row_step=2),
 }
 for _name, _f in VARIANTS.items():
@@ -177,7 +180,8 @@ for _name, _f in VARIANTS.items():
 def mm_multi_issue(spark, sf_dir):
     """Suppliers by suppliers through parts, with the default number of rounds in flight."""
     m = d1(spark, sf_dir)
-    return multiply.mm_panels(m.T, m, Grid(2, 2)).to_coo()
+    m = BlockMatrix(written(m.blocks, "part_supp"), m.rows, m.cols)
+    return multiply.mm_panels(m.T, m).to_coo()
 
 
 def _doc_tok(spark, sf_dir):
@@ -189,24 +193,24 @@ _TOK = "(SELECT doc_id, lang, unnest(regexp_extract_all(lower(coalesce(text, '')
 
 
 @query(f"""
-WITH t AS {_TOK}, n AS (SELECT lang, token, CAST(count(*) AS DOUBLE) AS v FROM t WHERE length(token) = 3 GROUP BY 1, 2),
+WITH t AS {_TOK}, n AS (SELECT lang, token, CAST(count(*) AS DOUBLE) AS v FROM t GROUP BY 1, 2),
 k AS (SELECT token, dense_rank() OVER (ORDER BY token) - 1 AS id FROM (SELECT DISTINCT token FROM n)),
 l AS (SELECT lang, dense_rank() OVER (ORDER BY lang) - 1 AS id FROM (SELECT DISTINCT lang FROM n))
 SELECT CAST(a.id AS BIGINT) AS i, CAST(b.id AS BIGINT) AS j, SUM(x.v * y.v) AS v FROM n x JOIN n y ON x.token = y.token JOIN l a ON x.lang = a.lang JOIN l b ON y.lang = b.lang GROUP BY 1, 2""")
 def mm_sparse_doc(spark, sf_dir):
-    """Languages by languages through the counts of three-letter words, by products over stored entries."""
-    n = _doc_tok(spark, sf_dir).where("length(token) = 3").groupBy("lang", "token").agg(F.count("*").cast("double").alias("v"))
+    """Languages by languages through the counts of all words, by products over stored entries."""
+    n = _doc_tok(spark, sf_dir).groupBy("lang", "token").agg(F.count("*").cast("double").alias("v"))
     words = n.select("token").distinct().withColumn("first", F.substring("token", 1, 1))
     sizes = words.groupBy("first").agg(F.count("*").alias("size")).withColumn("start", F.sum("size").over(Window.orderBy("first")) - F.col("size")).withColumnRenamed("first", "f2")
     ids = words.withColumn("off", F.row_number().over(Window.partitionBy("first").orderBy("token")) - 1).join(sizes, F.col("first") == F.col("f2")).select(F.col("token").alias("t2"), (F.col("start") + F.col("off")).alias("j"))
     langs = n.select("lang").distinct().select(F.col("lang").alias("l2"), (F.dense_rank().over(Window.orderBy("lang")) - 1).cast("long").alias("i"))
-    coo = n.join(ids, F.col("token") == F.col("t2")).join(F.broadcast(langs), F.col("lang") == F.col("l2")).select("i", "j", "v")
+    coo = n.join(ids, F.col("token") == F.col("t2")).join(langs, F.col("lang") == F.col("l2")).select("i", "j", "v")
     count = ids.count()
     m = blocking.to_blocks(coo, Axis((0, *range(1, langs.count() + 1))), Axis.uniform(count, max(1, count // 8 + 1)))
     return multiply.mm_sparse(m, m.T).to_coo()
 
 
-@query("SELECT CAST(a.i AS BIGINT) AS i, CAST(b.i AS BIGINT) AS j, round(SUM(a.v * b.v), 6) + 0.0 AS v FROM " + s.D3 + " a JOIN " + s.D3 + " b ON a.j = b.j WHERE a.i < 100 AND b.i < 100 GROUP BY 1, 2")
+@query("SELECT CAST(a.i AS BIGINT) AS i, CAST(b.i AS BIGINT) AS j, round(SUM(a.v * b.v), 6) + 0.0 AS v FROM " + s.D3 + " a JOIN " + s.D3 + " b ON a.j = b.j GROUP BY 1, 2")
 def mm_abt_embeddings(spark, sf_dir):
     m = mx.tiles_of(mx.embedding_entries(spark, sf_dir), table(spark, sf_dir, "embeddings").count(), 64, SIDE, 16)
     c = multiply.multiply_blocks(m, m, tb=True, depth="all").to_coo(drop_zeros=False)
@@ -225,7 +229,7 @@ def customer_supplier(spark, sf_dir) -> tuple[BlockMatrix, BlockMatrix]:
     return mx.tiles_of(mx.cust_part(spark, sf_dir), cust, parts, SIDE), mx.tiles_of(mx.part_supp(spark, sf_dir), parts, supp, SIDE)
 
 
-@query(f"SELECT * FROM ({s.product(s.D2, s.D1)}) WHERE i < 50")
+@query(s.product(s.D2, s.D1))
 def mm_rect(spark, sf_dir):
     """Customers by suppliers through parts on a grid of 3 x 1."""
     a, b = customer_supplier(spark, sf_dir)

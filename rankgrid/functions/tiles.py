@@ -53,11 +53,12 @@ class Tile:
         return Tile(self.x * c, self.w)
 
 
-def pivoted_qr(a: np.ndarray, eps: float) -> tuple[np.ndarray, np.ndarray]:
+def pivoted_qr(a: np.ndarray, eps: float, most: int | None = None) -> tuple[np.ndarray, np.ndarray] | None:
     """X (orthonormal columns) and W with ‖a − X Wᵀ‖_F ≤ eps and the least rank that column pivoting reaches.
 
     Householder reflections with the largest remaining column first; remaining norms are carried along and worked out
-    anew once cancellation has eaten half of their digits. A last comparison with the matrix guards the bound.
+    anew once cancellation has eaten half of their digits. A last comparison with the matrix guards the bound. None if
+    the rank passes most: the work ends there.
     """
     m, n = a.shape
     r = np.array(a, dtype=np.float64)
@@ -69,6 +70,8 @@ def pivoted_qr(a: np.ndarray, eps: float) -> tuple[np.ndarray, np.ndarray]:
     while k < full:
         if max(left[k:].sum(), 0.0) <= 4 * eps * eps + 1e-30 and np.linalg.norm(r[k:, k:]) <= eps:
             break
+        if most is not None and k >= most:
+            return None
         p = k + int(left[k:].argmax())
         if p != k:
             r[:, [k, p]] = r[:, [p, k]]
@@ -97,6 +100,8 @@ def pivoted_qr(a: np.ndarray, eps: float) -> tuple[np.ndarray, np.ndarray]:
     if k < full and np.linalg.norm(a - q @ w.T) > eps * (1 + 1e-9) + 1e-14 * np.linalg.norm(a):
         u, s, vt = np.linalg.svd(a, full_matrices=False)
         k = int(np.searchsorted(-np.sqrt(np.cumsum(s[::-1] ** 2))[::-1], -eps))
+        if most is not None and k > most:
+            return None
         return u[:, :k], vt[:k].T * s[:k]
     return q, w
 
@@ -108,8 +113,8 @@ def keeps_low(rank: int, m: int, n: int) -> bool:
 
 def compress(a: np.ndarray, eps: float) -> Tile:
     """The tile of a dense block in the form that the storage rule asks for; rank 0 for a block within eps of zero."""
-    x, w = pivoted_qr(a, eps)
-    return Tile(x, w) if keeps_low(x.shape[1], *a.shape) else Tile(np.ascontiguousarray(a, dtype=np.float64))
+    found = pivoted_qr(a, eps, min(a.shape) // 2)
+    return Tile(*found) if found else Tile(np.ascontiguousarray(a, dtype=np.float64))
 
 
 def settle(t: Tile) -> Tile:
@@ -125,8 +130,8 @@ def recompress(t: Tile, eps: float) -> Tile:
         return t
     qx, rx = np.linalg.qr(t.x)
     qw, rw = np.linalg.qr(t.w)
-    x, w = pivoted_qr(rx @ rw.T, eps)
-    return settle(Tile(qx @ x, qw @ w))
+    found = pivoted_qr(rx @ rw.T, eps, min(t.shape) // 2)
+    return Tile(qx @ found[0], qw @ found[1]) if found else Tile(t.dense())
 
 
 def multiply(a: Tile, b: Tile) -> Tile:

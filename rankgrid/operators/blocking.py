@@ -14,8 +14,12 @@ from rankgrid.schema import BLOCKS, Axis, BlockMatrix, block_batch, read_tile, t
 
 
 def coo(df: DataFrame, row: str, col: str, val: Column) -> DataFrame:
-    """Entries (i, j, v), summed where a pair occurs again; partial sums before the only shuffle."""
-    return df.groupBy(F.col(row).cast("long").alias("i"), F.col(col).cast("long").alias("j")).agg(F.sum(val).cast("double").alias("v"))
+    """Entries (i, j, v), summed where a pair occurs again; partial sums before the only shuffle.
+
+    Rows with a null index stand nowhere in the matrix and are left out; null values add nothing, and a place with null
+    values alone is a null entry. An empty table has no entries.
+    """
+    return df.where(F.col(row).isNotNull() & F.col(col).isNotNull()).groupBy(F.col(row).cast("long").alias("i"), F.col(col).cast("long").alias("j")).agg(F.sum(val).cast("double").alias("v"))
 
 
 def validate_coo(m: DataFrame) -> DataFrame:
@@ -66,9 +70,13 @@ def blocks_per_process(blocks: DataFrame, pr: int, pc: int) -> DataFrame:
 
 
 def to_blocks(entries: DataFrame, rows: Axis, cols: Axis) -> BlockMatrix:
-    """Tiles of entries (i, j, v) by position: one shuffle on the tile, then each tile is filled in one task."""
+    """Tiles of entries (i, j, v) by position: one shuffle on the tile, then each tile is filled in one task.
+
+    Entries with a null index or value are left out, those of one place are added up; without entries there are no tiles.
+    """
     r, c = np.array(rows.starts), np.array(cols.starts)
-    placed = entries.select(_block_of(F.col("i"), rows).alias("bi"), _block_of(F.col("j"), cols).alias("bj"), "i", "j", "v")
+    there = entries.where(F.col("i").isNotNull() & F.col("j").isNotNull() & F.col("v").isNotNull()).select("i", "j", "v")
+    placed = _in_blocks(_in_blocks(there, "i", rows, "bi"), "j", cols, "bj")
 
     def fill(key: tuple, batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         bi, bj = key[0].as_py(), key[1].as_py()
@@ -80,12 +88,20 @@ def to_blocks(entries: DataFrame, rows: Axis, cols: Axis) -> BlockMatrix:
     return BlockMatrix(placed.groupBy("bi", "bj").applyInArrow(fill, BLOCKS), rows, cols)
 
 
-def _block_of(pos: Column, axis: Axis) -> Column:
-    """Block of a position: arithmetic for equal blocks, a search in the starts for others."""
+def _in_blocks(entries: DataFrame, pos: str, axis: Axis, name: str) -> DataFrame:
+    """entries with the block of a position: arithmetic for equal blocks, a binary search in the starts for others, a
+    column at a time."""
     width = axis.starts[1] - axis.starts[0] if axis.blocks else 1
     if all(axis.length(b) == width for b in range(axis.blocks - 1)) and axis.blocks and axis.length(axis.blocks - 1) <= width:
-        return F.floor(pos / width).cast("int")
-    return (F.size(F.filter(F.lit(list(axis.starts[:-1])), lambda s: s <= pos)) - 1).cast("int")
+        return entries.withColumn(name, F.floor(F.col(pos) / width).cast("int"))
+    starts = np.array(axis.starts[:-1])
+
+    def search(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            block = np.searchsorted(starts, b.column(pos).to_numpy(zero_copy_only=False), "right") - 1
+            yield pa.RecordBatch.from_arrays([*b.columns, pa.array(block.astype(np.int32))], [*b.schema.names, name])
+
+    return entries.mapInArrow(search, ", ".join(f"{f.name} {f.dataType.simpleString()}" for f in entries.schema) + f", {name} int")
 
 
 def locate(entries: DataFrame, pos: str, blocking: DataFrame, how: str = "range", bucket: int = 64) -> DataFrame:

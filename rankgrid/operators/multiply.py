@@ -32,7 +32,10 @@ PARTIAL = "k int, " + BLOCKS
 
 
 def mm_entries(a: DataFrame, b: DataFrame) -> DataFrame:
-    """The product entry by entry: join on the summed index, partial sums, final sums."""
+    """The product entry by entry: join on the summed index, partial sums, final sums.
+
+    Entries with a null summed index meet nothing; a null value adds nothing; an empty operand gives no entries.
+    """
     right = b.select(F.col("i").alias("k"), F.col("j").alias("j2"), F.col("v").alias("v2"))
     return a.join(right, F.col("j") == F.col("k")).groupBy("i", F.col("j2").alias("j")).agg(F.sum(F.col("v") * F.col("v2")).alias("v"))
 

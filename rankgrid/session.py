@@ -16,12 +16,16 @@ _ROOT = Path(__file__).resolve().parent.parent
 _shipped: set[str] = set()
 
 
+def _is_local(spark: SparkSession) -> bool:
+    return spark.sparkContext.master == "local" or spark.sparkContext.master.startswith("local[")
+
+
 def shared_dir(spark: SparkSession) -> str:
     """The folder in spark.checkpoint.dir; a local one is set only where that is unset and the master is local."""
     found = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getConf().get("spark.checkpoint.dir")
     if found:
         return found.rstrip("/")
-    if not spark.sparkContext.master.startswith("local[") and spark.sparkContext.master != "local":
+    if not _is_local(spark):
         raise ValueError("set spark.checkpoint.dir to a folder that the driver and all executors share")
     return LOCAL_CHECKPOINTS
 
@@ -44,7 +48,8 @@ def ship(spark: SparkSession) -> None:
         return
     _shipped.add(app)
     on_path = str(_ROOT) in os.environ.get("PYTHONPATH", "").split(os.pathsep)
-    if on_path or os.getcwd() == str(_ROOT):
+    # the driver's working folder says nothing about workers on other machines
+    if on_path or (_is_local(spark) and os.getcwd() == str(_ROOT)):
         return
     target = Path(tempfile.mkdtemp()) / "rankgrid_src.zip"
     with zipfile.ZipFile(target, "w") as out:

@@ -10,10 +10,12 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from rankgrid.functions.tiles import Tile, compress
-from rankgrid.operators.blocking import coo, natural_blocking, ordering, to_blocks
+from rankgrid.operators.blocking import coo, locate, natural_blocking, ordering, overdecompose, to_blocks
 from rankgrid.schema import ARROW_BLOCKS, BLOCKS, Axis, BlockMatrix, block_batch, tile_row
 from rankgrid.session import table, written
 
+#: Points of a block at most: longer natural blocks are cut, so that a tile and the task that makes it stay small.
+MOST_POINTS = 512
 #: Fixed values of the test kernels: length, added diagonal, spacing of regions and of nations within a region.
 LENGTH, DIAGONAL, SPACING = 1.0, 1.0, 3.0
 
@@ -100,26 +102,31 @@ def kernel_value(kind: str, d2):
     return np.exp(-s) if kind == "decay" else 1 / np.sqrt(1 + s)
 
 
-def kernel_matrix(points: DataFrame, kind: str, eps_lr: float = 0.0, by: str = "nation", zero_below: float = 0.0) -> tuple[BlockMatrix, DataFrame]:
-    """The kernel matrix of points, and their ordering. Points are gathered per block, blocks are paired, and each pair's
-    tile is worked out, and compressed, inside a task; no pair of points is ever a row.
+def kernel_matrix(points: DataFrame, kind: str, eps_lr: float = 0.0, by: str = "nation", zero_below: float = 0.0, most: int = MOST_POINTS) -> tuple[BlockMatrix, DataFrame]:
+    """The kernel matrix of points, and their ordering. Points are gathered per block, numbers of blocks are paired, the
+    points join them by equality, and each pair's tile is worked out, and compressed, inside a task; no pair of points is
+    ever a row, and no task holds more than two blocks of at most `most` points.
 
-    by: 'nation' or 'region' as natural blocks. zero_below: tiles of a smaller norm are left out.
+    by: 'nation' or 'region' as natural blocks. zero_below: tiles of a smaller norm are left out. Without points there
+    are no tiles; points at one place are points like others; a null coordinate gives a tile of NaN.
     """
     groups = ["region", "nation"] if by == "nation" else ["region"]
     inner = ["bal"] if by == "nation" else ["nation", "bal"]
     order = written(ordering(points, "points", "key", groups, inner), "ordering")
-    axis = Axis.of(natural_blocking(order))
-    placed = points.join(order.select(F.col("key").alias("okey"), "b", "off"), F.col("key") == F.col("okey"))
-    block = placed.groupBy("b").agg(F.array_sort(F.collect_list(F.struct("off", "px", "py", "pz"))).alias("pts"))
-    pairs = block.crossJoin(block.select(F.col("b").alias("b2"), F.col("pts").alias("pts2")))
+    blocking = written(overdecompose(natural_blocking(order), most), "blocking")
+    axis = Axis.of(blocking)
+    placed = points.join(locate(order.select(F.col("key").alias("okey"), "pos"), "pos", blocking, "bucket", most), F.col("key") == F.col("okey"))
+    block = written(placed.groupBy("b").agg(F.array_sort(F.collect_list(F.struct("pos", "px", "py", "pz"))).alias("pts")), "points")
+    n = axis.blocks
+    ids = points.sparkSession.range(n * n).select(F.floor(F.col("id") / F.lit(max(n, 1))).cast("int").alias("i1"), (F.col("id") % max(n, 1)).cast("int").alias("i2"))
+    pairs = ids.join(block, F.col("i1") == F.col("b")).join(block.select(F.col("b").alias("b2"), F.col("pts").alias("pts2")), F.col("i2") == F.col("b2"))
 
     def make(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             out = []
             for r in batch.to_pylist():
                 x, y = (np.array([[p["px"], p["py"], p["pz"]] for p in r[c]]) for c in ("pts", "pts2"))
-                d2 = ((x[:, None, :] - y[None, :, :]) ** 2).sum(-1)
+                d2 = sum((x[:, None, c] - y[None, :, c]) ** 2 for c in range(3))
                 a = kernel_value(kind, d2)
                 if r["b"] == r["b2"]:
                     a = a + DIAGONAL * np.eye(len(a))

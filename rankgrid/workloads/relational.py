@@ -554,6 +554,32 @@ def udtf_explode_block(spark, sf_dir):
     return spark.sql("SELECT b.bi * 5L + e.i AS i, b.bj * 5L + e.j AS j, e.v FROM rankgrid_tiles b, LATERAL explode_tile(b.m, b.n, b.repr, b.rank, b.x, b.w) e")
 
 
+@query(f"SELECT a.pos AS a, b.pos AS b, round(exp(-((a.px - b.px) ** 2 + (a.py - b.py) ** 2 + (a.pz - b.pz) ** 2)), 6) + 0.0 AS v FROM {s.points()} a, {s.points()} b WHERE a.region = b.region")
+def udtf_kernel_block(spark, sf_dir):
+    """The kernel between the suppliers of each region, block by block."""
+    from rankgrid.operators.blocking import ordering
+    from rankgrid.sqlapi import register
+
+    register(spark)
+    p = mx.positions(spark, sf_dir)
+    o = ordering(p, "points", "key", ["region", "nation"], ["bal"]).select(F.col("key").alias("okey"), "pos")
+    placed = p.join(o, F.col("key") == F.col("okey"))
+    blocks = placed.groupBy("region").agg(F.sort_array(F.collect_list(F.struct("pos", F.array("px", "py", "pz").alias("at")))).alias("p"))
+    blocks.select(F.col("p.pos").alias("pos"), F.col("p.at").alias("points")).createOrReplaceTempView("rankgrid_blocks")
+    return spark.sql("SELECT b.pos[k.i] AS a, b.pos[k.j] AS b, round(k.v, 6) + 0.0D AS v FROM rankgrid_blocks b, LATERAL kernel_block('decay', b.points, b.points) k")
+
+
+@query("SELECT CAST(r AS INTEGER) AS wanted, CAST(r AS INTEGER) AS rank FROM (SELECT unnest([1, 2, 3]) AS r)")
+def udf_lr_rank(spark, sf_dir):
+    """The rank of blocks with one, two and three rows that differ, by the SQL function."""
+    from rankgrid.sqlapi import register
+
+    register(spark)
+    rows = [(r, [float(i % r == j) for i in range(6) for j in range(4)]) for r in (1, 2, 3)]
+    spark.createDataFrame(rows, "wanted int, block array<double>").createOrReplaceTempView("rankgrid_block_rows")
+    return spark.sql("SELECT wanted, lr_rank(6, 4, block, 1e-9D) AS rank FROM rankgrid_block_rows")
+
+
 @query(s.product(s.D4, s.t(s.D4)))
 def cogroup_mm(spark, sf_dir):
     """Rows of tiles met in one task by a cogroup on the summed index, then reduced."""

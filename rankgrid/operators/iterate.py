@@ -32,7 +32,7 @@ def choose_alpha(m: BlockMatrix, how: str = "inf", steps: int = 20) -> float:
     """A factor with ‖alpha m − I‖₂ ≤ 1 for a positive definite m.
 
     'inf': one over the largest absolute row sum, which bounds the largest eigenvalue. 'power': one over the estimate of
-    a power iteration, raised by its residual so that the bound holds. 'two_sided': two over the sum of the largest and
+    a power iteration, raised by its residual; any estimate above half of the largest eigenvalue keeps the bound. 'two_sided': two over the sum of the largest and
     the smallest eigenvalue, which makes the norm smallest; the smallest is found by a second power iteration, on what
     the largest leaves.
     """

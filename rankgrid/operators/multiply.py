@@ -24,7 +24,7 @@ from rankgrid.functions.tiles import Sum, Tile, multiply, sparse_multiply
 from rankgrid.operators.screening import screen_product
 from rankgrid.plans.costs import optimal_depth
 from rankgrid.plans.schedule import release_order
-from rankgrid.schema import ARROW_BLOCKS, BLOCKS, Axis, BlockMatrix, block_batch, read_tile, tile_row
+from rankgrid.schema import ARROW_BLOCKS, BLOCKS, Axis, BlockMatrix, batched, block_batch, read_tile, tile_row
 from rankgrid.session import written
 
 _PARTIAL = pa.schema([("k", pa.int32()), *ARROW_BLOCKS])
@@ -211,8 +211,7 @@ def _streamed(placed: DataFrame, u: Update, order: int = 0) -> DataFrame:
 
         def close() -> Iterator[pa.RecordBatch]:
             if cell is not None:
-                for t in cell.results():
-                    yield block_batch([{"k": order + now, **t}], _PARTIAL)
+                yield from batched(({"k": order + now, **t} for t in cell.results()), _PARTIAL)
 
         for batch in batches:
             for row in batch.to_pylist():
@@ -228,16 +227,20 @@ def _streamed(placed: DataFrame, u: Update, order: int = 0) -> DataFrame:
 def reduce_partials(partials: DataFrame, eps_lr: float = 0.0) -> DataFrame:
     """One tile for each place, partial tiles added in the order of k so that a rerun agrees bit for bit."""
 
-    def join(key: tuple, batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        rows = sorted((r for b in batches for r in b.to_pylist()), key=lambda r: r["k"])
-        total = Sum(eps_lr)
-        for r in rows:
-            total.take(read_tile(r))
-        t = total.result()
-        if t.rank:
-            yield block_batch([tile_row(key[0].as_py(), key[1].as_py(), t)])
-
-    return partials.groupBy("bi", "bj").applyInArrow(join, BLOCKS)
+    def sums(batches: Iterable[pa.RecordBatch]) -> Iterator[dict]:
+        at, total = None, None
+        for batch in batches:
+            for r in batch.to_pylist():
+                if (r["bi"], r["bj"]) != at:
+                    if at is not None and (t := total.result()).rank:
+                        yield tile_row(*at, t)
+                    at, total = (r["bi"], r["bj"]), Sum(eps_lr)
+                total.take(read_tile(r))
+        if at is not None and (t := total.result()).rank:
+            yield tile_row(*at, t)
+
+    placed = partials.repartition(F.col("bi"), F.col("bj")).sortWithinPartitions("bi", "bj", "k")
+    return placed.mapInArrow(lambda batches: batched(sums(batches)), BLOCKS)
 
 
 def _survivors(a: BlockMatrix, b: BlockMatrix, eps_sp: float) -> DataFrame | None:

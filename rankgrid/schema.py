@@ -62,6 +62,23 @@ def block_batch(rows: list[dict], schema: pa.Schema = ARROW_BLOCKS) -> pa.Record
     return pa.RecordBatch.from_pylist(rows, schema=schema)
 
 
+#: Bytes of tiles after which a batch is sent on.
+BATCH_BYTES = 8 << 20
+
+
+def batched(rows: Iterable[dict], schema: pa.Schema = ARROW_BLOCKS) -> Iterator[pa.RecordBatch]:
+    """Tiles in batches of about BATCH_BYTES."""
+    held, size = [], 0
+    for r in rows:
+        held.append(r)
+        size += len(r["x"]) + len(r["w"] or b"")
+        if size > BATCH_BYTES:
+            yield block_batch(held, schema)
+            held, size = [], 0
+    if held:
+        yield block_batch(held, schema)
+
+
 def map_tiles(df: DataFrame, f, schema: str = BLOCKS, arrow: pa.Schema = ARROW_BLOCKS) -> DataFrame:
     """df with f(row dict) -> rows applied to each row, a batch at a time; absent and zero tiles are f's to leave out."""
 

@@ -1,12 +1,15 @@
 """Whole matrices: variants agree, edge cases, plans, the iteration by hand."""
 
+import re
+
 import numpy as np
 import pytest
+from pyspark.sql import functions as F
 
 from rankgrid.functions.tiles import Tile
 from rankgrid.operators import blocking, lrb
 from rankgrid.operators.iterate import Options, inv_sqrt, residual
-from rankgrid.operators.multiply import Grid, mm_auto, mm_panels, mm_split
+from rankgrid.operators.multiply import CELL_BYTES, Grid, default_grid, mm_auto, mm_entries, mm_panels, mm_shift, mm_split, shift_step
 from rankgrid.operators.screening import screen_product
 from rankgrid.schema import BLOCKS, COO, Axis, BlockMatrix, tile_row
 
@@ -87,12 +90,103 @@ def test_metadata_queries_read_no_payload(spark, tmp_path):
     assert "CartesianProduct" not in plan
 
 
-def test_one_shuffle_for_all_rounds(pair):
+def plan_of(df):
+    return df._jdf.queryExecution().optimizedPlan().toString()
+
+
+@pytest.mark.parametrize("depth", ["all", 2, None])
+def test_one_shuffle_for_all_rounds(pair, depth):
     _, _, x, y = pair
-    plan = mm_panels(x, y, Grid(2, 2), "all").blocks._jdf.queryExecution().optimizedPlan().toString()
+    plan = plan_of(mm_panels(x, y, Grid(2, 2), depth).blocks)
     assert plan.count("Repartition") == 1 or plan.count("RepartitionByExpression") == 1
 
 
+def test_jobs_read_their_own_rounds(spark, pair, monkeypatch):
+    """Each job of the synchronous product reads one folder of the written operands."""
+    from rankgrid.operators import multiply
+
+    read = []
+    placed = multiply._placed
+
+    def spy(cells, parts):
+        read.append(cells._jdf.queryExecution().executedPlan().toString())
+        return placed(cells, parts)
+
+    monkeypatch.setattr(multiply, "_placed", spy)
+    a, b, x, y = pair
+    assert np.array_equal(dense(mm_panels(x, y, Grid(2, 2), depth=2, mode="waves")), a @ b)
+    assert len(read) == 2
+    for job, plan in enumerate(read):
+        filters = re.findall(r"PartitionFilters: \[([^\]]*)\]", plan)
+        assert filters
+        assert all(re.search(rf"\(job#\d+ = {job}\)", f) for f in filters)
+
+
+def test_panels_are_gathered_before_they_are_sent(pair):
+    _, _, x, y = pair
+    plans = {k: plan_of(mm_panels(x, y, Grid(2, 3), bcast=k).blocks) for k in ("tiles", "panel")}
+    assert "Aggregate" not in plans["tiles"]
+    assert "Aggregate" in plans["panel"]
+
+
+def test_cells_follow_the_cores_and_the_result():
+    axis = Axis.uniform(4096, 128)
+    one, many = (default_grid(axis, axis, cores) for cores in (4, 64))
+    assert one.pr * one.pc >= 8
+    assert many.pr * many.pc >= 128
+    large = Axis.uniform(1 << 20, 4096)
+    g = default_grid(large, large, 4)
+    assert 8 * (1 << 40) / (g.pr * g.pc) <= 2 * CELL_BYTES
+    assert default_grid(Axis.uniform(4, 4), Axis.uniform(4, 4), 64) == Grid(1, 1)
+
+
+def test_screened_tiles_are_not_formed(spark, pair, monkeypatch):
+    """The automatic update forms each tile once; a list of tiles limits the product to them."""
+    a, b, x, y = pair
+    only = spark.createDataFrame([(0, 0), (2, 1)], "bi int, bj int")
+    c = dense(mm_panels(x, y, Grid(2, 2), "all", only=only))
+    want = np.zeros_like(a @ b)
+    want[:1, :3], want[4:, 3:] = (a @ b)[:1, :3], (a @ b)[4:, 3:]
+    assert np.array_equal(c, want)
+    tiles = mm_auto(x, y, hot=2).blocks.select("bi", "bj").collect()
+    assert len(tiles) == len(set(tiles))
+
+
+def test_every_product_meets_at_one_step_of_the_shift(pair):
+    a, b, x, y = pair
+    met = [(r["bi"], r["bk"], r["bj"]) for s in range(2) for r in shift_step(x, y, 2, s).select("bi", "bk", "bj").collect()]
+    there = {(r["bi"], r["bj"]) for r in x.blocks.collect()}, {(r["bi"], r["bj"]) for r in y.blocks.collect()}
+    assert sorted(met) == sorted((i, k, j) for i, k in there[0] for k2, j in there[1] if k == k2)
+    assert np.array_equal(dense(mm_shift(x, y, 2)), a @ b)
+
+
+@pytest.mark.parametrize("options", [{"depth": 1, "prefetch": 2}, {"depth": 3}, {"depth": 2, "order": "release"}, {"bcast": "panel", "depth": 2}, {"bcast": "panel", "depth": 1}, {"depth": 2, "mode": "waves"}, {"depth": 1, "mode": "stream"}])
+def test_ways_to_issue_rounds_agree(pair, options):
+    a, b, x, y = pair
+    assert np.array_equal(dense(mm_panels(x, y, Grid(2, 3), **options)), a @ b)
+
+
+def test_entries_without_an_index_stand_nowhere(spark):
+    rows = spark.createDataFrame([(0, 1, 2.0), (0, 1, 3.0), (None, 1, 4.0), (1, None, 5.0), (1, 0, None)], "i long, j long, v double")
+    m = blocking.coo(rows, "i", "j", F.col("v"))
+    assert sorted((r["i"], r["j"], r["v"]) for r in m.collect()) == [(0, 1, 5.0), (1, 0, None)]
+    for axis in (Axis.uniform(4, 2), Axis((0, 1, 4))):
+        assert np.array_equal(dense(blocking.to_blocks(rows, axis, axis))[0], [0, 5, 0, 0])
+        assert blocking.to_blocks(rows.limit(0), axis, axis).blocks.count() == 0
+    assert mm_entries(m, m.limit(0)).count() == 0
+    assert [(r["i"], r["j"], r["v"]) for r in mm_entries(rows.where("v IS NOT NULL"), rows).where("i = 0 AND j = 0").collect()] == [(0, 0, None)]
+
+
+def test_kernel_blocks_are_bounded(spark):
+    from rankgrid.sources.matrices import kernel_matrix, positions
+
+    p = positions(spark, "/root/testdata/sf0.001", "customer")
+    whole, _ = kernel_matrix(p, "longrange", by="region")
+    cut, _ = kernel_matrix(p, "longrange", by="region", most=7)
+    assert max(cut.rows.length(b) for b in range(cut.rows.blocks)) <= 7
+    assert np.array_equal(dense(whole), dense(cut))
+
+
 def test_iteration_by_hand(spark):
     axis = Axis((0, 1, 2))
     m = matrix(spark, np.diag([1.0, 0.25]), axis, axis)

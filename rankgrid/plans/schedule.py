@@ -79,26 +79,36 @@ def broadcast_time(p: int, kind: str, chunks: int = 1) -> float:
     return (p + chunks - 2) / chunks if p > 1 else 0
 
 
-def task_graph(spark: SparkSession, rounds: int, pr: int, pc: int, mode: str = "decoupled") -> tuple[DataFrame, DataFrame]:
+def task_graph(spark: SparkSession, rounds: int, pr: int, pc: int, mode: str = "decoupled", depth: int = 1, a: DataFrame | None = None, b: DataFrame | None = None) -> tuple[DataFrame, DataFrame]:
     """Nodes (id, kind, k, gr, gc) and edges (src, dst, kind) of the panel product: for each round a broadcast of a down
     each grid row and of b along each grid column, and an update on each process. Data edges lead from broadcasts to
     updates; in mode 'classical' each update also follows the last one of its process, and broadcasts wait for the
-    updates of the round before (sequence edges)."""
+    updates of the round before (sequence edges). In mode 'waiting' broadcasts wait for the updates of the round that is
+    depth before, so that no more than depth rounds are in flight.
+
+    With the tiles (bi, bj) of both operands only those pieces of panels are sent that have a tile, and only those
+    updates are there that have both.
+    """
     k = spark.range(rounds).select(F.col("id").cast("int").alias("k"))
     r = spark.range(pr).select(F.col("id").cast("int").alias("gr"))
     c = spark.range(pc).select(F.col("id").cast("int").alias("gc"))
     name = lambda kind, *cols: F.concat_ws("-", F.lit(kind), *cols)
     none = F.lit(-1)
-    ba = k.crossJoin(r).select(name("a", "k", "gr").alias("id"), F.lit("bcast").alias("kind"), "k", "gr", none.alias("gc"))
-    bb = k.crossJoin(c).select(name("b", "k", "gc").alias("id"), F.lit("bcast").alias("kind"), "k", none.alias("gr"), "gc")
-    up = k.crossJoin(r).crossJoin(c).select(name("u", "k", "gr", "gc").alias("id"), F.lit("update").alias("kind"), "k", "gr", "gc")
+    sent_a = k.crossJoin(r) if a is None else a.select(F.col("bj").alias("k"), F.pmod("bi", F.lit(pr)).alias("gr")).distinct()
+    sent_b = k.crossJoin(c) if b is None else b.select(F.col("bi").alias("k"), F.pmod("bj", F.lit(pc)).alias("gc")).distinct()
+    ba = sent_a.select(name("a", "k", "gr").alias("id"), F.lit("bcast").alias("kind"), "k", "gr", none.alias("gc"))
+    bb = sent_b.select(name("b", "k", "gc").alias("id"), F.lit("bcast").alias("kind"), "k", none.alias("gr"), "gc")
+    both = sent_a.join(sent_b.withColumnRenamed("k", "k2"), F.col("k") == F.col("k2"))
+    up = both.select(name("u", "k", "gr", "gc").alias("id"), F.lit("update").alias("kind"), "k", "gr", "gc")
     data = up.select(name("a", "k", "gr").alias("src"), F.col("id").alias("dst"), F.lit("data").alias("kind")).union(up.select(name("b", "k", "gc").alias("src"), F.col("id").alias("dst"), F.lit("data").alias("kind")))
     if mode == "classical":
-        later = up.where("k > 0")
-        before = name("u", F.col("k") - 1, "gr", "gc")
-        data = data.union(later.select(before.alias("src"), F.col("id").alias("dst"), F.lit("data").alias("kind")))
-        data = data.union(later.select(before.alias("src"), name("a", "k", "gr").alias("dst"), F.lit("sequence").alias("kind")))
-        data = data.union(later.select(before.alias("src"), name("b", "k", "gc").alias("dst"), F.lit("sequence").alias("kind")))
+        earlier = up.select((F.col("k") + 1).alias("k3"), F.col("gr").alias("gr3"), F.col("gc").alias("gc3"), F.col("id").alias("src"))
+        data = data.union(up.join(earlier, (F.col("k") == F.col("k3")) & (F.col("gr") == F.col("gr3")) & (F.col("gc") == F.col("gc3"))).select("src", F.col("id").alias("dst"), F.lit("data").alias("kind")))
+    if mode in ("classical", "waiting"):
+        ahead = 1 if mode == "classical" else depth
+        done = up.select((F.col("k") + ahead).alias("k3"), F.col("gr").alias("gr3"), F.col("gc").alias("gc3"), F.col("id").alias("src"))
+        for sent, own in ((ba, "gr"), (bb, "gc")):
+            data = data.union(sent.join(done, (F.col("k") == F.col("k3")) & (F.col(own) == F.col(f"{own}3"))).select("src", F.col("id").alias("dst"), F.lit("sequence").alias("kind")))
     return ba.union(bb).union(up), data
 
 

@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from rankgrid.operators import lrb, screening
@@ -201,20 +202,36 @@ def sched_priority(spark, sf_dir):
     return schedule.release_order(m.T.blocks.select(*shape), m.blocks.select(*shape)).select("k", "released", "cost", "rank")
 
 
-@query("""
-SELECT * FROM (VALUES ('classical', 'bcast', 'node', CAST(20 AS BIGINT)), ('classical', 'update', 'node', CAST(24 AS BIGINT)), ('classical', 'data', 'edge', CAST(66 AS BIGINT)), ('classical', 'sequence', 'edge', CAST(36 AS BIGINT)),
-  ('decoupled', 'bcast', 'node', CAST(20 AS BIGINT)), ('decoupled', 'update', 'node', CAST(24 AS BIGINT)), ('decoupled', 'data', 'edge', CAST(48 AS BIGINT))) AS t(mode, kind, what, n)""")
-def dag_counts(spark, sf_dir):
-    """Nodes and edges of the task graphs of four rounds on a 2 x 3 grid."""
+def _counted(graphs: dict) -> DataFrame:
     out = None
-    for mode in ("classical", "decoupled"):
-        nodes, edges = schedule.task_graph(spark, 4, 2, 3, mode)
+    for mode, (nodes, edges) in graphs.items():
         for rows, what in ((nodes, "node"), (edges, "edge")):
             part = rows.groupBy("kind").agg(F.count("*").alias("n")).select(F.lit(mode).alias("mode"), "kind", F.lit(what).alias("what"), "n")
             out = part if out is None else out.union(part)
     return out
 
 
+@query("""
+WITH g AS (SELECT CAST(4 AS BIGINT) AS n, CAST(2 AS BIGINT) AS r, CAST(3 AS BIGINT) AS c)
+SELECT mode, kind, what, CASE kind WHEN 'bcast' THEN n * (r + c) WHEN 'update' THEN n * r * c WHEN 'data' THEN 2 * n * r * c + CASE mode WHEN 'classical' THEN (n - 1) * r * c ELSE 0 END
+  ELSE 2 * (n - CASE mode WHEN 'classical' THEN 1 ELSE 3 END) * r * c END AS n
+FROM g, (SELECT unnest(['classical', 'waiting', 'decoupled']) AS mode) m, (SELECT unnest(['bcast', 'update', 'data', 'sequence']) AS kind, unnest(['node', 'node', 'edge', 'edge']) AS what) k WHERE NOT (mode = 'decoupled' AND kind = 'sequence')""")
+def dag_counts(spark, sf_dir):
+    """Nodes and edges of the task graphs of four rounds on a 2 x 3 grid: in order, with three rounds in flight, without order."""
+    return _counted({mode: schedule.task_graph(spark, 4, 2, 3, mode, 3) for mode in ("classical", "waiting", "decoupled")})
+
+
+@query(f"""
+WITH t AS (SELECT DISTINCT i // {_PB} AS k, j // {_SB} AS o FROM {s.D1} WHERE v >= 100), a AS (SELECT DISTINCT k, o % 2 AS gr FROM t), b AS (SELECT DISTINCT k, o % 3 AS gc FROM t),
+u AS (SELECT a.k, gr, gc FROM a JOIN b ON a.k = b.k)
+SELECT * FROM (SELECT 'sparse' AS mode, 'bcast' AS kind, 'node' AS what, (SELECT count(*) FROM a) + (SELECT count(*) FROM b) AS n UNION ALL SELECT 'sparse', 'update', 'node', count(*) FROM u UNION ALL SELECT 'sparse', 'data', 'edge', 2 * count(*) FROM u
+UNION ALL SELECT 'sparse', 'sequence', 'edge', (SELECT count(*) FROM u JOIN a ON a.k = u.k + 2 AND a.gr = u.gr) + (SELECT count(*) FROM u JOIN b ON b.k = u.k + 2 AND b.gc = u.gc)) WHERE n > 0""")
+def dag_sparse(spark, sf_dir):
+    """The same for D1's largest entries, transposed, with itself: absent tiles are not sent and not multiplied; two rounds in flight."""
+    m = d1(spark, sf_dir, 100.0)
+    return _counted({"sparse": schedule.task_graph(spark, m.rows.blocks, 2, 3, "waiting", 2, m.T.blocks.select("bi", "bj"), m.blocks.select("bi", "bj"))})
+
+
 @query("SELECT CAST(26000000 AS BIGINT) AS cost, '((M0 (M1 M2)) M3)' AS bracketing")
 def plan_chain(spark, sf_dir):
     """The cheapest bracketing of a chain of four products."""

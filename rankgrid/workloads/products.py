@@ -25,10 +25,11 @@ def d4(spark: SparkSession, sf_dir: str, b: int = 5) -> BlockMatrix:
     return mx.tiles_of(mx.brand_nation(spark, sf_dir), 25, 25, b)
 
 
-def d1(spark: SparkSession, sf_dir: str) -> BlockMatrix:
-    """Parts by suppliers in equal tiles; the sizes come from the small dimension tables."""
+def d1(spark: SparkSession, sf_dir: str, least: float = 0.0) -> BlockMatrix:
+    """Parts by suppliers in equal tiles, entries from least on; the sizes come from the small dimension tables."""
     parts, supp = table(spark, sf_dir, "part").count(), table(spark, sf_dir, "supplier").count()
-    return mx.tiles_of(mx.part_supp(spark, sf_dir), parts, supp, max(1, parts // 16), max(1, supp // 5))
+    entries = mx.part_supp(spark, sf_dir)
+    return mx.tiles_of(entries.where(F.col("v") >= least) if least else entries, parts, supp, max(1, parts // 16), max(1, supp // 5))
 
 
 @query(f"SELECT CAST(i AS BIGINT) AS i, CAST(j AS BIGINT) AS j, CAST(v AS DOUBLE) AS v FROM {s.D1}")

@@ -166,7 +166,8 @@ def product_flops(a: Tile, b: Tile) -> int:
 
 
 class Sum:
-    """A running sum of tiles; low-rank terms are recompressed whenever their joint rank passes half of the full rank."""
+    """A running sum of tiles. Low-rank terms stand side by side until their joint rank passes half of the full rank; from
+    then on the sum is full, and the result is compressed once, which costs less than a recompression for every few terms."""
 
     def __init__(self, eps: float = 0.0):
         self.eps, self.tile = eps, None
@@ -177,9 +178,9 @@ class Sum:
         elif self.tile.w is None:
             self.tile.x += t.dense()
         else:
-            self.tile = add(self.tile, t)
-            if self.tile.w is not None and not keeps_low(self.tile.rank, *self.tile.shape):
-                self.tile = recompress(self.tile, self.eps)
+            self.tile = settle(add(self.tile, t))
+            if self.tile.w is None:
+                self.tile = Tile(np.array(self.tile.x))
 
     def result(self) -> Tile:
         return recompress(self.tile, self.eps) if self.eps > 0 else settle(self.tile)

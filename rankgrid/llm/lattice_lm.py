@@ -214,10 +214,11 @@ def _distinct(h: np.ndarray, g: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.
 
 
 def _word_counts(texts: DataFrame) -> DataFrame:
-    """word (lower-cased bytes), c0, c1, ... (uses in training documents of each class), n0, n1, ... (in all): counted within a task before the shuffle."""
+    """word (lower-cased bytes), c0, c1, ... (uses in training documents of each class), n0, n1, ... (in all): counted within
+    a task before the shuffle. The null word stands for the ends, one a document."""
 
     def each(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        held: dict[tuple[bytes, int], tuple[int, int]] = {}
+        held: dict[tuple[bytes | None, int], tuple[int, int]] = {}
 
         def send() -> pa.RecordBatch:
             c = np.array(list(held.values()), np.int64).reshape(-1, 2)
@@ -225,8 +226,11 @@ def _word_counts(texts: DataFrame) -> DataFrame:
 
         for b in small_batches(batches, "text"):
             w = _Words(b)
-            out = b.column("held_out").to_numpy(zero_copy_only=False).astype(bool)[w.row]
-            kind = w.kind[w.row]
+            held_out = b.column("held_out").to_numpy(zero_copy_only=False).astype(bool)
+            for k, (x, y) in enumerate(zip(np.bincount(w.kind[~held_out], minlength=CLASSES).tolist(), np.bincount(w.kind, minlength=CLASSES).tolist(), strict=True)):
+                old = held.get((None, k), (0, 0))
+                held[None, k] = (old[0] + x, old[1] + y)
+            out, kind = held_out[w.row], w.kind[w.row]
             lead, which, n = _distinct(_class_hash(w.hashes, kind), w.seconds)
             c = np.bincount(which[~out], minlength=len(n))
             raw = w.data.tobytes()
@@ -316,18 +320,11 @@ def score_documents(docs: DataFrame, model: str, rounds: int = 2, id_col: str =
     """
     spark = docs.sparkSession
     texts = id_and_text(docs, id_col, text_col).withColumn("held_out", F.coalesce(held_out_fold(F.col("doc_id")), F.lit(False)))
-    words = written(_word_counts(texts), "words")
-    # the class of a document is worked out where its words are; here only how many training documents each class has
-
-    def kinds(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        total = np.zeros(CLASSES, np.int64)
-        for b in small_batches(batches, "text"):
-            total += np.bincount(_Words(b).kind, minlength=CLASSES)
-        yield pa.RecordBatch.from_arrays([pa.array(np.arange(CLASSES)), pa.array(total)], ["k", "n"])
-
-    ends = [0] * CLASSES
-    for r in map_arrow(texts.where("NOT held_out").select("text"), kinds, "k long, n long").groupBy("k").agg(F.sum("n").alias("n")).collect():
-        ends[r["k"]] = r["n"]
+    counted = written(_word_counts(texts), "words")
+    # how many training documents each class has
+    last = counted.where("word IS NULL").first()
+    ends = [last[f"c{k}"] if last else 0 for k in range(CLASSES)]
+    words = counted.where("word IS NOT NULL")
     totals = _totals(words, ends)
     every = [F.col(f"c{k}") for k in range(CLASSES)]
     known = words.select(reduce(lambda x, y: x + y, every).alias("c")).agg(F.sum("c").alias("n"), F.count_if(F.col("c") > 0).alias("v")).first()

@@ -13,6 +13,7 @@ PARTS, SUPPLIERS = 1_600_000, 200_000
 #: Queries over parts by suppliers, whose tiles are sixteenths by fifths: 32 GB each as arrays.
 NAMES = [
     "active_grid",
+    "blocks_roundtrip",
 ]
 
 

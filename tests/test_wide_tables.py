@@ -14,6 +14,7 @@ PARTS, SUPPLIERS = 1_600_000, 200_000
 NAMES = [
     "active_grid",
     "blocks_roundtrip",
+    "dag_sparse",
 ]
 
 

@@ -15,6 +15,7 @@ NAMES = [
     "active_grid",
     "blocks_roundtrip",
     "dag_sparse",
+    "dcsc_columns",
 ]
 
 

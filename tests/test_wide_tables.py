@@ -16,6 +16,7 @@ NAMES = [
     "blocks_roundtrip",
     "dag_sparse",
     "dcsc_columns",
+    "mem_sparse",
 ]
 
 

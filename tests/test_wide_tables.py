@@ -17,6 +17,7 @@ NAMES = [
     "dag_sparse",
     "dcsc_columns",
     "mem_sparse",
+    "plan_balance",
 ]
 
 

@@ -18,6 +18,7 @@ NAMES = [
     "dcsc_columns",
     "mem_sparse",
     "plan_balance",
+    "sched_balance",
 ]
 
 

@@ -19,6 +19,7 @@ NAMES = [
     "mem_sparse",
     "plan_balance",
     "sched_balance",
+    "sched_makespan",
 ]
 
 

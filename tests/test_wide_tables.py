@@ -20,6 +20,7 @@ NAMES = [
     "plan_balance",
     "sched_balance",
     "sched_makespan",
+    "sched_priority",
 ]
 
 

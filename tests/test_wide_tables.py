@@ -21,6 +21,7 @@ NAMES = [
     "sched_balance",
     "sched_makespan",
     "sched_priority",
+    "sink_blocks_roundtrip",
 ]
 
 

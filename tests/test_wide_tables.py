@@ -22,6 +22,7 @@ NAMES = [
     "sched_makespan",
     "sched_priority",
     "sink_blocks_roundtrip",
+    "storage_ratio",
 ]
 
 

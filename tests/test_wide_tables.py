@@ -23,6 +23,7 @@ NAMES = [
     "sched_priority",
     "sink_blocks_roundtrip",
     "storage_ratio",
+    "temp_c",
 ]
 
 

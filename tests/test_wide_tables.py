@@ -69,3 +69,20 @@ def test_sparse_tiles_are_the_full_ones(spark):
         assert np.allclose(key(got.norms().drop("repr")), key(want.norms().drop("repr")))
     nothing = blocking.to_blocks(e.where("false"), a, b, sparse=True)
     assert nothing.to_coo().count() == 0 and blocking.skeleton(e.where("false"), a, b).norms().count() == 0
+
+
+def test_product_of_parts_in_many_tiles(spark, tmp_path):
+    """Tiles of a product's operands have a bounded side, and are stored as entries."""
+    from rankgrid.workloads.products import d1
+
+    spark.range(32_000).select(F.col("id").alias("p_partkey")).write.parquet(f"{tmp_path}/part.parquet")
+    spark.range(4_000).select(F.col("id").alias("s_suppkey")).write.parquet(f"{tmp_path}/supplier.parquet")
+    spark.range(500).select((F.col("id") * 61).alias("l_partkey"), (F.col("id") % 97 * 41).alias("l_suppkey"), F.lit(2.0).alias("l_quantity")).write.parquet(f"{tmp_path}/lineitem.parquet")
+    m = d1(spark, str(tmp_path), 512)
+    assert max(m.rows.length(0), m.cols.length(0)) <= 512
+    assert m.blocks.agg(F.sum(F.octet_length("x"))).first()[0] == 500 * 16
+
+    from rankgrid import registry
+
+    got = {(r["i"], r["j"]): r["v"] for r in registry.queries()["mm_multi_issue"](spark, str(tmp_path)).collect()}
+    assert len(got) == 97 and all(i == j for i, j in got) and sum(got.values()) == 500 * 4

@@ -20,6 +20,12 @@ class _Plan:
         return f
 
 
+def test_a_task_sends_tiles_on_before_its_batch_ends():
+    rows = [tile_row(0, k, tiles.Tile(np.full((512, 256), float(k)))) for k in range(24)]
+    sent = list(map_tiles(_Plan(), lambda row: [row])(iter([block_batch(rows, ARROW_BLOCKS)])))
+    assert len(sent) > 2 and [r for b in sent for r in b.column("bj").to_pylist()] == list(range(24))
+
+
 def test_kernel_tiles_are_sent_on_before_their_batch_ends(monkeypatch):
     """A batch of many pairs of blocks: their tiles are not all held at once."""
     rng = np.random.default_rng(3)

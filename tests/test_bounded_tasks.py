@@ -13,6 +13,25 @@ from rankgrid.schema import ARROW_BLOCKS, block_batch, map_tiles, tile_row
 from rankgrid.sources import matrices as mx
 
 
+@pytest.mark.parametrize("name", ["lrb_compress"])
+def test_natural_tiles_of_many_points(spark, tmp_path, name):
+    """650 points a region are cut into parts; the rows are about whole regions."""
+    from rankgrid import registry
+
+    shutil.copy("/root/testdata/sf0.001/nation.parquet", tmp_path / "nation.parquet")
+    nations = spark.read.parquet(f"{tmp_path}/nation.parquet").where("n_regionkey in (1, 3)").groupBy("n_regionkey").agg(F.min("n_nationkey").alias("n")).collect()
+    first, second = (r["n"] for r in nations)
+    i = F.col("id")
+    supp = spark.range(1300).select(i.alias("s_suppkey"), F.when(i % 2 == 0, first).otherwise(second).alias("s_nationkey"), (i * 37 % 9999 - 999).cast("double").alias("s_acctbal"))
+    supp.coalesce(1).write.parquet(f"{tmp_path}/supplier.parquet")
+    con = duckdb.connect()
+    con.execute(f"CREATE VIEW supplier AS SELECT * FROM read_parquet('{tmp_path}/supplier.parquet/*.parquet')")
+    con.execute(f"CREATE VIEW nation AS SELECT * FROM read_parquet('{tmp_path}/nation.parquet')")
+    df = registry.queries()[name](spark, str(tmp_path))
+    want = con.execute(f"SELECT {', '.join(df.columns)} FROM ({registry.oracle_sql()[name]})").fetchall()
+    assert [tuple(r) for r in df.collect()] == want and want[0][0] == 4
+
+
 class _Plan:
     """Stands for a DataFrame: gives the function of a task instead of running it."""
 

@@ -13,7 +13,7 @@ from rankgrid.schema import ARROW_BLOCKS, block_batch, map_tiles, tile_row
 from rankgrid.sources import matrices as mx
 
 
-@pytest.mark.parametrize("name", ["lrb_compress"])
+@pytest.mark.parametrize("name", ["lrb_compress", "lrb_error"])
 def test_natural_tiles_of_many_points(spark, tmp_path, name):
     """650 points a region are cut into parts; the rows are about whole regions."""
     from rankgrid import registry

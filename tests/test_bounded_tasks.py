@@ -57,3 +57,23 @@ def test_kernel_tiles_are_sent_on_before_their_batch_ends(monkeypatch):
     x, y = (np.array([[p[c] for c in ("px", "py", "pz")] for p in points[k]]) for k in (1, 0))
     want = np.exp(-((x[:, None] - y[None]) ** 2).sum(axis=2))
     assert np.allclose(np.frombuffer(sent[0].column("x")[1].as_py()).reshape(400, 400), want, atol=1e-14)
+
+
+def test_one_factorization_for_all_thresholds():
+    rng = np.random.default_rng(1)
+    eps = (1e-1, 1e-3, 1e-5, 1e-7)
+    z, y = np.sort(rng.uniform(-1, 10, 120)), np.sort(rng.uniform(-1, 10, 90))
+    smooth = 1 / np.sqrt(1 + (z[:, None] - y[None]) ** 2)
+    for a in (smooth, smooth * 1e-6, rng.normal(size=(30, 40)), np.outer(z, y), smooth[:1], np.zeros((5, 4))):
+        for e, (kind, rank, err) in zip(eps, tiles.compress_each(a, eps)):
+            t = tiles.compress(a, e)
+            assert (kind, rank) == (t.kind, t.rank) and abs(err - np.linalg.norm(a - t.dense())) <= 1e-9 + 1e-6 * e
+
+
+def test_the_sweep_makes_no_dense_matrix(spark, monkeypatch):
+    """Every customer's tile is compared inside its task."""
+    from rankgrid.workloads import lowrank
+
+    monkeypatch.setattr(lowrank, "customer", None)
+    got = lowrank.eps_sweep(spark, "/root/testdata/sf0.001").collect()
+    assert [r["eps"] for r in got] == [1e-1, 1e-3, 1e-5, 1e-7] and all(r["error"] >= 0 and r["storage"] > 0 for r in got)

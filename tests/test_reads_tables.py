@@ -6,6 +6,7 @@ import pytest
 DATA = "/root/testdata/sf0.001"
 NAMES = [
     "barriers",
+    "blocking_uniform",
 ]
 
 

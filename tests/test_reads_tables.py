@@ -7,6 +7,7 @@ DATA = "/root/testdata/sf0.001"
 NAMES = [
     "barriers",
     "blocking_uniform",
+    "dag_counts",
 ]
 
 

@@ -8,6 +8,7 @@ NAMES = [
     "barriers",
     "blocking_uniform",
     "dag_counts",
+    "depth_default",
 ]
 
 

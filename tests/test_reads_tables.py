@@ -9,6 +9,7 @@ NAMES = [
     "blocking_uniform",
     "dag_counts",
     "depth_default",
+    "depth_for_budget",
 ]
 
 

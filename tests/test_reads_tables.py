@@ -10,6 +10,7 @@ NAMES = [
     "dag_counts",
     "depth_default",
     "depth_for_budget",
+    "effective_depth",
 ]
 
 

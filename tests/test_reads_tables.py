@@ -11,6 +11,7 @@ NAMES = [
     "depth_default",
     "depth_for_budget",
     "effective_depth",
+    "efficiency_formula",
 ]
 
 

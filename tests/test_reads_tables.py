@@ -12,6 +12,7 @@ NAMES = [
     "depth_for_budget",
     "effective_depth",
     "efficiency_formula",
+    "flops_apparent",
 ]
 
 

@@ -13,6 +13,7 @@ NAMES = [
     "effective_depth",
     "efficiency_formula",
     "flops_apparent",
+    "flops_lowrank",
 ]
 
 

@@ -14,6 +14,7 @@ NAMES = [
     "efficiency_formula",
     "flops_apparent",
     "flops_lowrank",
+    "flops_peak",
 ]
 
 

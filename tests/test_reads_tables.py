@@ -15,6 +15,7 @@ NAMES = [
     "flops_apparent",
     "flops_lowrank",
     "flops_peak",
+    "grid_owner",
 ]
 
 

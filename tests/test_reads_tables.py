@@ -16,6 +16,7 @@ NAMES = [
     "flops_lowrank",
     "flops_peak",
     "grid_owner",
+    "lrb_choice",
 ]
 
 

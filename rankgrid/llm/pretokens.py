@@ -11,6 +11,7 @@ from __future__ import annotations
 import os
 import re
 from dataclasses import dataclass
+from itertools import chain
 
 import numpy as np
 
@@ -160,6 +161,9 @@ class Encoder:
         """cached: distinct pre-tokens kept before the cache starts anew. window: code points handled at once."""
         self.vocab, self.cached, self.window = vocab, cached, window
         self.tokenizer = _load(vocab.path)
+        # each word is encoded once, so that the library's own cache of words would only cost time
+        if hasattr(self.tokenizer.model, "_resize_cache"):
+            self.tokenizer.model._resize_cache(0)
         self.first = HashIndex(len(vocab.hashes))
         self.first.add(vocab.hashes, np.arange(len(vocab.hashes), dtype=np.int32))
         self.special = re.compile("(" + "|".join(map(re.escape, sorted(vocab.special, key=len, reverse=True))) + ")") if vocab.special else None
@@ -191,7 +195,7 @@ class Encoder:
             self.starts, self.lengths, self.text_at, self.text_sizes = (np.concatenate([x, np.zeros(max(n, len(x)), np.int64)]) for x in (self.starts, self.lengths, self.text_at, self.text_sizes))
         self.starts[at : at + n], self.text_at[at : at + n] = self.filled + np.cumsum(lengths) - lengths, self.written + np.cumsum(sizes) - sizes
         self.lengths[at : at + n], self.text_sizes[at : at + n] = lengths, sizes
-        self.flat[self.filled : self.filled + total] = np.fromiter((i for x in found for i in x), np.uint32, total)
+        self.flat[self.filled : self.filled + total] = np.fromiter(chain.from_iterable(found), np.uint32, total)
         self.text[self.written : self.written + len(points)] = points
         self.entries, self.filled, self.written = at + n, self.filled + total, self.written + len(points)
         return at

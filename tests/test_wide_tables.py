@@ -86,3 +86,27 @@ def test_product_of_parts_in_many_tiles(spark, tmp_path):
 
     got = {(r["i"], r["j"]): r["v"] for r in registry.queries()["mm_multi_issue"](spark, str(tmp_path)).collect()}
     assert len(got) == 97 and all(i == j for i, j in got) and sum(got.values()) == 500 * 4
+
+
+@pytest.mark.parametrize("name", ["blocks_roundtrip", "dcsc_columns", "sink_blocks_roundtrip"])
+def test_no_task_holds_a_whole_tile(spark, wide, name, monkeypatch):
+    from rankgrid import registry
+
+    areas, make = [], blocking.to_blocks
+
+    def seen(entries, rows, cols, sparse=False):
+        areas.append(max(np.diff(rows.starts)) * max(np.diff(cols.starts)))
+        return make(entries, rows, cols, sparse)
+
+    monkeypatch.setattr(blocking, "to_blocks", seen)
+    registry.queries()[name](spark, wide)
+    assert areas and max(areas) <= 1 << 22
+
+
+def test_strips_of_equal_blocks(spark):
+    cut, rows = Axis.strips(23, 7, 3), Axis.uniform(5, 5)
+    assert cut.starts == (0, 3, 6, 7, 10, 13, 14, 17, 20, 21, 23) and cut.strips_each == 3
+    e = spark.createDataFrame([(k % 5, k, float(k + 1)) for k in range(23)], "i long, j long, v double")
+    m = blocking.to_blocks(e, rows, cut, sparse=True)
+    assert sorted(map(tuple, m.to_coo().collect())) == sorted(map(tuple, e.collect()))
+    assert sorted({r["bj"] // cut.strips_each for r in m.norms().collect()}) == [0, 1, 2, 3]

@@ -82,3 +82,9 @@ def test_every_fiftieth_vector_is_a_query(spark):
     assert len(got) == len(want)
     assert set(got) == want
     assert sorted(got) == sorted(sql(registry.oracle_sql()["knn_gram"], "ij"))
+
+
+def test_no_pair_of_entries_is_a_row(spark):
+    """The triangle comes from products of tiles: entries are not joined with entries."""
+    plan = registry.queries()["triangle_upper"](spark, DATA)._jdf.queryExecution().analyzed().toString()
+    assert "v2" not in plan and "MapInArrow" in plan

@@ -22,6 +22,8 @@ LETTER, NUMBER, OTHER, SPACE = 0, 1, 2, 3
 LAST_CLASSED = 0x32400
 #: Code points of pre-tokens after which a worker's cache starts anew.
 TEXT_ROOM = 1 << 24
+#: Words that go to the library as one text.
+JOINED = 1000
 
 
 @dataclass
@@ -157,7 +159,7 @@ class HashIndex:
 class Encoder:
     """Token counts or ids of texts as the tokenizers library gives them, special strings inside texts included."""
 
-    def __init__(self, vocab: Vocabulary, cached: int = 1 << 19, window: int = 1 << 20):
+    def __init__(self, vocab: Vocabulary, cached: int = 1 << 20, window: int = 1 << 20):
         """cached: distinct pre-tokens kept before the cache starts anew. window: code points handled at once."""
         self.vocab, self.cached, self.window = vocab, cached, window
         self.tokenizer = _load(vocab.path)
@@ -167,6 +169,9 @@ class Encoder:
         self.first = HashIndex(len(vocab.hashes))
         self.first.add(vocab.hashes, np.arange(len(vocab.hashes), dtype=np.int32))
         self.special = re.compile("(" + "|".join(map(re.escape, sorted(vocab.special, key=len, reverse=True))) + ")") if vocab.special else None
+        # a special token that takes no space beside it may stand between words
+        plain = [(t.content, k) for k, t in self.tokenizer.get_added_tokens_decoder().items() if t.special and not (t.lstrip or t.rstrip or t.single_word or t.normalized)]
+        self.between = plain[0] if plain else None
         self.special_at = {s: _special_hash(k) for k, s in enumerate(vocab.special)}
         self._fresh()
 
@@ -182,10 +187,24 @@ class Encoder:
         self.flat[: self.filled], self.text[: self.written] = self.vocab.ids, self.vocab.text
         self.apart: dict[str, int] = {}
 
+    def _encode(self, words: list[str]) -> tuple[np.ndarray, np.ndarray]:
+        """The number of ids of each word, and the ids of all. Words go to the library as texts of many with a special
+        token between two, which it cuts at; one by one where that does not give as many pieces as words."""
+        if self.between and len(words) > 1:
+            special, token = self.between
+            texts = [special.join(words[k : k + JOINED]) for k in range(0, len(words), JOINED)]
+            found = np.concatenate([np.array([*x.ids, token], np.uint32) for x in self.tokenizer.encode_batch_fast(texts, add_special_tokens=False)])
+            ends = np.flatnonzero(found == token)
+            if len(ends) == len(words):
+                return np.diff(ends, prepend=-1) - 1, found[found != token]
+        found = [x.ids for x in self.tokenizer.encode_batch_fast(words, add_special_tokens=False)]
+        lengths = np.array([len(x) for x in found], np.int64)
+        return lengths, np.fromiter(chain.from_iterable(found), np.uint32, int(lengths.sum()))
+
     def _store(self, words: list[str]) -> int:
         """New entries for words; the number of the first."""
-        found = [x.ids for x in self.tokenizer.encode_batch_fast(words, add_special_tokens=False)]
-        lengths, sizes = np.array([len(x) for x in found], np.int64), np.array([len(w) for w in words], np.int64)
+        lengths, ids = self._encode(words)
+        sizes = np.array([len(w) for w in words], np.int64)
         total, points, n, at = int(lengths.sum()), _points("".join(words)), len(words), self.entries
         while self.filled + total > len(self.flat):
             self.flat = np.concatenate([self.flat, np.zeros_like(self.flat)])
@@ -195,7 +214,7 @@ class Encoder:
             self.starts, self.lengths, self.text_at, self.text_sizes = (np.concatenate([x, np.zeros(max(n, len(x)), np.int64)]) for x in (self.starts, self.lengths, self.text_at, self.text_sizes))
         self.starts[at : at + n], self.text_at[at : at + n] = self.filled + np.cumsum(lengths) - lengths, self.written + np.cumsum(sizes) - sizes
         self.lengths[at : at + n], self.text_sizes[at : at + n] = lengths, sizes
-        self.flat[self.filled : self.filled + total] = np.fromiter(chain.from_iterable(found), np.uint32, total)
+        self.flat[self.filled : self.filled + total] = ids
         self.text[self.written : self.written + len(points)] = points
         self.entries, self.filled, self.written = at + n, self.filled + total, self.written + len(points)
         return at

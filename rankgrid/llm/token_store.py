@@ -57,7 +57,7 @@ def from_planes(planes: list[bytes], n: int, kind: str) -> np.ndarray:
     return np.packbits(bits, axis=1, bitorder="little").reshape(-1).view("<u4")
 
 
-def encode_segment(ids: np.ndarray, kind: str, block: int = BLOCK, level: int = 3) -> tuple[list[dict], bytes]:
+def encode_segment(ids: np.ndarray, kind: str, block: int = BLOCK, level: int = 1) -> tuple[list[dict], bytes]:
     import zstandard
 
     press = zstandard.ZstdCompressor(level=level)
@@ -105,12 +105,16 @@ def write_store(docs: DataFrame, tokenizer: str, end_id: int = 2, planes: str =
 
         for b in small_batches(batches, "text"):
             flat, at = tokens.ids(texts_of(b))
-            for d, name in enumerate(b.column("doc_id").to_pylist()):
-                ids = np.append(flat[at[d] : at[d + 1]], np.uint32(end_id))
-                held.append(ids)
-                names.append(name)
-                sizes.append(len(ids))
-                n += len(ids)
+            ids, ends = np.insert(flat, at[1:], np.uint32(end_id)), at[1:] + np.arange(1, b.num_rows + 1)
+            docs, lo = b.column("doc_id").to_pylist(), 0
+            while lo < len(docs):
+                # documents up to the first that fills the segment
+                begin = int(ends[lo - 1]) if lo else 0
+                hi = min(int(np.searchsorted(ends, begin + SEGMENT - n)) + 1, len(docs))
+                held.append(ids[begin : ends[hi - 1]])
+                names += docs[lo:hi]
+                sizes += np.diff(ends[lo:hi], prepend=begin).tolist()
+                n, lo = n + int(ends[hi - 1]) - begin, hi
                 if n >= SEGMENT:
                     yield close()
                     held, names, sizes, number, first, n = [], [], [], number + 1, first + n, 0

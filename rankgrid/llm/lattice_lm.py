@@ -39,17 +39,21 @@ FUNCTION_WORDS = {
 CLASSES = 1 + len(FUNCTION_WORDS)
 #: The byte that starts each word in the lattice; it is white space and so in no word.
 START = 0x20
+#: Log probability of a word's bytes down to which its lattice is summed without logarithms.
+LEAST_LOG = -500.0
 
 
 @dataclass
 class Pieces:
     """Hashes of the pieces as bytes, those that start a word with START, and log weights: of starting pieces among
-    themselves, of the others together with the end of a word (the last weight)."""
+    themselves, of the others together with the end of a word (the last weight). prefixes: hashes of what begins a piece
+    and is none; without them every length is looked up at every place."""
 
     hashes: np.ndarray
     starting: np.ndarray
     longest: int
     log_p: np.ndarray
+    prefixes: np.ndarray | None = None
 
     @property
     def end(self) -> float:
@@ -58,7 +62,7 @@ class Pieces:
     def with_counts(self, counts: np.ndarray) -> Pieces:
         """Weights in proportion to counts; a small share of the old weights keeps every piece possible."""
         c = counts + 0.5 * np.exp(self.log_p)
-        return Pieces(self.hashes, self.starting, self.longest, _normalised(c, self.starting))
+        return Pieces(self.hashes, self.starting, self.longest, _normalised(c, self.starting), self.prefixes)
 
 
 def _normalised(weights: np.ndarray, starting: np.ndarray) -> np.ndarray:
@@ -94,7 +98,7 @@ def existing_pieces(model: str) -> Pieces:
     starting = np.array([x[0] == START for x in names])
     p = np.append(np.array([weights[x] for x in names]), 0.0)
     p[-1] = p[:-1][~starting].sum() / 3
-    return Pieces(span_hash(data, ends - sizes, ends), starting, int(sizes.max()), _normalised(p, starting))
+    return Pieces(span_hash(data, ends - sizes, ends), starting, int(sizes.max()), _normalised(p, starting), _hash_words(sorted({x[:k] for x in names for k in range(1, len(x))} - weights.keys())))
 
 
 class Lattice:
@@ -102,8 +106,10 @@ class Lattice:
 
     def __init__(self, pieces: Pieces):
         self.pieces = pieces
-        self.index = HashIndex(len(pieces.hashes))
-        self.index.add(pieces.hashes, np.arange(len(pieces.hashes), dtype=np.int32))
+        own, more = len(pieces.hashes), np.zeros(0, np.uint64) if pieces.prefixes is None else pieces.prefixes
+        self.index = HashIndex(own + len(more))
+        # a prefix that is no piece has the number after the last piece
+        self.index.add(np.concatenate([pieces.hashes, more]), np.minimum(np.arange(own + len(more), dtype=np.int32), own))
 
     def _arcs(self, words: list[bytes]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
         """Piece number of each arc [length - 1, position], -1 for none, over the words with START before each; word starts and sizes."""
@@ -111,59 +117,81 @@ class Lattice:
         sizes = np.array([len(w) + 1 for w in words])
         ends = np.cumsum(sizes)
         left = np.repeat(ends, sizes) - np.arange(len(flat))
-        every, sums = np.arange(256), np.zeros(len(flat), np.uint64)
+        every, own = np.arange(256), len(self.pieces.hashes)
         reach = min(self.pieces.longest, int(sizes.max(initial=0)))
         arcs = np.full((reach, len(flat)), -1, np.int32)
+        at, sums = np.arange(len(flat)), np.zeros(len(flat), np.uint64)
         for n in range(1, reach + 1):
-            at = np.flatnonzero(left >= n)
-            sums[at] += placed(every, n - 1)[flat[at + n - 1]]
-            arcs[n - 1, at] = self.index.find(closed(sums[at], n))
+            # a longer piece begins only where this one, or what begins one, was found
+            go = left[at] >= n
+            at, sums = at[go], sums[go]
+            sums = sums + placed(every, n - 1)[flat[at + n - 1]]
+            found = self.index.find(closed(sums, n))
+            arcs[n - 1, at] = np.where(found < own, found, -1)
+            if self.pieces.prefixes is not None:
+                at, sums = at[found >= 0], sums[found >= 0]
         return arcs, ends - sizes, sizes
 
     def _by_size(self, words: list[bytes], room: int = 1 << 19):
+        """Words of one size: their places, the size, the arcs [length - 1, position, word], and the arcs' log weights."""
         arcs, starts, sizes = self._arcs(words)
         log_p = np.append(self.pieces.log_p[:-1], -np.inf)  # number -1 is no piece
+        plain_p = np.exp(log_p)
         for size in np.unique(sizes).tolist():
             same = np.flatnonzero(sizes == size)
             reach = min(size, self.pieces.longest)  # no arc is longer than its word
             step = max(1, room // (size * reach))
             for k in range(0, len(same), step):
                 rows = same[k : k + step]
-                ids = arcs[:reach, starts[rows][:, None] + np.arange(size)[None, :]]
-                yield rows, size, ids, log_p[ids]
-
-    def _forward(self, lp: np.ndarray, size: int) -> np.ndarray:
-        f = np.full((size + 1, lp.shape[1]), -np.inf)
-        f[0] = 0.0
-        for i in range(1, size + 1):
-            reach = min(i, self.pieces.longest)
-            f[i] = np.logaddexp.reduce(np.stack([f[i - n] + lp[n - 1, :, i - n] for n in range(1, reach + 1)]), axis=0)
+                ids = arcs[:reach, starts[rows][None, :] + np.arange(size)[:, None]]
+                # the longest arc that any of these words has
+                reach_here = int(np.flatnonzero((ids >= 0).any(axis=(1, 2))).max(initial=0)) + 1
+                ids = ids[:reach_here]
+                # single bytes alone make a word, so that no sum is below their product: where that is far from the least
+                # number there is, the recursion needs no logarithms
+                plain = log_p[ids[0]].sum(axis=0) > LEAST_LOG
+                for part, linear in ((plain, True), (~plain, False)):
+                    if part.any():
+                        which = ids if part.all() else ids[:, :, part]
+                        yield rows[part], size, which, (plain_p if linear else log_p)[which], linear
+
+    def _forward(self, p: np.ndarray, size: int, linear: bool) -> np.ndarray:
+        """The sum (linear, or its log) over all segmentations of what is left of each place [position, word]."""
+        add, times = (np.add, np.multiply) if linear else (np.logaddexp, np.add)
+        f = np.full((size + 1, p.shape[2]), 0.0 if linear else -np.inf)
+        f[0] = 1.0 if linear else 0.0
+        for i in range(size):
+            reach = min(size - i, len(p))
+            f[i + 1 : i + 1 + reach] = add(f[i + 1 : i + 1 + reach], times(f[i], p[:reach, i]))
         return f
 
     def log_probability(self, words: list[bytes]) -> np.ndarray:
         """Natural log of the probability of each word, over all its segmentations."""
         out = np.full(len(words), -np.inf)
-        for rows, size, _, lp in self._by_size(words):
-            out[rows] = self._forward(lp, size)[size] + self.pieces.end
+        for rows, size, _, p, linear in self._by_size(words):
+            whole = self._forward(p, size, linear)[size]
+            out[rows] = (np.log(whole) if linear else whole) + self.pieces.end
         return out
 
     def expected(self, words: list[bytes]) -> np.ndarray:
         """Expected uses of each piece, and of the end, over the words."""
         out = np.zeros(len(self.pieces.hashes) + 1)
-        for _, size, ids, lp in self._by_size(words):
-            f = self._forward(lp, size)
-            back = np.full_like(f, -np.inf)
-            back[size] = 0.0
+        for _, size, ids, p, linear in self._by_size(words):
+            add, times = (np.add, np.multiply) if linear else (np.logaddexp, np.add)
+            f = self._forward(p, size, linear)
+            back = np.empty_like(f)
+            back[size] = 1.0 if linear else 0.0
             for i in range(size - 1, -1, -1):
-                reach = min(size - i, self.pieces.longest)
-                back[i] = np.logaddexp.reduce(np.stack([back[i + n] + lp[n - 1, :, i] for n in range(1, reach + 1)]), axis=0)
-            for n in range(1, min(size, self.pieces.longest) + 1):
-                i = np.arange(size - n + 1)
-                share = np.exp(f[i].T + lp[n - 1][:, : size - n + 1] + back[i + n].T - f[size][:, None])
-                which = ids[n - 1][:, : size - n + 1]
-                used = which >= 0
-                out[:-1] += np.bincount(which[used], weights=share[used], minlength=len(out) - 1)
-            out[-1] += lp.shape[1]
+                reach = min(size - i, len(p))
+                onward = times(p[:reach, i], back[i + 1 : i + 1 + reach])
+                back[i] = add.reduce(onward, axis=0)
+                share = onward * (f[i] / f[size]) if linear else np.exp(onward + (f[i] - f[size]))
+                # the weights of a place are not read again
+                p[:reach, i] = share
+                p[reach:, i] = 0.0
+            used = ids >= 0
+            out[:-1] += np.bincount(ids[used], weights=p[used], minlength=len(out) - 1)
+            out[-1] += p.shape[2]
         return out
 
 

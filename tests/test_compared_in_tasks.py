@@ -55,6 +55,13 @@ def test_pairs_of_blocks_are_spread_over_the_cores(spark):
     assert m.made.rows.rdd.getNumPartitions() >= spark.sparkContext.defaultParallelism
 
 
+def test_natural_errors_store_no_payload(spark, monkeypatch):
+    names = []
+    monkeypatch.setattr(lowrank, "written", lambda df, name, **how: names.append(df.columns) or written(df, name, **how))
+    assert lowrank.lrb_compress(spark, DATA).collect() and lowrank.lrb_error(spark, DATA).collect()
+    assert not any("x" in columns for columns in names)
+
+
 def test_flops_of_tiles_that_are_alike(spark):
     rows = [(i, j, 4 + i % 2, 4 + j % 2, "L" if (i + j) % 3 else "F", 1 + (i * j) % 2 if (i + j) % 3 else 4) for i in range(5) for j in range(5)]
     want = 0

@@ -2,12 +2,13 @@
 
 import numpy as np
 import pytest
+from pyspark.sql import functions as F
 
 from rankgrid.functions.tiles import Sum, Tile
 from rankgrid.operators import multiply
 from rankgrid.operators.blocking import to_blocks
 from rankgrid.operators.multiply import Grid, Update, _Cell, mm_panels
-from rankgrid.schema import Axis, sparse_row, tile_row
+from rankgrid.schema import Axis, BlockMatrix, sparse_row, tile_row
 
 
 def _rows(rng, rounds, tiles, side, fill):
@@ -96,3 +97,25 @@ def test_a_screened_product_by_entries(spark):
         for r in mm_panels(m, m, Grid(3, 1), depth="all", only=kept).to_coo().collect():
             got[r["i"], r["j"]] = r["v"]
         assert np.array_equal(got, (a @ a) * mask)
+
+
+def test_few_places_make_few_cells(spark, monkeypatch):
+    """A block diagonal product has as many cells as its own places need, and a full one as many as default_grid says."""
+    monkeypatch.setattr(multiply, "CELL_BYTES", 64 * 8 * 8)
+    monkeypatch.setattr(multiply, "CELLS_PER_CORE", 1)
+    axis = Axis.uniform(24 * 8, 8)
+    most = multiply.default_grid(axis, axis, spark.sparkContext.defaultParallelism)
+    for places, few in ((F.col("bi") == F.col("bj"), True), (F.lit(True), False)):
+        t = spark.range(24 * 24).select(F.floor(F.col("id") / 24).cast("int").alias("bi"), (F.col("id") % 24).cast("int").alias("bj"), F.lit(8).alias("m"), F.lit(8).alias("n")).where(places)
+        m = BlockMatrix(t, axis, axis)
+        got = multiply.places_grid(m, m)
+        assert (got.pr * got.pc < most.pr * most.pc) is few
+
+
+def test_the_default_rounds_on_a_grid_of_places(spark, monkeypatch):
+    from rankgrid.workloads import products
+
+    grids = []
+    mm = multiply.mm_panels
+    monkeypatch.setattr(multiply, "mm_panels", lambda a, b, grid=None, **how: grids.append((grid, how)) or mm(a, b, grid, **how))
+    assert products.mm_multi_issue(spark, "/root/testdata/sf0.001").count() and grids[0][0] and not grids[0][1]

@@ -57,3 +57,21 @@ def test_only_tables_of_the_shared_folder_are_forgotten(spark, folder, tmp_path_
     session.forget(table)
     assert _tables(folder) == []
     assert spark.conf.get("spark.sql.classic.shuffleDependency.fileCleanup.enabled") != "true"
+
+
+def test_the_rank_log_leaves_one_round(spark, folder):
+    """Tables of earlier rounds are gone at the end: at most one of each is left."""
+    from rankgrid.workloads import lowrank
+
+    rows = lowrank.invsqrt_rank_log(spark, DATA).collect()
+    left = [p.name.rsplit("-", 1)[0] for p in folder.iterdir()]
+    assert rows and all(left.count(t) <= 1 for t in ("x", "t", "zy"))
+
+
+def test_a_residual_leaves_no_product(spark, folder):
+    from rankgrid.operators.iterate import residual
+
+    a = np.diag([4.0, 9.0, 16.0, 25.0]) + 0.5
+    m, r = matrix(spark, a, Axis.uniform(4, 2), Axis.uniform(4, 2)), matrix(spark, np.eye(4) / 3, Axis.uniform(4, 2), Axis.uniform(4, 2))
+    assert residual(r, m, keep=False) == pytest.approx(residual(r, m)) == pytest.approx(np.linalg.norm(a / 9 - np.eye(4)))
+    assert sum(p.name.startswith("residual") for p in folder.iterdir()) == 1
